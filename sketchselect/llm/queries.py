@@ -5,11 +5,31 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from sketchselect.llm import chat, html, langid, mixing, sharding
+from sketchselect.llm import chat, decontaminate, html, langid, mixing, neardup, sharding, substrings
 from sketchselect.llm.common import load
 
 
+def op1_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
+
+
+def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.fingerprint_components(load(spark, sf_dir, "documents"), size=3, radius=2)
+
+
+def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = substrings.remove_repeats(load(spark, sf_dir, "documents"), length=50)
+    return cut.select(
+        "doc_id",
+        "n_bytes",
+        (F.col("n_bytes") - F.octet_length("kept")).cast("long").alias("n_removed"),
+        F.size("spans").cast("long").alias("n_spans"),
+        F.sha2("kept", 256).alias("kept_sha256"),
+    )
+
+
 def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html.extract(load(spark, sf_dir, "pages"))
 
@@ -33,6 +53,15 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (op4_html_extraction, op5_source_mixing, op7_chat_formatting, op8_sharding, op9_language_id)
+    for f in (
+        op1_benchmark_decontamination,
+        op2_simhash_near_dedup,
+        op3_substring_dedup,
+        op4_html_extraction,
+        op5_source_mixing,
+        op7_chat_formatting,
+        op8_sharding,
+        op9_language_id,
+    )
 }
 ORACLES: dict[str, str] = {}
