@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sketchselect.llm import chat, decontaminate, html, langid, mixing, neardup, sharding, substrings
+from sketchselect.llm import chat, decontaminate, html, langid, mixing, neardup, pii, sharding, sketches, substrings
 from sketchselect.llm.common import load
 
 
@@ -38,6 +38,10 @@ def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(load(spark, sf_dir, "documents"))
 
 
+def op6_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sketches.fingerprint(load(spark, sf_dir, "documents"))
+
+
 def op7_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = chat.with_probe(load(spark, sf_dir, "conversations"))
     return chat.read_back(chat.format_windows(turns))
@@ -51,6 +55,10 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(load(spark, sf_dir, "documents"))
 
 
+def op10_pii_detection(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(load(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
@@ -59,9 +67,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op3_substring_dedup,
         op4_html_extraction,
         op5_source_mixing,
+        op6_document_fingerprints,
         op7_chat_formatting,
         op8_sharding,
         op9_language_id,
+        op10_pii_detection,
     )
 }
 ORACLES: dict[str, str] = {}
