@@ -167,8 +167,9 @@ def run_strings(docs: list[bytes], ids: np.ndarray, wanted: np.ndarray, length:
     """
     index: dict[bytes, int] = {}
     hashes, least, where = [], [], []
+    wanted = np.sort(wanted)
     for data, low, owner, offset, first, count in window_runs(docs, length):
-        hit = np.isin(low, wanted)
+        hit = wanted[np.minimum(np.searchsorted(wanted, low), len(wanted) - 1)] == low
         raw = data.tobytes()
         for h, o, f, a, c in zip(low[hit], owner[hit].tolist(), offset[hit].tolist(), first[hit].tolist(), count[hit].tolist(), strict=True):
             i = index.setdefault(raw[a : a + c + length - 1], len(index))
@@ -179,8 +180,8 @@ def run_strings(docs: list[bytes], ids: np.ndarray, wanted: np.ndarray, length:
     return (list(index), np.array(hashes, np.uint64), np.array(least, np.int64)), np.array(where, np.int64).reshape(-1, 4)
 
 
-def earliest(strings: list[bytes], ids: np.ndarray, length: int) -> list[np.ndarray]:
-    """For every window of every string, the least id among the strings with that window."""
+def earliest(strings: list[bytes], ids: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """The least id among the strings with each window, for all windows, and where strings begin."""
     sizes = np.fromiter(map(len, strings), np.int64, len(strings))
     data = np.frombuffer(b"".join(strings) + bytes(8), np.uint8)
     start = np.cumsum(sizes) - sizes
@@ -188,33 +189,26 @@ def earliest(strings: list[bytes], ids: np.ndarray, length: int) -> list[np.ndar
     first = np.cumsum(count) - count
     at = np.arange(count.sum()) + np.repeat(start - first, count)
     owner = np.repeat(ids, count)
-    words = eights(data, ">u8")
-    # suffix order truncated at ``length``: eight bytes at a time, only where order is open
-    rank = np.zeros(len(at), np.int64)
-    live = np.arange(len(at))
-    for shift in [*range(0, length - 8, 8), length - 8]:
-        key = words[at[live] + shift]
-        order = np.lexsort((key, rank[live]))
-        live, key = live[order], key[order]
-        old = rank[live]
-        change = np.r_[True, (old[1:] != old[:-1]) | (key[1:] != key[:-1])]
-        begin = np.flatnonzero(change)
-        size = np.diff(np.r_[begin, len(live)])
-        # a class keeps the place of its first member in the order so far
-        place = old + np.arange(len(live)) - np.repeat(np.flatnonzero(np.r_[True, old[1:] != old[:-1]]), np.diff(np.r_[np.flatnonzero(np.r_[True, old[1:] != old[:-1]]), len(live)]))
-        rank[live] = np.repeat(place[begin], size)
-        live = live[np.repeat(size > 1, size)]
-        if not len(live):
-            break
     best = owner.copy()
+    # a window whose hash is alone has no equal; the others are put in suffix order
+    words = eights(data)
+    hashed = np.zeros(len(at), np.uint64)
+    for shift in [*range(0, length - 8, 8), length - 8]:
+        hashed = (hashed ^ words[at + shift]) * MIX[0]
+        hashed ^= hashed >> np.uint64(31)
+    order = np.argsort(hashed)
+    hashed = hashed[order]
+    same = hashed[1:] == hashed[:-1]
+    live = order[np.r_[False, same] | np.r_[same, False]]
     if len(live):
-        order = np.argsort(rank[live], kind="stable")
-        live = live[order]
-        r = rank[live]
-        begin = np.flatnonzero(np.r_[True, r[1:] != r[:-1]])
+        views = np.ndarray((len(data) - length + 1,), f"S{length}", data.tobytes(), strides=(1,))
+        suffixes = views[at[live]]
+        order = np.argsort(suffixes)
+        live, suffixes = live[order], suffixes[order]
+        begin = np.flatnonzero(np.r_[True, suffixes[1:] != suffixes[:-1]])
         low = np.minimum.reduceat(owner[live], begin)
         best[live] = np.repeat(low, np.diff(np.r_[begin, len(live)]))
-    return np.split(best, first[1:])
+    return best, first
 
 
 def spans_of(owner: np.ndarray, start: np.ndarray, length: int) -> list[tuple[int, list[tuple[int, int]]]]:
@@ -320,12 +314,13 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
                     strings += [raw[a:z] for a, z in zip([0, *ends[:-1]], ends, strict=True)]
                     ids.append(unpack(least))
                     sources.append((b, unpack(which)))
-            found = earliest(strings, np.concatenate(ids), length)
+            found, first = earliest(strings, np.concatenate(ids), length)
+            first = np.r_[first, len(found)]
             rows, at = [], 0
             for b, which in sources:
-                mine = found[at : at + len(which)]
+                own = first[at : at + len(which) + 1]
                 at += len(which)
-                rows.append((b, pack(which), pack(np.fromiter(map(len, mine), np.int64, len(mine))), pack(np.concatenate(mine))))
+                rows.append((b, pack(which), pack(np.diff(own)), pack(found[own[0] : own[-1]])))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 3), strict=True)],
                 names=["bucket", "which", "sizes", "least"],
@@ -340,18 +335,18 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
         gone: dict[int, list] = {}
         if right.num_rows:
             (strings, _, _), where = run_strings(docs_, ids, wanted_of(right), length)
-            best: list = [None] * len(strings)
+            begin, parts, at = np.zeros(len(strings), np.int64), [np.empty(0, np.int64)], 0
             for which, sizes, least in zip(*(right.column(c).to_pylist() for c in ("which", "sizes", "least")), strict=True):
                 if which is not None:
-                    for i, part in zip(unpack(which).tolist(), np.split(unpack(least), np.cumsum(unpack(sizes))[:-1]), strict=True):
-                        best[i] = part
-            owner, start = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-            for i, o, f, c in where.tolist():
-                later = np.flatnonzero(best[i] < ids[o])
-                if len(later):
-                    owner.append(np.full(len(later), o))
-                    start.append(f + later)
-            gone = dict(spans_of(np.concatenate(owner), np.concatenate(start), length))
+                    sizes = unpack(sizes)
+                    begin[unpack(which)] = at + np.cumsum(sizes) - sizes
+                    parts.append(unpack(least))
+                    at += len(parts[-1])
+            string, owner, offset, count = where.T
+            step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+            owner = np.repeat(owner, count)
+            later = np.concatenate(parts)[np.repeat(begin[string], count) + step] < ids[owner]
+            gone = dict(spans_of(owner[later], (np.repeat(offset, count) + step)[later], length))
         kept = []
         for i, doc in enumerate(docs_):
             at, out = 0, []
