@@ -10,7 +10,7 @@ holds and the exclusive or of the digests and of their check hashes. Subtracting
 the sketches of two texts cell by cell leaves only the digests in which they differ, and
 peeling recovers these: a cell with one digest whose check agrees names it, it is taken
 out of its other cells, and so on. When cells are left over, the next larger sketch is
-peeled; when the largest fails too, the number of differing digests is estimated from
+peeled (a smaller sketch is a larger one folded, so one pass makes both); when the largest fails too, the number of differing digests is estimated from
 the squares of its cell counts.
 
 Likeness of two sketches is shared / all digests, from the two set sizes and the number of
@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from sketchselect.llm.common import text_or_empty
 
 #: Characters after which white space ends a clause, with the ends of sentences.
-CUT = ".!?;:,dy"
+CUT = ".!?;:,"
 #: Cells of each of the three subtables, by retry (powers of two), and peeling rounds.
 SIZES = (8, 32)
 ROUNDS = 16
@@ -56,11 +56,17 @@ def place(digest: str, table: str, size: int) -> str:
 
 
 def sketch(found: str, size: int) -> str:
-    """SQL: cells (n, keys, checks) of an array of distinct digests."""
-    return f"""transform(sequence(0, {3 * size - 1}), c -> aggregate(
-        filter({found}, h -> {place('h', f'c div {size}', size)} = c % {size}),
-        cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
-        (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks)))"""
+    """SQL: cells (n, keys, checks) of an array of distinct digests.
+
+    Digests of a subtable are dealt by the high bits of their place, then by all of them.
+    """
+    part = max(1, size // 4)
+    return f"""flatten(transform(sequence(0, {3 * size // part - 1}), g -> transform(
+        array(filter({found}, h -> {place('h', f'g * {part} div {size}', size)} div {part} = g % {size // part})),
+        few -> transform(sequence(0, {part - 1}), c -> aggregate(
+            filter(few, h -> {place('h', f'g * {part} div {size}', size)} % {part} = c),
+            cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
+            (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0]))"""
 
 
 def difference(a: str, b: str) -> str:
@@ -70,9 +76,13 @@ def difference(a: str, b: str) -> str:
 def peeled(cells: str, size: int) -> str:
     """SQL: the number of digests that peeling recovers, null where cells are left over."""
     pure = f"""array_distinct(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks))"""
-    taken = f"""transform(acc.cells, (c, i) -> aggregate(
-        filter(one, p -> {place('p.keys', f'i div {size}', size)} = i % {size}), c,
-        (left, p) -> struct(left.n - p.n AS n, left.keys ^ p.keys AS keys, left.checks ^ p.checks AS checks)))"""
+    part = max(1, size // 4)
+    group = place("p.keys", f"g * {part} div {size}", size)
+    taken = f"""flatten(transform(sequence(0, {3 * size // part - 1}), g -> transform(
+        array(filter(one, p -> {group} div {part} = g % {size // part})),
+        few -> if(size(few) = 0, slice(acc.cells, g * {part} + 1, {part}),
+            transform(slice(acc.cells, g * {part} + 1, {part}), (c, i) -> aggregate(filter(few, p -> {group} % {part} = i), c,
+                (left, p) -> struct(left.n - p.n AS n, left.keys ^ p.keys AS keys, left.checks ^ p.checks AS checks)))))[0]))"""
     step = f"""if(acc.going, aggregate(array({pure}), acc, (acc, one) ->
         struct({taken} AS cells, acc.took + size(one) AS took, size(one) > 0 AS going)), acc)"""
     return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, 0 AS took, true AS going), (acc, i) -> {step},
@@ -90,36 +100,39 @@ def estimated(cells: str, size: int, a: str, b: str) -> str:
     return f"greatest(double(abs({a} - {b})), least(double({a} + {b}), {raw}))"
 
 
+def folded(cells: str, large: int, small: int) -> str:
+    """SQL: the sketch with smaller subtables, from one with larger: places keep their low bits."""
+    parts = [f"{cells}[c div {small} * {large} + c % {small} + {k * small}]" for k in range(large // small)]
+    return f"""transform(sequence(0, {3 * small - 1}), c -> cast(struct(
+        {' + '.join(f'{p}.n' for p in parts)} AS n, {' ^ '.join(f'{p}.keys' for p in parts)} AS keys,
+        {' ^ '.join(f'{p}.checks' for p in parts)} AS checks) AS {CELL}))""".replace(f"c div {small} * {large}", f"int(c div {small}) * {large}")
+
+
 def likeness(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
-    """Add column ``name``: likeness of the sketches of digest arrays ``a`` and ``b``.
+    """Add column ``name``: likeness of two sketches.
 
-    Two empty sets are alike (1). Column ``<a>_cells`` and ``<b>_cells`` hold the smallest sketches.
+    Columns ``<a>_cells`` and ``<b>_cells`` hold the largest sketches, ``<a>_size`` and ``<b>_size``
+    the set sizes. Two empty sets are alike (1).
     """
     small, large = SIZES
-    failed = f"{name}_small IS NULL"
     return (
         frame.withColumn(f"{name}_cells", F.expr(difference(f"{a}_cells", f"{b}_cells")))
-        .withColumn(f"{name}_small", F.expr(peeled(f"{name}_cells", small)))
-        .withColumn(f"{name}_cells", F.expr(f"if({failed}, {difference(sketch(a, large), sketch(b, large))}, null)"))
-        .withColumn(f"{name}_large", F.expr(f"if({failed}, {peeled(f'{name}_cells', large)}, null)"))
+        .withColumn(f"{name}_small", F.expr(peeled(folded(f"{name}_cells", large, small), small)))
+        .withColumn(f"{name}_large", F.expr(f"if({name}_small IS NULL, {peeled(f'{name}_cells', large)}, null)"))
         .withColumn(
             f"{name}_apart",
-            F.expr(
-                f"""coalesce(double({name}_small), double({name}_large), {estimated(f'{name}_cells', large, f'size({a})', f'size({b})')})"""
-            ),
+            F.expr(f"coalesce(double({name}_small), double({name}_large), {estimated(f'{name}_cells', large, f'{a}_size', f'{b}_size')})"),
         )
         .withColumn(
             name,
-            F.expr(
-                f"""if(size({a}) + size({b}) = 0, 1D, (size({a}) + size({b}) - {name}_apart) / (size({a}) + size({b}) + {name}_apart))"""
-            ),
+            F.expr(f"if({a}_size + {b}_size = 0, 1D, ({a}_size + {b}_size - {name}_apart) / ({a}_size + {b}_size + {name}_apart))"),
         )
         .drop(f"{name}_cells", f"{name}_small", f"{name}_large", f"{name}_apart")
     )
 
 
 def printed(cells: str) -> Column:
-    """The smallest sketch as text: count, digest and check sums of every cell in hexadecimal."""
+    """A sketch as text: count, digest and check sums of every cell in hexadecimal."""
     return F.expr(f"array_join(transform({cells}, c -> if(c.n = 0, '-', concat_ws(':', lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks))))), ',')")
 
 
@@ -174,7 +187,8 @@ def fingerprint(docs: DataFrame) -> DataFrame:
     The edited text is the text with its last third (rounded down) replaced by the first as
     many code points of the next document. Null texts count as empty.
     """
-    small = SIZES[0]
+    small, large = SIZES
+    sets = ("own", "changed", "next_own")
     rows = (
         docs.select("doc_id", text_or_empty().alias("text"))
         .withColumn("hashes", clause_hashes("text"))
@@ -190,15 +204,16 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("hashes", clause_hashes("edited"))
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
-        .withColumns({f"{c}_cells": F.expr(sketch(c, small)) for c in ("own", "changed", "next_own")})
+        .withColumns({f"{c}_cells": F.expr(sketch(c, large)) for c in sets} | {f"{c}_size": F.size(c) for c in sets})
+        .drop(*sets)
     )
     near = likeness(likeness(near, "own", "changed", "near_edited"), "own", "next_own", "near_next")
     return near.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
-        printed("own_cells").alias("fingerprint"),
-        printed("changed_cells").alias("edited_fingerprint"),
+        printed(folded("own_cells", large, small)).alias("fingerprint"),
+        printed(folded("changed_cells", large, small)).alias("edited_fingerprint"),
         "near_edited",
         "near_next",
     )
