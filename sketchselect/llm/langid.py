@@ -86,27 +86,29 @@ def scorer(dictionaries: dict[str, bytes], level: int = 9):
     return score
 
 
-def predict(docs: DataFrame, dictionaries: dict[str, bytes], keep: list[str]) -> DataFrame:
-    """``keep`` columns of ``docs`` plus lang_pred and score, from the text alone.
+def predict(
+    docs: DataFrame, dictionaries: dict[str, bytes], keep: list[str], names: tuple[str, str] = ("lang_pred", "score")
+) -> DataFrame:
+    """``keep`` columns of ``docs`` plus the predicted language and its score, from the text alone.
 
     ``und`` with score 0 where the text is null or has no letter, or nothing was learned.
     Dictionaries are bounded (``DICTIONARY_BYTES`` each), so they travel with the task.
     """
-    schema = docs.select(*keep).withColumns({"lang_pred": F.lit(""), "score": F.lit(0.0)}).schema
-    names = list(dict.fromkeys([*keep, "text"]))
-    at = names.index("text")
+    schema = docs.select(*keep).withColumns({names[0]: F.lit(""), names[1]: F.lit(0.0)}).schema
+    read = list(dict.fromkeys([*keep, "text"]))
+    at = read.index("text")
 
     def run(batches):
         score = scorer(dictionaries)
         for batch in batches:
             found = [score(t.as_py()) for t in batch.column(at)]
-            columns = [batch.column(names.index(k)) for k in keep]
+            columns = [batch.column(read.index(k)) for k in keep]
             yield pa.RecordBatch.from_arrays(
                 [*columns, pa.array([x[0] for x in found], pa.string()), pa.array([x[1] for x in found], pa.float64())],
-                names=[*keep, "lang_pred", "score"],
+                names=[*keep, *names],
             )
 
-    return docs.select(*names).mapInArrow(run, schema)
+    return docs.select(*read).mapInArrow(run, schema)
 
 
 def identify(docs: DataFrame) -> DataFrame:

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -42,3 +44,155 @@ def fingerprint_components(docs: DataFrame, size: int = 3, radius: int = 2) -> D
     return prints.join(named, "code").select(
         "doc_id", F.lower(F.lpad(F.hex("code"), 16, "0")).alias("fingerprint"), "component_id"
     )
+
+
+#: Sub-document fingerprints of a document, and shingles in each.
+BANDS, PICKS = 24, 4
+#: Ids up to this many are broadcast; more are joined by a shuffle.
+BROADCAST_IDS = 2_000_000
+
+
+def _multipliers() -> tuple[np.ndarray, np.ndarray]:
+    draw = np.random.default_rng(20240229)
+    n = BANDS * PICKS
+    return draw.integers(1 << 62, size=(n, 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1), draw.integers(1 << 63, size=(n, 1), dtype=np.uint64)
+
+
+def band_codes(found: np.ndarray) -> list[int]:
+    """SimHashes of BANDS sub-documents: each is the PICKS shingles least under as many orders.
+
+    Two documents of shingle similarity s pick the same shingles, and so the same code, in
+    a band with probability s ** PICKS.
+    """
+    odd, plus = _multipliers()
+    best = np.full(BANDS * PICKS, ~np.uint64(0))
+    pick = np.zeros(BANDS * PICKS, np.uint64)
+    for at in range(0, len(found), 4096):
+        part = found[at : at + 4096]
+        order = part * odd + plus
+        order ^= order >> np.uint64(32)
+        order *= np.uint64(0xD6E8FEB86659FD93)
+        least = order.argmin(1)
+        value = np.take_along_axis(order, least[:, None], 1)[:, 0]
+        new = value <= best
+        best[new], pick[new] = value[new], part[least[new]]
+    ones = shingles.bits(pick).reshape(BANDS, PICKS, 64).sum(1)
+    return np.packbits(2 * ones > PICKS, axis=1).view(">u8").ravel().astype(np.uint64).view(np.int64).tolist()
+
+
+def signatures(docs: DataFrame, size: int) -> DataFrame:
+    """doc_id, digest of the word sequence, code of the whole text, codes of its sub-documents."""
+
+    def run(batches):
+        for batch in batches:
+            digests, codes, bands = [], [], []
+            for t in batch.column(1):
+                words = shingles.words(t.as_py())
+                found = shingles.hashes(words, size)
+                digests.append(xxhash.xxh128_digest(b" ".join(words)))
+                codes.append(shingles.signed(shingles.simhash(found)))
+                bands.append(band_codes(np.unique(found)) if len(found) else [])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array(digests, pa.binary()), pa.array(codes, pa.int64()), pa.array(bands, pa.list_(pa.int64()))],
+                names=["doc_id", "digest", "code", "bands"],
+            )
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, digest binary, code long, bands array<long>")
+
+
+def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
+    """doc_id and shingles: the sorted distinct shingle hashes of each text."""
+
+    def run(batches):
+        for batch in batches:
+            sets = [np.unique(shingles.hashes(shingles.words(t.as_py()), size)).view(np.int64) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["doc_id", "shingles"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, shingles array<long>")
+
+
+def candidate_pairs(unique: DataFrame, radius: int, scope: str) -> DataFrame:
+    """Distinct pairs (a, b), a < b, of documents that may be near copies.
+
+    From the Gray-order index over whole-text codes, and from groups that share a
+    sub-document code. A group is linked to three of its members, not to all pairs of them:
+    the one that shares most codes with others (the likely original of many edited copies),
+    the smallest id, and one by hash that differs from group to group.
+    """
+    nodes = unique.groupBy("code").agg(F.min("doc_id").alias("id"), F.max("doc_id").alias("other"))
+    whole = links(nodes.select("code", "id"), radius)
+    # equal whole-text codes of different texts
+    twins = unique.join(nodes.filter("id < other").select("code", "id"), "code").filter("doc_id <> id").select(F.col("doc_id").alias("a"), F.col("id").alias("b"))
+    dealt = unique.select("doc_id", F.posexplode("bands").alias("band", "at"))
+    shared = dealt.groupBy("band", "at").agg(F.count("*").alias("n")).filter("n > 1")
+    live = written(dealt.join(shared, ["band", "at"]), "live", scope)
+    ranked = live.join(live.groupBy("doc_id").agg(F.sum("n").alias("degree")), "doc_id")
+    hubs = ranked.groupBy("band", "at").agg(
+        F.max(F.struct("degree", "doc_id")).alias("top"),
+        F.min("doc_id").alias("least"),
+        F.min(F.struct(F.xxhash64("doc_id", "band"), "doc_id")).alias("drawn"),
+    )
+    hub = F.explode(F.array_distinct(F.array("top.doc_id", "least", "drawn.doc_id")))
+    grouped = live.join(hubs, ["band", "at"]).select(F.col("doc_id").alias("a"), hub.alias("b"))
+    every = whole.unionByName(twins).unionByName(grouped).filter("a <> b")
+    return every.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs whose shingle sets have at least the Jaccard similarity asked."""
+
+    def run(batches):
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3), strict=True):
+                x, y = x.values.to_numpy(), y.values.to_numpy()
+                common = len(np.intersect1d(x, y, assume_unique=True))
+                union = len(x) + len(y) - common
+                keep.append(union > 0 and common >= similarity * union - 1e-9)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x"), F.size("shingles").alias("nx"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"), F.size("shingles").alias("ny"))
+    # sets whose sizes alone rule the similarity out are not compared
+    fit = F.expr(f"least(nx, ny) >= {similarity} * greatest(nx, ny) - 1e-9")
+    return pairs.join(left, "a").join(right, "b").filter(fit).select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+
+
+def among(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
+    """Semi or anti join of documents with a written table of ids (column ``_id``)."""
+    small = ids.count() <= BROADCAST_IDS
+    return docs.join(F.broadcast(ids) if small else ids, docs["doc_id"] == ids["_id"], how)
+
+
+def drop_near_duplicates(
+    docs: DataFrame, size: int = 5, similarity: float = 0.8, radius: int = 2, scope: str = "query"
+) -> DataFrame:
+    """The documents, all columns, with one of each group of near copies: its smallest doc_id.
+
+    Near copies have a Jaccard similarity of word shingles of at least ``similarity``, or are
+    linked by such pairs. Texts of equal words are one group whatever their length; texts
+    without words form one. Repeated rows of one doc_id and text become one; rows without
+    doc_id always stay.
+    """
+    marks = written(signatures(docs.filter("doc_id is not null"), size), "marks", scope)
+    unique = written(
+        marks.groupBy("digest").agg(F.min(F.struct("doc_id", "code", "bands")).alias("first")).select("first.*"), "unique", scope
+    )
+    pairs = written(candidate_pairs(unique, radius, scope), "pairs", scope)
+    ends = written(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct(), "ends", scope)
+    sets = written(shingle_sets(among(docs, ends, "left_semi"), size), "sets", scope)
+    joined = components(verified(pairs, sets, similarity), scope)
+    gone = written(
+        marks.select("doc_id")
+        .join(unique.select("doc_id"), "doc_id", "left_anti")
+        .union(joined.filter("node <> component").select("node"))
+        .select(F.col("doc_id").alias("_id"))
+        .distinct(),
+        "gone",
+        scope,
+    )
+    kept = among(docs, gone, "left_anti")
+    counted = marks.agg(F.count("*"), F.count_distinct("doc_id")).first()
+    if counted[0] == counted[1]:
+        return kept
+    return kept.filter("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(kept.filter("doc_id is null"))

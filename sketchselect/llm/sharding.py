@@ -112,3 +112,13 @@ def shard_documents(docs: DataFrame, shards: int = 40) -> DataFrame:
         F.col("slot").cast("long").alias("slot"),
         F.lit(None).cast("int").alias("grown_shard"),
     )
+
+
+def sharded(docs: DataFrame, shards: int = 40) -> DataFrame:
+    """The documents, all columns, with shard and slot (any columns of these names are replaced)."""
+    text = text_or_empty()
+    rows = docs.drop("shard", "slot").withColumns(
+        {"_bytes": (F.octet_length(text) + 16).cast("long"), "_crc": F.crc32(text), "_key": F.sha2(text, 256)}
+    )
+    placed = assign_shards(rows, "_key", "_bytes", shards)
+    return number_slots(placed, ["doc_id", "_crc", "_bytes"]).drop("_bytes", "_crc", "_key")
