@@ -102,32 +102,32 @@ def estimated(cells: str, size: int, a: str, b: str) -> str:
 
 def folded(cells: str, large: int, small: int) -> str:
     """SQL: the sketch with smaller subtables, from one with larger: places keep their low bits."""
-    parts = [f"{cells}[c div {small} * {large} + c % {small} + {k * small}]" for k in range(large // small)]
-    return f"""transform(sequence(0, {3 * small - 1}), c -> cast(struct(
-        {' + '.join(f'{p}.n' for p in parts)} AS n, {' ^ '.join(f'{p}.keys' for p in parts)} AS keys,
-        {' ^ '.join(f'{p}.checks' for p in parts)} AS checks) AS {CELL}))""".replace(f"c div {small} * {large}", f"int(c div {small}) * {large}")
+
+    def added(parts: list[str]) -> str:
+        if len(parts) == 1:
+            return parts[0]
+        half = len(parts) // 2
+        return f"""zip_with({added(parts[:half])}, {added(parts[half:])},
+            (x, y) -> struct(x.n + y.n AS n, x.keys ^ y.keys AS keys, x.checks ^ y.checks AS checks))"""
+
+    tables = [added([f"slice({cells}, {t * large + k * small + 1}, {small})" for k in range(large // small)]) for t in range(3)]
+    return f"concat({', '.join(tables)})"
 
 
 def likeness(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
     """Add column ``name``: likeness of two sketches.
 
-    Columns ``<a>_cells`` and ``<b>_cells`` hold the largest sketches, ``<a>_size`` and ``<b>_size``
-    the set sizes. Two empty sets are alike (1).
+    Columns ``<a>_small``, ``<a>_large`` and the same of b hold the sketches, ``<a>_size`` and
+    ``<b>_size`` the set sizes. Two empty sets are alike (1).
     """
     small, large = SIZES
     return (
-        frame.withColumn(f"{name}_cells", F.expr(difference(f"{a}_cells", f"{b}_cells")))
-        .withColumn(f"{name}_small", F.expr(peeled(folded(f"{name}_cells", large, small), small)))
-        .withColumn(f"{name}_large", F.expr(f"if({name}_small IS NULL, {peeled(f'{name}_cells', large)}, null)"))
-        .withColumn(
-            f"{name}_apart",
-            F.expr(f"coalesce(double({name}_small), double({name}_large), {estimated(f'{name}_cells', large, f'{a}_size', f'{b}_size')})"),
-        )
-        .withColumn(
-            name,
-            F.expr(f"if({a}_size + {b}_size = 0, 1D, ({a}_size + {b}_size - {name}_apart) / ({a}_size + {b}_size + {name}_apart))"),
-        )
-        .drop(f"{name}_cells", f"{name}_small", f"{name}_large", f"{name}_apart")
+        frame.withColumn("_few", F.expr(peeled(difference(f"{a}_small", f"{b}_small"), small)))
+        .withColumn("_cells", F.expr(f"if(_few IS NULL, {difference(f'{a}_large', f'{b}_large')}, null)"))
+        .withColumn("_many", F.expr(f"if(_few IS NULL, {peeled('_cells', large)}, null)"))
+        .withColumn("_apart", F.expr(f"coalesce(double(_few), double(_many), {estimated('_cells', large, f'{a}_size', f'{b}_size')})"))
+        .withColumn(name, F.expr(f"if({a}_size + {b}_size = 0, 1D, ({a}_size + {b}_size - _apart) / ({a}_size + {b}_size + _apart))"))
+        .drop("_few", "_cells", "_many", "_apart")
     )
 
 
@@ -204,16 +204,17 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("hashes", clause_hashes("edited"))
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
-        .withColumns({f"{c}_cells": F.expr(sketch(c, large)) for c in sets} | {f"{c}_size": F.size(c) for c in sets})
+        .withColumns({f"{c}_large": F.expr(sketch(c, large)) for c in sets} | {f"{c}_size": F.size(c) for c in sets})
         .drop(*sets)
+        .withColumns({f"{c}_small": F.expr(folded(f"{c}_large", large, small)) for c in sets})
     )
     near = likeness(likeness(near, "own", "changed", "near_edited"), "own", "next_own", "near_next")
     return near.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
-        printed(folded("own_cells", large, small)).alias("fingerprint"),
-        printed(folded("changed_cells", large, small)).alias("edited_fingerprint"),
+        printed("own_small").alias("fingerprint"),
+        printed("changed_small").alias("edited_fingerprint"),
         "near_edited",
         "near_next",
     )
