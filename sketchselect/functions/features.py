@@ -22,19 +22,23 @@ def word_set(text: Column) -> Column:
     return F.array_distinct(words(text))
 
 
+def substrings(text: Column, n: int) -> Column:
+    """All substrings of n characters in order, in time linear in the text.
+
+    A zero-width match at every position captures what follows it; positions inside a
+    surrogate pair are left out.
+    """
+    return F.regexp_extract_all(text, F.lit(rf"(?s)(?![\uDC00-\uDFFF])(?=(.{{{n}}}))"), F.lit(1))
+
+
 def char_ngrams(text: Column, n: int) -> Column:
     """Distinct substrings of n characters; none where the text is shorter."""
-    last = F.length(text) - n + 1
-    grams = F.transform(F.sequence(F.lit(1), last), lambda i: F.substring(text, i, F.lit(n)))
-    return F.array_distinct(F.when(last >= 1, grams).otherwise(F.array().cast("array<string>")))
+    return F.array_distinct(substrings(text, n))
 
 
 def kmers(text: Column, k: int, alphabet: str) -> Column:
     """All k-mers in order whose characters lie in ``alphabet`` (a character class)."""
-    last = F.length(text) - k + 1
-    grams = F.transform(F.sequence(F.lit(1), last), lambda i: F.substring(text, i, F.lit(k)))
-    whole = F.when(last >= 1, grams).otherwise(F.array().cast("array<string>"))
-    return F.filter(whole, lambda g: g.rlike(f"^[{alphabet}]+$"))
+    return F.filter(substrings(text, k), lambda g: g.rlike(f"^[{alphabet}]+$"))
 
 
 def kmer_code(kmer: Column, alphabet: str) -> Column:

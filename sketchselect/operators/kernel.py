@@ -131,6 +131,7 @@ class TrainSpec:
     step_source: Literal["queried", "direction"] = "queried"
     heap_refresh: Literal["end", "before_second_fetch"] = "end"
     guard: float = 1e-10
+    first_scale: Literal["one", "inverse_norm"] = "one"
     l2: float = 0.0
     ridge: float = 1e-3
     grad_scale: Literal["sum", "mean"] = "sum"
@@ -287,6 +288,21 @@ class Trainer:
         self.log: list[tuple] = []
         self._quiet = 0
 
+    def state(self) -> dict:
+        """The state as plain arrays, for storage; sketched methods only."""
+        return {
+            "cells": self.store.cells, "heaps": [(h.ids, h.values) for h in self.heaps], "rings": [r.pairs for r in self.rings],
+            "t": self.t, "log": self.log, "quiet": self._quiet,
+        }
+
+    @classmethod
+    def restored(cls, sketch: SketchSpec, train: TrainSpec, state: dict) -> Trainer:
+        out = cls(sketch, train, state["cells"], [TopKHeap(train.k, i, v) for i, v in state["heaps"]])
+        for ring, pairs in zip(out.rings, state["rings"], strict=True):
+            ring.pairs = pairs
+        out.t, out.log, out._quiet = state["t"], state["log"], state["quiet"]
+        return out
+
     def _slot(self, k: int, ids: np.ndarray) -> tuple[int, np.ndarray]:
         return (0, mixed_id(k, ids)) if self.shared else (k, ids)
 
@@ -346,6 +362,10 @@ class Trainer:
             z = self.newton(batch, at, len(ids), g, margins)
         else:
             z = np.stack([self.rings[k].product(ids, g[:, k]) for k in range(self.k)], 1)
+            if train.first_scale == "inverse_norm" and self.rings[0].size:
+                for k in range(self.k):
+                    if not self.rings[k].pairs:
+                        z[:, k] /= max(float(np.linalg.norm(g[:, k])), 1e-300)
         for k in range(self.k):
             slot, names = self._slot(k, ids)
             self.store.add(slot, names, -eta * z[:, k], places[k])

@@ -65,7 +65,7 @@ def recovery(found: DataFrame, truth: DataFrame, keys: list[str]) -> DataFrame:
     precision, recall = F.col("_hit") / F.greatest("_got", F.lit(1)), F.col("_hit") / F.greatest("_true", F.lit(1))
     return table.select(
         *keys, "l2_error", (F.col("_hit") == F.col("_true")).alias("success"), precision.alias("precision"), recall.alias("recall"),
-        F.coalesce(2 * precision * recall / (precision + recall), F.lit(0.0)).alias("f1"),
+        F.coalesce(F.try_divide(2 * precision * recall, precision + recall), F.lit(0.0)).alias("f1"),
     )
 
 

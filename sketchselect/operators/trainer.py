@@ -133,8 +133,10 @@ def run_configs(
         allowed = F.create_map(*[F.lit(x) for c, n in limits.items() for x in (c, n)])
         rows = rows.filter((F.col("phase") == 1) | (F.col("epoch") < F.element_at(allowed, F.col("config").cast("int"))))
 
+    scored = supports if test is not None else ()
+
     def run(batches):
-        return as_batches(replayed(batches, lambda c: Trainer(*configs[c]), supports if test is not None else ()))
+        return as_batches(replayed(batches, lambda c: Trainer(*configs[c]), scored))
 
     dealt = rows.repartition(1) if len(configs) == 1 else rows.repartitionByRange(len(configs), "config")
     return dealt.sortWithinPartitions(*ORDER).select(*ORDER, *fields).mapInArrow(run, BLOCKS)

@@ -89,7 +89,7 @@ def star(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: Planted click rule: categories of these columns whose draw is small carry a weight.
 PLANT_COLUMNS = ("p_brand", "p_type", "c_mktsegment", "o_orderpriority", "c_nationkey", "l_returnflag", "l_linestatus")
-PLANT_BASE = 5.2
+PLANT_BASE = 8.0
 
 
 def planted_weight(category):
