@@ -2,53 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sketchselect.tables import release, shared_dir, written
+
 #: A word of a text: a run without space, tab, newline, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
 
-_own_dirs: dict[str, tempfile.TemporaryDirectory] = {}
-_written: dict[str, list[str]] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from ``spark.checkpoint.dir``.
-
-    Where the setting is absent (tests on one machine) a temporary folder stands in;
-    on a cluster without the setting this raises, since a machine-local folder would
-    lose rows.
-    """
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    if path:
-        return path.rstrip("/")
-    master = spark.sparkContext.master
-    if not (master == "local" or master.startswith("local[")):
-        raise RuntimeError("set spark.checkpoint.dir to a folder shared by driver and executors")
-    if "own" not in _own_dirs:
-        _own_dirs["own"] = tempfile.TemporaryDirectory(prefix="sketchselect-")
-    return "file://" + _own_dirs["own"].name
-
-
-def written(df: DataFrame, tag: str, scope: str = "query") -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts the lineage reliably."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.setdefault(scope, []).append(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release(spark: SparkSession, scope: str = "query") -> None:
-    """Delete the tables that ``written`` made under ``scope``; call once results are stored."""
-    jvm = spark.sparkContext._jvm
-    conf = spark.sparkContext._jsc.hadoopConfiguration()
-    for path in _written.pop(scope, []):
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(conf).delete(p, True)
+__all__ = ["WORD", "load", "release", "shared_dir", "text_or_empty", "written"]
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
