@@ -5,8 +5,16 @@ from __future__ import annotations
 from pyspark.sql import types as T
 
 
-def _of(ddl: str) -> T.StructType:
-    return T.StructType.fromDDL(ddl)
+_KINDS = {"INT": T.IntegerType(), "BIGINT": T.LongType(), "DOUBLE": T.DoubleType(), "FLOAT": T.FloatType(), "STRING": T.StringType(), "TIMESTAMP": T.TimestampType()}
+
+
+def _of(columns: str) -> T.StructType:
+    """A schema from ``name TYPE, ...``; needs no session, so modules import without one."""
+
+    def kind(name: str) -> T.DataType:
+        return T.ArrayType(kind(name[6:-1])) if name.startswith("ARRAY<") else _KINDS[name]
+
+    return T.StructType([T.StructField(n, kind(k)) for n, k in (c.split() for c in columns.split(","))])
 
 
 TABLES: dict[str, T.StructType] = {
