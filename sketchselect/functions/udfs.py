@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf, udtf
 
 from sketchselect.functions.hashing import SketchSpec, np_places
@@ -16,7 +17,7 @@ from sketchselect.operators.kernel import CountSketch
 def sketch_reader(spec: SketchSpec, cells: np.ndarray):
     """Scalar UDF: the estimate of a feature id from fixed cells (rows x buckets)."""
 
-    @pandas_udf("double")
+    @pandas_udf(T.DoubleType())
     def read(ids: pd.Series) -> pd.Series:
         return pd.Series(CountSketch(spec, 1, cells[None]).query(0, ids.to_numpy(np.int64)))
 
@@ -26,14 +27,14 @@ def sketch_reader(spec: SketchSpec, cells: np.ndarray):
 def signs(spec: SketchSpec, row: int):
     """Arrow UDF: the sign hash of one row."""
 
-    @arrow_udf("int")
+    @arrow_udf(T.IntegerType())
     def sign(ids: pa.Array) -> pa.Array:
         return pa.array(np_places(ids.to_numpy(zero_copy_only=False).astype(np.int64), spec)[1][row].astype(np.int32))
 
     return sign
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def auc(scores: pd.Series, labels: pd.Series) -> float:
     """Grouped aggregate: area under the ROC curve with average ranks."""
     pos, neg = float((labels > 0).sum()), float((labels <= 0).sum())
@@ -42,7 +43,7 @@ def auc(scores: pd.Series, labels: pd.Series) -> float:
     return (scores.rank()[labels > 0].sum() - pos * (pos + 1) / 2) / (pos * neg)
 
 
-@udtf(returnType="feature: string")
+@udtf(returnType=T.StructType([T.StructField("feature", T.StringType())]))
 class ExplodeFeatures:
     """Table function: character n-grams (kind ``gram``) or lower-case tokens (kind ``word``)."""
 
