@@ -7,8 +7,8 @@ the conversation's system turn and repeats up to ``history`` of the turns before
 the room that remains; assistant text is a target of the loss only where it is new.
 
 Template: a turn is ``<|role|>`` newline text ``<|end|>`` newline, the role and text with
-control strings escaped: a backslash doubles, and a control string gets a backslash
-after its first character. So a text can never close a turn or open another.
+control strings escaped: a backslash doubles, and every control string, overlapping ones too,
+gets a backslash after its first character. So a text can never close a turn or open another.
 
 Turns stream through in order of (conversation, turn), so a conversation of any length
 needs the memory of one window.
@@ -30,13 +30,14 @@ from sketchselect.llm.common import WORD
 
 #: Strings that templates of chat models give a meaning to.
 CONTROL = re.compile(r"<\||\|>|<s>|</s>|\[INST\]|\[/INST\]|<<SYS>>|<</SYS>>")
+STARTS = re.compile(rf"(?=(?:{CONTROL.pattern}))(.)")
 UNDO = re.compile(r"\\(.)", re.S)
 TURN = re.compile(r"<\|((?:[^\\|]|\\.|\|(?!>))*)\|>\n(.*?)<\|end\|>\n", re.S)
 TOKEN = re.compile(WORD)
 
 
 def escape(text: str) -> str:
-    return CONTROL.sub(lambda m: m[0][0] + "\\" + m[0][1:], text.replace("\\", "\\\\"))
+    return STARTS.sub(r"\1\\", text.replace("\\", "\\\\"))
 
 
 def unescape(text: str) -> str:

@@ -153,9 +153,11 @@ def texts(parts: Iterable) -> tuple[np.ndarray, list[bytes]]:
 
 def spread(order: np.ndarray, places: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
     """(place, members of it in ``order``) for each place."""
+    if not len(order):
+        return
     by = order[np.argsort(places[order], kind="stable")]
     found = places[by]
-    edge = np.flatnonzero(np.r_[True, found[1:] != found[:-1]]) if len(found) else np.empty(0, int)
+    edge = np.flatnonzero(np.r_[True, found[1:] != found[:-1]])
     for a, z in zip(edge, np.r_[edge[1:], len(found)], strict=True):
         yield int(found[a]), by[a:z]
 
