@@ -51,20 +51,32 @@ def digests(hashes: str) -> Column:
         acc -> acc.again)))""")
 
 
-def place(digest: str, table: str, size: int) -> str:
-    return f"int(shiftrightunsigned({digest}, 16 * ({table})) & {size - 1})"
+def layout(size: int) -> str:
+    """SQL literal: where digests lie, as masks and values of their bits.
+
+    Subtable j reads its place from the bits from 16 j on. Cells come in groups that share the
+    high bits of the place; each group has its first cell's index, its mask and value, and
+    those of its cells.
+    """
+    part = max(1, size // 4)
+    groups = []
+    for j in range(3):
+        for at in range(0, size, part):
+            cells = ", ".join(f"named_struct('m', {(size - 1) << 16 * j}L, 'v', {(at + c) << 16 * j}L)" for c in range(part))
+            mask = ((size - 1) & ~(part - 1)) << 16 * j
+            groups.append(f"named_struct('i', {j * size + at + 1}, 'm', {mask}L, 'v', {at << 16 * j}L, 'c', array({cells}))")
+    return f"array({', '.join(groups)})"
 
 
 def sketch(found: str, size: int) -> str:
     """SQL: cells (n, keys, checks) of an array of distinct digests.
 
-    Digests of a subtable are dealt by the high bits of their place, then by all of them.
+    Digests are dealt to groups of cells first, then to the cells of each.
     """
-    part = max(1, size // 4)
-    return f"""flatten(transform(sequence(0, {3 * size // part - 1}), g -> transform(
-        array(filter({found}, h -> {place('h', f'g * {part} div {size}', size)} div {part} = g % {size // part})),
-        few -> transform(sequence(0, {part - 1}), c -> aggregate(
-            filter(few, h -> {place('h', f'g * {part} div {size}', size)} % {part} = c),
+    return f"""flatten(transform({layout(size)}, g -> transform(
+        array(filter({found}, h -> (h & g.m) = g.v)),
+        few -> transform(g.c, c -> aggregate(
+            filter(few, h -> (h & c.m) = c.v),
             cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
             (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0]))"""
 
@@ -77,11 +89,10 @@ def peeled(cells: str, size: int) -> str:
     """SQL: the number of digests that peeling recovers, null where cells are left over."""
     pure = f"""array_distinct(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks))"""
     part = max(1, size // 4)
-    group = place("p.keys", f"g * {part} div {size}", size)
-    taken = f"""flatten(transform(sequence(0, {3 * size // part - 1}), g -> transform(
-        array(filter(one, p -> {group} div {part} = g % {size // part})),
-        few -> if(size(few) = 0, slice(acc.cells, g * {part} + 1, {part}),
-            transform(slice(acc.cells, g * {part} + 1, {part}), (c, i) -> aggregate(filter(few, p -> {group} % {part} = i), c,
+    taken = f"""flatten(transform({layout(size)}, g -> transform(
+        array(filter(one, p -> (p.keys & g.m) = g.v)),
+        few -> if(size(few) = 0, slice(acc.cells, g.i, {part}),
+            zip_with(slice(acc.cells, g.i, {part}), g.c, (c, q) -> aggregate(filter(few, p -> (p.keys & q.m) = q.v), c,
                 (left, p) -> struct(left.n - p.n AS n, left.keys ^ p.keys AS keys, left.checks ^ p.checks AS checks)))))[0]))"""
     step = f"""if(acc.going, aggregate(array({pure}), acc, (acc, one) ->
         struct({taken} AS cells, acc.took + size(one) AS took, size(one) > 0 AS going)), acc)"""
