@@ -36,12 +36,14 @@ ROLES = frozenset(
 )
 NAMES = re.compile(
     r"(?:^|[\s_-])(?:ads?|advert\w*|adsense|banner|promo\w*|sponsor\w*|cookies?|consent|gdpr|notice|notification|alert|popup|"
-    r"modal|overlay|newsletter|subscribe|signup|login|nav\w*|menu\w*|breadcrumbs?|sidebars?|side|widget\w*|footer|header|masthead|"
+    r"modal|overlay|newsletter|subscribe|signup|login|nav\w*|menu\w*|breadcrumbs?|sidebars?|widget\w*|footer|header|masthead|"
     r"toolbar|comments?|commentlist|disqus|respond|replies|reply|share|sharing|social|related|recommended|pagination|pager|"
-    r"copyright|skip|toc|tags?|meta|hidden)(?:$|[\s_-])",
+    r"copyright)(?:$|[\s_-])",
     re.I,
 )
-HOLD = frozenset(("article", "main", "body", "html"))
+HOLD = frozenset(("main", "body", "html"))
+#: Elements whose end tag may be missing: the next of the same group ends them, as any block ends p.
+OPEN = {"p": "p", "li": "li", "dt": "dt dd", "dd": "dt dd", "tr": "tr td th", "td": "td th", "th": "td th", "option": "option"}
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z_:][\w:.-]*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'=<>`]+)))?")
 SPACE = re.compile(r"\s+")
@@ -60,7 +62,7 @@ class Line(NamedTuple):
 def boilerplate(tag: str, attributes: str, in_main: bool) -> bool:
     if tag in BOILERPLATE or tag == "header" and not in_main:
         return True
-    if not attributes or tag in HOLD or "=" not in attributes and "hidden" not in attributes:
+    if not attributes or tag in HOLD or tag == "article" and not in_main or "=" not in attributes and "hidden" not in attributes:
         return False
     for name, a, b, c in ATTRIBUTE.findall(attributes):
         name, value = name.lower(), a or b or c
@@ -126,15 +128,13 @@ def lines(page: str) -> Iterator[Line]:
             anchors += 1
         if tag in BLOCKS:
             yield from flush()
-            if tag in ("p", "li", "dt", "dd", "tr", "td", "th", "option"):
-                # such an element ends an open one of its kind, and p ends at any block
-                for i in range(len(stack) - 1, -1, -1):
-                    if stack[i][0] == tag:
-                        del stack[i:]
-                        break
-                    if stack[i][0] in BLOCKS and stack[i][0] not in ("p", "li", "dt", "dd", "tr", "td", "th", "option"):
-                        break
-                _, bad, main = stack[-1] if stack else ("", False, False)
+            ended = ("p", *OPEN.get(tag, "").split())
+            for i in range(len(stack) - 1, -1, -1):
+                if stack[i][0] in ended:
+                    del stack[i:]
+                elif stack[i][0] in BLOCKS and stack[i][0] not in OPEN:
+                    break
+            _, bad, main = stack[-1] if stack else ("", False, False)
         if tag not in VOID and not m[3].endswith("/"):
             bad = bad or boilerplate(tag, m[3], main)
             main = main or tag in ("article", "main")

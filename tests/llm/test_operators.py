@@ -266,6 +266,13 @@ def test_pages_without_an_article():
     assert html.main_text("plain &lt;b&gt; text") == "plain <b> text"
 
 
+def test_missing_end_tags_and_nested_articles():
+    page = """<main><p class="notice">note<div>one<p>two<ul><li>three<li class="ad">buy<li>four</ul>
+    <article class="comment"><p>said</article><article class="post"><p>five</article></main><p>after"""
+    assert html.main_text(page) == "one\n\ntwo\n\nthree\n\nfour\n\nfive"
+    assert html.main_text('<article class="post header-less"><p>kept</p><p hidden>gone</p></article>') == "kept"
+
+
 def test_runs_surge_and_dive():
     assert html.runs([0, 0, 0, 5, 0, 7, 0, 0, 0, 0, 3, 0], 3) == [(3, 6), (10, 11)]
 
