@@ -11,6 +11,7 @@ from sketchselect.functions import features as fe
 from sketchselect.functions import udfs
 from sketchselect.functions.hashing import SketchSpec
 from sketchselect.operators import sketch as sk
+from sketchselect.operators import theory
 from sketchselect.operators.kernel import Schedule, StopRule, TrainSpec
 from sketchselect.operators.trainer import Model, fit
 from sketchselect.plans import relational, selection, simulation, tasks, workloads
@@ -210,6 +211,36 @@ def model_roundtrip(spark, sf_dir):
     return Model.load(spark, path).topk_df()
 
 
+@query(
+    "SELECT d.doc_id AS example_id, CAST(count(DISTINCT word) AS INTEGER) AS n FROM labels l JOIN (SELECT doc_id, text, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS word FROM documents) d ON l.doc_id = d.doc_id "
+    "WHERE CAST('0x' || substr(md5(d.text), 1, 15) AS BIGINT) % 10 >= 8 GROUP BY d.doc_id"
+)
+def scan_pruned(spark, sf_dir):
+    """Packed examples written by split and batch group; the scan opens the test files only."""
+    path = new_path(spark, "packed")
+    tasks.toxic(spark, sf_dir).write.partitionBy("split").parquet(path)
+    return spark.read.parquet(path).filter("split = 'test' and size(idx) > 0").select("example_id", F.size("idx").alias("n"))
+
+
+@query()
+def theory_table(spark, sf_dir):
+    """Sizes by the theory for the tasks' shapes: order of cells, not constants."""
+    rows = [
+        (p, k, eps, delta, *map(float, (theory.topk_cells(p, k, 1.0, 0.1, eps, delta), *theory.convergence_size(eps, delta), theory.corollary_size(p, k, 1.0, 0.1, eps, delta))))
+        for p in (1000, 68_724, 54_686_452) for k in (8, 1000) for eps, delta in ((0.5, 0.1), (0.1, 0.01))
+    ]
+    return spark.createDataFrame(rows, "p long, k long, eps double, delta double, topk_cells double, buckets double, rows double, corollary double")
+
+
+@query()
+def training_log(spark, sf_dir):
+    """Per step: loss, gradient norm, pairs kept, active features, heap changes, memory."""
+    train, _, p = workloads.prepared(spark, sf_dir, "toxic")
+    return fit(train, *workloads.spec_of("toxic", "curvature", 10.0, p, 100)).log_df()
+
+
+QUERIES["search_best"] = lambda spark, sf_dir: workloads.searched(spark, sf_dir, "toxic", (0.01, 0.1), (10.0, 100.0))
+
 # ---- streams
 
 _TUMBLE = relational.ORACLES["win_tumbling"]
@@ -258,6 +289,19 @@ def stream_stateful_user(spark, sf_dir):
     return ev.run_once(ev.user_totals(ev.source(spark, sf_dir)), "users", "update").select("user_id", "n", F.round("total", 4).alias("total"))
 
 
+@query()
+def stream_watermark_late(spark, sf_dir):
+    """Hourly counts of two files, the second an hour's rows a week too late: they are dropped."""
+    path = new_path(spark, "late")
+    rows = load(spark, sf_dir, "events")
+    ends = rows.agg(F.min("ts").alias("first"), F.max("ts").alias("last")).first()
+    rows.filter(F.col("ts") > F.lit(ends["first"]) + F.expr("INTERVAL 1 DAY")).coalesce(1).write.mode("append").parquet(path)
+    rows.filter(F.col("ts") <= F.lit(ends["first"]) + F.expr("INTERVAL 1 HOUR")).coalesce(1).write.mode("append").parquet(path)
+    rows.filter(F.col("ts") == F.lit(ends["last"])).withColumn("ts", F.col("ts") + F.expr("INTERVAL 9 DAYS")).coalesce(1).write.mode("append").parquet(path)
+    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    return ev.run_once(ev.tumbling(stream), "late")
+
+
 @query()
 def stream_train(spark, sf_dir):
     path = new_path(spark, "examples")

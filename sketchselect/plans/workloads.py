@@ -88,6 +88,19 @@ def search_eta(spark: SparkSession, sf_dir: str, task: str, etas=(0.001, 0.01, 0
     return sweep(spark, sf_dir, task, [{"method": m, "eta": e, "k": 500} for m in methods for e in etas])
 
 
+def searched(
+    spark: SparkSession, sf_dir: str, task: str, etas=(0.003, 0.01, 0.03, 0.1, 0.3, 1.0), cfs=(10.0, 100.0, 1000.0), methods=SKETCHED, k: int = 500, epochs: int = 1, **more
+) -> DataFrame:
+    """Each method at its best step size, per compression factor: task, method, cf, eta, accuracy, auc.
+
+    Best by AUC where there is one score, else by accuracy; ties go to the smaller step.
+    """
+    grid = [{"method": m, "cf": c, "eta": e, "k": k, "epochs": epochs, "more": more} for m in methods for c in cfs for e in etas]
+    table = sweep(spark, sf_dir, task, grid)
+    best = F.max(F.struct(F.coalesce("auc", "accuracy").alias("by"), (-F.col("eta")).alias("small"), "eta", "accuracy", "auc"))
+    return table.groupBy("task", "method", "cf").agg(best.alias("b")).select("task", "method", "cf", "b.eta", "b.accuracy", "b.auc").orderBy("cf", "method")
+
+
 def ablation(spark: SparkSession, sf_dir: str, task: str = "words") -> DataFrame:
     """The readings of the method that its description leaves open, one at a time."""
     kinds = {
