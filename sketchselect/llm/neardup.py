@@ -49,7 +49,7 @@ def fingerprint_components(docs: DataFrame, size: int = 3, radius: int = 2) -> D
 #: Sub-document fingerprints of a document, and shingles in each.
 BANDS, PICKS = 24, 4
 #: Ids up to this many are broadcast; more are joined by a shuffle.
-BROADCAST_IDS = 2_000_000
+BROADCAST_IDS = 500_000
 
 
 def _multipliers() -> tuple[np.ndarray, np.ndarray]:

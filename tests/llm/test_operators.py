@@ -180,7 +180,9 @@ def test_components_of_a_long_path(spark):
     assert got == {**{i: 0 for i in range(201)}, 500: 400, 400: 400}
 
 
-def test_near_duplicates_match_brute_force(spark):
+@pytest.mark.parametrize("few", [500_000, 0])
+def test_near_duplicates_match_brute_force(spark, few, monkeypatch):
+    monkeypatch.setattr(neardup, "BROADCAST_IDS", few)
     rng = random.Random(8)
     docs = []
     for _ in range(30):
@@ -287,7 +289,10 @@ def test_targets_fill_up_to_the_cap(spark):
     assert got["b"][1] == pytest.approx(970.0)
 
 
-def test_mix_comes_near_its_targets(spark):
+@pytest.mark.parametrize("few", [500_000, 0])
+def test_mix_comes_near_its_targets(spark, few, monkeypatch):
+    monkeypatch.setattr(mixing, "BROADCAST_ROWS", few)
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", few)
     rng = random.Random(4)
     rows = [(i, prose(rng, rng.randint(0, 300)) if i % 17 else None, "en", f"s{i % 5}" if i % 11 else None, 0, "x") for i in range(400)]
     docs = spark.createDataFrame(rows, DOC)
