@@ -13,7 +13,7 @@ without shuffling a row for each position:
    order, truncated at ``length``. Neighbours that agree in ``length`` bytes form a class;
    within it the previous and next smaller documents in suffix order exist exactly where a
    document is above the least of the class, so that least is each window's earliest match.
-3. The earliest matches go back to the buckets, and windows of later documents are cut out.
+3. Matches earlier than the bucket's own go back to it, and windows of later documents are cut out.
 
 Buckets see the text three times; the plan shuffles it once and reuses that exchange.
 """
@@ -316,13 +316,21 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
                     strings += [raw[a:z] for a, z in zip([0, *ends[:-1]], ends, strict=True)]
                     ids.append(unpack(least))
                     sources.append((b, unpack(which)))
-            found, first = earliest(strings, np.concatenate(ids), length)
-            first = np.r_[first, len(found)]
+            least = np.concatenate(ids)
+            found, first = earliest(strings, least, length)
+            count = np.diff(np.r_[first, len(found)])
+            # only strings with a window that is earlier elsewhere have anything to tell
+            told = np.logical_or.reduceat(found < np.repeat(least, count), first)
             rows, at = [], 0
             for b, which in sources:
-                own = first[at : at + len(which) + 1]
+                own = np.flatnonzero(told[at : at + len(which)])
+                every = np.repeat(told[at : at + len(which)], count[at : at + len(which)])
+                start = first[at]
+                if len(own):
+                    rows.append((b, pack(which[own]), pack(count[at + own]), pack(found[start : start + len(every)][every])))
                 at += len(which)
-                rows.append((b, pack(which), pack(np.diff(own)), pack(found[own[0] : own[-1]])))
+            if not rows:
+                continue
             yield pa.RecordBatch.from_arrays(
                 [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 3), strict=True)],
                 names=["bucket", "which", "sizes", "least"],
@@ -336,8 +344,8 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
         ids, docs_ = texts([left])
         gone: dict[int, list] = {}
         if right.num_rows:
-            (strings, _, _), where = run_strings(docs_, ids, wanted_of(right), length)
-            begin, parts, at = np.zeros(len(strings), np.int64), [np.empty(0, np.int64)], 0
+            (strings, _, first_id), where = run_strings(docs_, ids, wanted_of(right), length)
+            begin, parts, at = np.full(len(strings), -1, np.int64), [np.empty(0, np.int64)], 0
             for which, sizes, least in zip(*(right.column(c).to_pylist() for c in ("which", "sizes", "least")), strict=True):
                 if which is not None:
                     sizes = unpack(sizes)
@@ -347,7 +355,11 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
             string, owner, offset, count = where.T
             step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
             owner = np.repeat(owner, count)
-            later = np.concatenate(parts)[np.repeat(begin[string], count) + step] < ids[owner]
+            string = np.repeat(string, count)
+            best = first_id[string]
+            known = begin[string] >= 0
+            best[known] = np.concatenate(parts)[begin[string[known]] + step[known]]
+            later = best < ids[owner]
             gone = dict(spans_of(owner[later], (np.repeat(offset, count) + step)[later], length))
         kept = []
         for i, doc in enumerate(docs_):
