@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from sketchselect.functions import features as fe
 from sketchselect.functions.hashing import portable_id
-from sketchselect.tables import load
+from sketchselect.tables import load, spread
 
 #: Categories of the click task: one active feature per row and column.
 STAR = (
@@ -28,19 +28,19 @@ def _text_task(df: DataFrame, key: str, text, label, features) -> DataFrame:
 
 def words(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Binary news-like task: word presence, is the text English."""
-    docs = load(spark, sf_dir, "documents")
+    docs = spread(load(spark, sf_dir, "documents"))
     return _text_task(docs, "doc_id", F.col("text"), F.col("lang") == "en", fe.word_set(F.col("text")))
 
 
 def grams(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Web-spam-like task: character 5-grams, quality label."""
-    docs = load(spark, sf_dir, "documents").join(load(spark, sf_dir, "labels"), "doc_id")
+    docs = spread(load(spark, sf_dir, "documents")).join(load(spark, sf_dir, "labels"), "doc_id")
     return _text_task(docs, "doc_id", F.col("text"), F.col("quality"), fe.char_ngrams(F.col("text"), 5))
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Second web task: 5-grams of stripped pages, is the page English."""
-    rows = load(spark, sf_dir, "pages").withColumn("lang", F.regexp_extract("html", '<html lang="([a-z]+)"', 1))
+    rows = spread(load(spark, sf_dir, "pages")).withColumn("lang", F.regexp_extract("html", '<html lang="([a-z]+)"', 1))
     rows = rows.withColumn("body", F.trim(F.regexp_replace(F.regexp_replace("html", "<[^>]*>", " "), "[ ]+", " ")))
     return _text_task(rows, "page_id", F.col("body"), F.col("lang") == "en", fe.char_ngrams(F.col("body"), 5))
 
@@ -70,14 +70,14 @@ def roles(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def toxic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Skewed task for the area under the curve: words, toxic label."""
-    docs = load(spark, sf_dir, "documents").join(load(spark, sf_dir, "labels"), "doc_id")
+    docs = spread(load(spark, sf_dir, "documents")).join(load(spark, sf_dir, "labels"), "doc_id")
     return _text_task(docs, "doc_id", F.col("text"), F.col("toxic"), fe.word_set(F.col("text")))
 
 
 def star(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The star join with one row per click instance and its twelve categories."""
     return (
-        load(spark, sf_dir, "lineitem")
+        spread(load(spark, sf_dir, "lineitem"))
         .join(load(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
         .join(load(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey"))
         .join(load(spark, sf_dir, "part"), F.col("l_partkey") == F.col("p_partkey"))
