@@ -4,7 +4,9 @@ Per language a bounded sample of labelled texts becomes a raw-content zstandard
 dictionary. A text is encoded with every dictionary; the smallest result names the
 language, and a tie goes to the language with more learned documents. A narrow margin
 between the two smallest means that the text is rejected. Texts are lower-cased and runs
-of anything but letters become one space first, on both sides.
+of anything but letters become one space first, on both sides. A long text is encoded in
+windows, each from the dictionaries alone, and its sizes are sums over all of them: a
+dictionary saves a fixed number of bytes, so over one long stretch its margin would vanish.
 """
 
 from __future__ import annotations
@@ -21,6 +23,8 @@ from pyspark.sql import functions as F
 DICTIONARY_BYTES = 1 << 16
 SAMPLE_TEXTS = 400
 MAX_LANGUAGES = 512
+#: Bytes of a text that are encoded at a time.
+WINDOW_BYTES = 1 << 14
 LETTER = re.compile(r"[^\W\d_]")
 GAP = re.compile(r"[\W\d_]+")
 
@@ -78,7 +82,8 @@ def scorer(dictionaries: dict[str, bytes], level: int = 9):
         if not text or not langs or not LETTER.search(text):
             return "und", 0.0
         data = letters(text)
-        sizes = sorted((len(p.compress(data)), i) for i, p in enumerate(packs))
+        parts = [data[at : at + WINDOW_BYTES] for at in range(0, len(data), WINDOW_BYTES)]
+        sizes = sorted((sum(len(p.compress(x)) for x in parts), i) for i, p in enumerate(packs))
         if len(sizes) == 1:
             return langs[0], 1.0
         return langs[sizes[0][1]], (sizes[1][0] - sizes[0][0]) / sizes[1][0]
