@@ -3,7 +3,9 @@
 import random
 import string
 
-from sketchselect.llm import langid
+from pyspark.sql import functions as F
+
+from sketchselect.llm import langid, mixing
 
 
 def vocabulary(rng, n):
@@ -20,3 +22,29 @@ def test_margin_does_not_shrink_with_length():
     for n in (5_000, 600_000):
         lang, margin = score(" ".join(rng.choices(own, k=n)))
         assert lang == "aa" and margin > 0.05
+
+
+# ---- op5
+
+
+def test_small_sources_get_their_share_of_a_large_corpus(spark):
+    """80 M words; sources of 1 to 300 words between large ones, some weighing too little for the cap."""
+    rows = [(100 * b + i, f"{b}{i}", 40_000_000 if i == 0 else n) for b in range(2) for i, n in enumerate((0, 1, 5, 50, 300))]
+    sized = spark.createDataFrame(rows, "doc_id long, source string, size long")
+    targets = mixing.source_targets(sized).localCheckpoint()
+    least, total, sources = targets.agg(F.min("target"), F.sum("source_size"), F.count("*")).first()
+    block = mixing.block_size(least)
+    got = {r["ordinal"]: r["blocks"] * block for r in mixing.slot_counts(targets, total, block, sources).collect()}
+    for r in targets.collect():
+        assert abs(got[r["ordinal"]] - r["target"]) <= 4 * block
+
+
+def test_a_corpus_of_long_texts_keeps_its_small_source(spark):
+    """The mix itself over 8 M words: blocks were 31 words, a source of 4 words got none."""
+    docs = spark.range(16).select(
+        F.col("id").alias("doc_id"),
+        F.when(F.col("id") == 7, F.lit("one two three four")).otherwise(F.repeat(F.lit("word "), 550_000)).alias("text"),
+        F.when(F.col("id") == 7, F.lit("b")).otherwise(F.when(F.col("id") < 9, F.lit("a")).otherwise(F.lit("c"))).alias("source"),
+    )
+    got = {r["doc_id"]: r for r in mixing.mix(docs).collect()}
+    assert got[7]["target"] == 12 and 8 <= got[7]["taken"] <= 12
