@@ -5,9 +5,11 @@ shingle occurs). A document is read in windows of each item's number of words. W
 fingerprints come from running sums of shingle bits, so overlapping windows cost no
 rehashing. Item fingerprints lie in a multi-index: the 64 bits are cut into ``radius + 1``
 blocks, one table per block; any fingerprint within the radius of an item agrees with it in
-at least one block, so looking up all blocks finds every item within the radius. The
-candidates are then verified by the exact weighted similarity of shingles,
-sum of smaller weights / sum of larger weights.
+at least one block, so looking up all blocks finds every item within the radius. Short
+windows of the similarity asked may lie further apart, so items that share enough shingles
+with a window are candidates too, by the lists of items of each shingle. All candidates are
+verified by the exact weighted similarity of shingles, sum of smaller weights / sum of
+larger weights. A document of fewer words than an item is one window, itself.
 
 A window that shares no shingle with an item has similarity 0, so only windows that hold
 enough shingles of the benchmark for the similarity asked are hashed: for n shingles each,
@@ -17,6 +19,7 @@ similarity s needs 2 s n / (1 + s) common ones.
 from __future__ import annotations
 
 import math
+from bisect import bisect_right
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -62,6 +65,12 @@ class Index:
             codes.append(shingles.simhash(found))
         self.codes = np.array(codes, np.uint64)
         self.known = np.unique(np.array([h for w in self.weights for h in w], np.uint64))
+        self.keys = [np.array(sorted(w), np.uint64) for w in self.weights]
+        held = np.searchsorted(self.known, np.concatenate([*self.keys, np.empty(0, np.uint64)]))
+        owner = np.repeat(np.arange(len(self.keys)), [len(k) for k in self.keys])
+        # items of shingle k of known: owners[ends[k] : ends[k + 1]]
+        self.owners = owner[np.argsort(held, kind="stable")]
+        self.ends = np.r_[0, np.cumsum(np.bincount(held, minlength=len(self.known)))]
         edges = [64 * i // (radius + 1) for i in range(radius + 2)]
         self.cuts = [(a, (1 << (z - a)) - 1) for a, z in zip(edges, edges[1:], strict=False)]
         self.of_length: dict[int, list[dict[int, list[int]]]] = {}
@@ -76,6 +85,8 @@ class Index:
                     table[int(codes[i]) >> shift & mask].append(i)
                 tables.append(dict(table))
             self.of_length[n] = tables
+        self.sorted_lengths = sorted(by)
+        self.items_of = {n: np.array(members) for n, members in by.items()}
 
     def within(self, length: int, code: int) -> set[int]:
         """Items of this many words within the radius, by lookups in every block."""
@@ -84,6 +95,40 @@ class Index:
             near.update(table.get(code >> shift & mask, ()))
         return {i for i in near if (code ^ int(self.codes[i])).bit_count() <= self.radius}
 
+    def sharing(self, found: np.ndarray, least: int) -> np.ndarray:
+        """Items of which at least this many of the given shingles, repeats included, are known."""
+        at = np.minimum(np.searchsorted(self.known, found), len(self.known) - 1)
+        at = at[self.known[at] == found]
+        lists = [self.owners[self.ends[k] : self.ends[k + 1]] for k in at.tolist()]
+        owners, counts = np.unique(np.concatenate([*lists, np.empty(0, np.int64)]), return_counts=True)
+        return owners[counts >= least].astype(np.int64)
+
+    def windows_sharing(self, found: np.ndarray, starts: np.ndarray, n: int, length: int, need: int) -> Iterator[tuple[int, int]]:
+        """(start, item of this many words) where at least ``need`` shingles of the window are the item's."""
+        for own in np.split(starts, np.flatnonzero(np.diff(starts) > n) + 1):
+            stretch = found[own[0] : own[-1] + n]
+            for i in np.intersect1d(self.sharing(stretch, need), self.items_of[length]).tolist():
+                sums = np.r_[0, np.cumsum(np.isin(stretch, self.keys[i]))]
+                enough = sums[own - own[0] + n] - sums[own - own[0]] >= need
+                yield from ((start, i) for start in own[enough].tolist())
+
+    def longer(self, words: list[bytes]) -> Iterator[tuple[int, float]]:
+        """(item, similarity) of the items of more words that the whole text matches."""
+        m = len(words) - self.size + 1
+        if m < 1:
+            return  # fewer words than a shingle, so none in common with a longer item
+        lengths = self.sorted_lengths[bisect_right(self.sorted_lengths, len(words)) :]
+        if not lengths or self.similarity * (lengths[0] - self.size + 1) > m + 1e-9:
+            return
+        found = shingles.hashes(words, self.size)
+        own = Counter(found.tolist())
+        for i in self.sharing(found, math.ceil(self.similarity * m)).tolist():
+            n = self.lengths[i] - self.size + 1
+            if n > m and self.similarity * n <= m + 1e-9:
+                common = sum((own & self.weights[i]).values())
+                if common / (n + m - common) >= self.similarity:
+                    yield i, common / (n + m - common)
+
     def search(self, text: str | None) -> list[tuple[int, int, int, float]]:
         """(item, first word, words, similarity) of the best window of each matching item."""
         words = shingles.words(text)
@@ -107,17 +152,22 @@ class Index:
             starts = np.flatnonzero(shared[n:] - shared[:-n] >= need)
             if not len(starts):
                 continue
+            near = defaultdict(set)
             for start, code in window_codes(found, starts, n):
-                near = self.within(length, code)
-                if not near:
+                near[start] |= self.within(length, code)
+            for start, i in self.windows_sharing(found, starts, n, length, need):
+                near[start].add(i)
+            for start in starts.tolist():
+                if not near[start]:
                     continue
                 own = Counter(found[start : start + n].tolist())
-                for i in near:
+                for i in near[start]:
                     common = sum((own & self.weights[i]).values())
                     similar = common / (2 * n - common)
                     if similar >= self.similarity and similar > best.get(i, (0.0, 0))[0]:
                         best[i] = (similar, start)
-        return [(self.ids[i], start, self.lengths[i], similar) for i, (similar, start) in best.items()]
+        hits = [(self.ids[i], start, self.lengths[i], similar) for i, (similar, start) in best.items()]
+        return hits + [(self.ids[i], 0, len(words), similar) for i, similar in self.longer(words)]
 
 
 def item_blocks(benchmark: DataFrame, block_bytes: int):

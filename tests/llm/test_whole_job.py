@@ -2,10 +2,11 @@
 
 import random
 import string
+from collections import Counter
 
 from pyspark.sql import functions as F
 
-from sketchselect.llm import langid, mixing
+from sketchselect.llm import decontaminate, langid, mixing, shingles
 
 
 def vocabulary(rng, n):
@@ -48,3 +49,39 @@ def test_a_corpus_of_long_texts_keeps_its_small_source(spark):
     )
     got = {r["doc_id"]: r for r in mixing.mix(docs).collect()}
     assert got[7]["target"] == 12 and 8 <= got[7]["taken"] <= 12
+
+
+# ---- op1
+
+
+def prose(rng, n):
+    return " ".join(vocabulary(rng, n))
+
+
+def test_an_item_short_of_words_is_found():
+    rng = random.Random(3)
+    items = [(i, prose(rng, 100)) for i in range(5)] + [(9, "a b c")]
+    index = decontaminate.Index(items, 5, 0.8, 16)
+    words = items[2][1].split()
+    for n in (99, 90, 82):
+        assert [(i, at, w) for i, at, w, _ in index.search(" ".join(words[:n]))] == [(2, 0, n)]
+        assert index.search(" ".join(words[:n]))[0][3] == (n - 4) / 96
+    assert not index.search(" ".join(words[:75])) and not index.search("a b")
+
+
+def test_windows_of_the_similarity_asked_are_found_at_any_distance():
+    """Items with one edited word, at similarities of 0.8 and above: all, also beyond 16 bits."""
+    rng = random.Random(11)
+    items = [(i, prose(rng, 49)) for i in range(300)]
+    index = decontaminate.Index(items, 5, 0.8, 16)
+    far = 0
+    for i, text in items:
+        words = text.split()
+        words[rng.randrange(4, 45)] = "edited"
+        own = shingles.hashes([w.encode() for w in words], 5)
+        weights = Counter(own.tolist())
+        common = sum((weights & index.weights[i]).values())
+        assert common / (90 - common) >= 0.8
+        far += (shingles.simhash(own) ^ int(index.codes[i])).bit_count() > 16
+        assert i in {x[0] for x in index.search(" ".join(words))}
+    assert far
