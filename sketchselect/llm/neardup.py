@@ -111,7 +111,14 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, shingles array<long>")
 
 
-def candidate_pairs(unique: DataFrame, radius: int, scope: str) -> DataFrame:
+def shared_codes(unique: DataFrame) -> DataFrame:
+    """doc_id, band, at, n: the sub-document codes that n > 1 documents share."""
+    dealt = unique.select("doc_id", F.posexplode("bands").alias("band", "at"))
+    shared = dealt.groupBy("band", "at").agg(F.count("*").alias("n")).filter("n > 1")
+    return dealt.join(shared, ["band", "at"])
+
+
+def candidate_pairs(unique: DataFrame, live: DataFrame, radius: int) -> DataFrame:
     """Distinct pairs (a, b), a < b, of documents that may be near copies.
 
     From the Gray-order index over whole-text codes, and from groups that share a
@@ -123,9 +130,6 @@ def candidate_pairs(unique: DataFrame, radius: int, scope: str) -> DataFrame:
     whole = links(nodes.select("code", "id"), radius)
     # equal whole-text codes of different texts
     twins = unique.join(nodes.filter("id < other").select("code", "id"), "code").filter("doc_id <> id").select(F.col("doc_id").alias("a"), F.col("id").alias("b"))
-    dealt = unique.select("doc_id", F.posexplode("bands").alias("band", "at"))
-    shared = dealt.groupBy("band", "at").agg(F.count("*").alias("n")).filter("n > 1")
-    live = written(dealt.join(shared, ["band", "at"]), "live", scope)
     ranked = live.join(live.groupBy("doc_id").agg(F.sum("n").alias("degree")), "doc_id")
     hubs = ranked.groupBy("band", "at").agg(
         F.max(F.struct("degree", "doc_id")).alias("top"),
@@ -138,6 +142,49 @@ def candidate_pairs(unique: DataFrame, radius: int, scope: str) -> DataFrame:
     return every.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def apart(live: DataFrame, joined: DataFrame, scope: str) -> DataFrame:
+    """doc_id and component of all members of groups, by sub-document code, of several components."""
+    named = live.select("doc_id", "band", "at").join(joined.withColumnRenamed("node", "doc_id"), "doc_id", "left")
+    named = named.withColumn("component", F.coalesce("component", "doc_id"))
+    mixed = named.groupBy("band", "at").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("n"))
+    # the two members of a group of two have been compared
+    return written(named.join(mixed.filter("lo < hi and n > 2").select("band", "at"), ["band", "at"]).select("doc_id", "component").distinct(), "apart", scope)
+
+
+def apart_pairs(members: DataFrame, sets: DataFrame, similarity: float, scope: str) -> DataFrame:
+    """Distinct pairs (a, b) of members of different components that may be near copies, by prefixes.
+
+    The shingles of each set are ordered by how many members hold them, the rarest first. If
+    the first shingle that two sets of nx >= ny share lies at px and py, they share at most
+    min(nx - px, ny - py), of which the similarity s asks s (nx + ny) / (1 + s). So only the
+    first (1 - s) nx shingles of the larger set and (1 - s) / (1 + s) ny of the smaller can be
+    first, and the other pairs are ruled out. Shared wording of a family is frequent and comes late.
+    """
+    held = members.join(sets, "doc_id").select("doc_id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("shingle"))
+    # a shingle that one member holds is shared by none, but comes first
+    common = held.groupBy("shingle").agg(F.count("*").alias("df")).filter("df > 1")
+    least = f"{similarity} * n - 1e-9"
+    prefixes = (
+        held.join(common, "shingle")
+        .groupBy("doc_id", "component", "n")
+        .agg(F.sort_array(F.collect_list(F.struct("df", "shingle"))).alias("found"))
+        .select("doc_id", "component", "n", (F.col("n") - F.size("found")).alias("alone"), F.posexplode("found").alias("at", "entry"))
+        .select("doc_id", "component", "n", (F.col("alone") + F.col("at")).alias("p"), "entry.shingle")
+        .filter(f"n - p >= {least}")
+    )
+    entries = written(prefixes, "prefixes", scope)
+    # members of one component are never paired: shingles meet by pairs of components first
+    groups = entries.select("shingle", "component").distinct()
+    met = groups.join(groups.select("shingle", F.col("component").alias("other")), "shingle").filter("component <> other")
+    small = entries.filter(f"n - p >= {2 * similarity / (1 + similarity)} * n - 1e-9").select(
+        "shingle", F.col("component").alias("other"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("p").alias("pb")
+    )
+    fit = f"""n >= nb and nb >= {least}
+        and least(n - p, nb - pb) >= {similarity / (1 + similarity)} * (n + nb) - 1e-9"""
+    near = entries.join(met, ["shingle", "component"]).join(small, ["shingle", "other"]).filter(fit)
+    return near.select(F.least("doc_id", "b").alias("a"), F.greatest("doc_id", "b").alias("b")).distinct()
+
+
 def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """The pairs whose shingle sets have at least the Jaccard similarity asked."""
 
@@ -178,10 +225,14 @@ def drop_near_duplicates(
     unique = written(
         marks.groupBy("digest").agg(F.min(F.struct("doc_id", "code", "bands")).alias("first")).select("first.*"), "unique", scope
     )
-    pairs = written(candidate_pairs(unique, radius, scope), "pairs", scope)
+    live = written(shared_codes(unique), "live", scope)
+    pairs = written(candidate_pairs(unique, live, radius), "pairs", scope)
     ends = written(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct(), "ends", scope)
     sets = written(shingle_sets(among(docs, ends, "left_semi"), size), "sets", scope)
-    joined = components(verified(pairs, sets, similarity), scope)
+    linked = written(verified(pairs, sets, similarity), "linked", scope)
+    members = apart(live, components(linked, scope), scope)
+    rest = verified(apart_pairs(members, sets, similarity, scope), sets, similarity)
+    joined = components(linked.unionByName(rest), scope)
     gone = written(
         marks.select("doc_id")
         .join(unique.select("doc_id"), "doc_id", "left_anti")

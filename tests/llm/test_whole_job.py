@@ -6,7 +6,7 @@ from collections import Counter
 
 from pyspark.sql import functions as F
 
-from sketchselect.llm import decontaminate, langid, mixing, shingles
+from sketchselect.llm import decontaminate, langid, mixing, neardup, shingles
 
 
 def vocabulary(rng, n):
@@ -85,3 +85,22 @@ def test_windows_of_the_similarity_asked_are_found_at_any_distance():
         far += (shingles.simhash(own) ^ int(index.codes[i])).bit_count() > 16
         assert i in {x[0] for x in index.search(" ".join(words))}
     assert far
+
+
+# ---- the near-duplicate stage
+
+
+def test_pairs_inside_a_template_family_meet(spark):
+    """A family 0.78 alike, with pairs of 0.88 in it: each pair is one group, as by brute force."""
+    rng = random.Random(12)
+    shared = prose(rng, 340).split()
+    docs = []
+    for _ in range(150):
+        own = prose(rng, 48).split()
+        docs.append(" ".join(shared + own))
+        docs.append(" ".join(shared + own[:24] + prose(rng, 24).split()))
+    sets = [set(shingles.hashes(shingles.words(t), 5).tolist()) for t in docs]
+    alike = [[len(a & b) / len(a | b) for b in sets] for a in sets]
+    assert all((alike[i][j] >= 0.8) == (i // 2 == j // 2) for i in range(300) for j in range(300))
+    rows = spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string")
+    assert sorted(r["doc_id"] for r in neardup.drop_near_duplicates(rows).collect()) == list(range(0, 300, 2))
