@@ -41,7 +41,7 @@ def test_small_sources_get_their_share_of_a_large_corpus(spark):
 
 
 def test_a_corpus_of_long_texts_keeps_its_small_source(spark):
-    """The mix itself over 8 M words: blocks were 31 words, a source of 4 words got none."""
+    """The mix itself over 8 M words: blocks were 32 words, a source of 4 words got none."""
     docs = spark.range(16).select(
         F.col("id").alias("doc_id"),
         F.when(F.col("id") == 7, F.lit("one two three four")).otherwise(F.repeat(F.lit("word "), 550_000)).alias("text"),
