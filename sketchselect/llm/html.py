@@ -1,12 +1,18 @@
 """Main text of web pages by line-block distribution.
 
-Markup is stripped into lines, one per block element, each with the length of its text.
-Text of boilerplate elements (by tag, role, class or id) counts as markup: its lines have
-length 0, as have lines outside ``main`` or ``article`` where the page names one. Sums of
-lengths over sliding windows of lines then rise at a surge point and fall to a dive point;
-the text between the surge and the dive of every such run is kept, and runs are split only
-by stretches without any text of their own. Where a page marks nothing, runs whose text is
-mostly links are left out.
+Markup is stripped into lines, one per block element. A line's mass is the length of its
+text outside links. Sums of masses over sliding windows of ``WINDOW`` lines rise over the
+threshold at a surge point and fall below it at a dive point; the text between a surge and
+its dive is kept, and short plain lines at both ends of it (menus that carry no markup) are
+trimmed. The threshold is ``SURGE`` characters, or less on pages whose fullest window is small.
+
+Markup helps in three ways. Elements that are never article text by their tag, role or an
+unmistakable class name (nav, footer, form, script, comments, ads) are stripped like markup.
+Lines of ``article`` or ``main``, where they hold a good part of the page's mass, count
+as full windows of their own, and the other lines as none. Blocks whose class or id says
+nothing but a word like "related" or "share" form a distribution of their own: they are
+kept only between its surge and dive points, which link lists and one-line boxes
+never reach. A class name with any other word in it ("related-work") says nothing.
 """
 
 from __future__ import annotations
@@ -34,60 +40,93 @@ BOILERPLATE = frozenset(
 ROLES = frozenset(
     "navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar note".split()
 )
-NAMES = re.compile(
-    r"(?:^|[\s_-])(?:ads?|advert\w*|adsense|banner|promo\w*|sponsor\w*|cookies?|consent|gdpr|notice|notification|alert|popup|"
-    r"modal|overlay|newsletter|subscribe|signup|login|nav\w*|menu\w*|breadcrumbs?|sidebars?|widget\w*|footer|header|masthead|"
-    r"toolbar|comments?|commentlist|disqus|respond|replies|reply|share|sharing|social|related|recommended|pagination|pager|"
-    r"copyright)(?:$|[\s_-])",
-    re.I,
+#: Words of class names and ids: those that name boilerplate, those that may, and those that say nothing
+#: beside one of them.
+NAMED = frozenset(
+    "ad ads adv advert adverts advertisement advertisements advertising adsense adslot sponsor sponsors sponsored cookie cookies "
+    "consent gdpr popup modal newsletter subscribe nav navbar navigation menu menus submenu breadcrumb breadcrumbs sidebar "
+    "sidebars footer masthead comment comments commentlist disqus respond replies pagination pager paywall".split()
+)
+DOUBTFUL = frozenset(
+    "notice notices notification alert alerts promo promos promotion banner banners overlay widget widgets header toolbar share "
+    "sharing social related recommended recommendations reply signup login copyright legal teaser teasers".split()
 )
+NEUTRAL = frozenset(
+    "site page main global top bottom left right primary secondary bar box list block container wrapper wrap area section links "
+    "link item items panel inner outer slot unit post posts entry article articles blog content text group row col module".split()
+)
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 HOLD = frozenset(("main", "body", "html"))
 #: Elements whose end tag may be missing: the next of the same group ends them, as any block ends p.
 OPEN = {"p": "p", "li": "li", "dt": "dt dd", "dd": "dt dd", "tr": "tr td th", "td": "td th", "th": "td th", "option": "option"}
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z_:][\w:.-]*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'=<>`]+)))?")
 SPACE = re.compile(r"\s+")
-#: Lines of one window of the distribution; share of link text from which a run is a menu.
+PARTS = re.compile(r"[-_0-9]+|(?<=[a-z])(?=[A-Z])")
+#: Lines of one window of the distribution; the mass at which it surges, as a share of the
+#: fullest window at most; the mass for doubtful blocks; share of the page's mass that ``article``
+#: or ``main`` must hold to count; plain lines shorter than this are trimmed at the ends of a run.
 WINDOW = 3
-LINKS = 0.5
+SURGE, SHARE = 80, 0.25
+DOUBT = 240
+MARKED = 1 / 3
+SHORT = 25
+CLEAN, MAYBE, NEVER = 0, 1, 2
 
 
 class Line(NamedTuple):
     text: str
     linked: int
-    boilerplate: bool
+    kind: int
     main: bool
+    heading: bool
 
 
-def boilerplate(tag: str, attributes: str, in_main: bool) -> bool:
+def named(value: str) -> int:
+    """What the words of a class or id attribute say of its element: CLEAN, MAYBE or NEVER text."""
+    worst = CLEAN
+    for token in value.split():
+        words = [w.lower() for w in PARTS.split(token) if w]
+        if any(w not in NAMED and w not in DOUBTFUL and w not in NEUTRAL for w in words):
+            continue
+        if any(w in NAMED for w in words):
+            return NEVER
+        if any(w in DOUBTFUL for w in words):
+            worst = MAYBE
+    return worst
+
+
+def boilerplate(tag: str, attributes: str, in_main: bool) -> int:
+    """CLEAN, MAYBE or NEVER, from an element's tag and attributes."""
     if tag in BOILERPLATE or tag == "header" and not in_main:
-        return True
+        return NEVER
     if not attributes or tag in HOLD or tag == "article" and not in_main or "=" not in attributes and "hidden" not in attributes:
-        return False
+        return CLEAN
+    worst = CLEAN
     for name, a, b, c in ATTRIBUTE.findall(attributes):
         name, value = name.lower(), a or b or c
-        if name in ("class", "id") and NAMES.search(value) or name == "role" and value.lower() in ROLES:
-            return True
-        if name == "hidden" or name == "aria-hidden" and value == "true":
-            return True
-        if name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-            return True
-    return False
+        if name in ("class", "id"):
+            worst = max(worst, named(value))
+        elif name == "role" and value.lower() in ROLES or name == "hidden" or name == "aria-hidden" and value == "true":
+            return NEVER
+        elif name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
+            return NEVER
+    return worst
 
 
 def lines(page: str) -> Iterator[Line]:
     """The page's blocks in order; inline markup vanishes and br is white space."""
-    stack: list[tuple[str, bool, bool]] = []  # tag, boilerplate, main: of the element or above it
+    stack: list[tuple[str, int, bool, bool]] = []  # tag, kind, main, heading: of the element or above it
     parts: list[str] = []
     linked = anchors = 0
-    bad = main = False
+    kind, main, heading = CLEAN, False, False
     at, end = 0, len(page)
 
     def flush() -> Iterator[Line]:
         nonlocal parts, linked
         text = SPACE.sub(" ", html.unescape("".join(parts))).strip()
         if text:
-            yield Line(text, linked, bad, main)
+            yield Line(text, min(linked, len(text)), kind, main, heading)
         parts, linked = [], 0
 
     while at < end:
@@ -114,7 +153,7 @@ def lines(page: str) -> Iterator[Line]:
                     break
                 if stack[i][0] in ("article", "main", "body") and tag not in BLOCKS:
                     break  # a stray end tag of inline markup closes nothing above
-            _, bad, main = stack[-1] if stack else ("", False, False)
+            _, kind, main, heading = stack[-1] if stack else ("", CLEAN, False, False)
             continue
         if tag in RAW:
             close = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
@@ -134,60 +173,90 @@ def lines(page: str) -> Iterator[Line]:
                     del stack[i:]
                 elif stack[i][0] in BLOCKS and stack[i][0] not in OPEN:
                     break
-            _, bad, main = stack[-1] if stack else ("", False, False)
+            _, kind, main, heading = stack[-1] if stack else ("", CLEAN, False, False)
         if tag not in VOID and not m[3].endswith("/"):
-            bad = bad or boilerplate(tag, m[3], main)
+            kind = max(kind, boilerplate(tag, m[3], main))
             main = main or tag in ("article", "main")
-            stack.append((tag, bad, main))
+            heading = heading or tag in HEADINGS
+            stack.append((tag, kind, main, heading))
     yield from flush()
 
 
-def runs(lengths: list[int], window: int = WINDOW) -> list[tuple[int, int]]:
+def runs(masses: list[float], threshold: float, window: int = WINDOW) -> list[tuple[int, int]]:
     """Half-open line ranges between a surge and its dive.
 
-    The block value of a line is the sum of lengths over the window of lines from it. A run
-    surges where the value leaves zero and dives where it is zero again; both ends are
-    then moved to lines that have text.
+    The block value of a line is the sum of masses over the window of lines from it. A run
+    surges at a line whose value reaches the threshold and dives after the last line of its
+    last such window; both ends are then moved to lines that have mass. Without any
+    mass there is no run.
     """
-    n, out, start = len(lengths), [], None
-    run = sum(lengths[:window])
-    for i in range(n + 1):
-        if i < n and run > 0:
-            start = i if start is None else start
-        elif start is not None:
-            out.append((start, i))
-            start = None
-        if i < n:
-            run += (lengths[i + window] if i + window < n else 0) - lengths[i]
+    n, out = len(masses), []
+    value = sum(masses[:window])
+    for i in range(n):
+        if value >= threshold and value > 0:
+            last = min(n, i + window)
+            if out and out[-1][1] > i:
+                out[-1][1] = last
+            else:
+                out.append([i, last])
+        value += (masses[i + window] if i + window < n else 0) - masses[i]
     trimmed = []
     for a, b in out:
-        while a < b and not lengths[a]:
+        while a < b and not masses[a]:
             a += 1
-        while b > a and not lengths[b - 1]:
+        while b > a and not masses[b - 1]:
             b -= 1
         if a < b:
             trimmed.append((a, b))
     return trimmed
 
 
+def edge(line: Line) -> bool:
+    """Whether a line at the end of a run is too slight to be text: short, no heading and no sentence."""
+    return len(line.text) < SHORT and not line.heading and line.text[-1] not in ".!?:;…。！？\"'”’»)"
+
+
+def kept_lines(found: list[Line]) -> list[int]:
+    """Indices of the lines of the main text, in page order."""
+    own = [len(x.text) - x.linked if x.kind == CLEAN else 0 for x in found]
+    in_main = sum(m for m, x in zip(own, found, strict=True) if x.main)
+    marked = any(x.main and x.kind == CLEAN for x in found) and in_main >= MARKED * sum(own)
+    if marked:
+        masses = [SURGE if x.main and x.kind == CLEAN else 0 for x in found]
+        threshold = SURGE
+    else:
+        masses = own
+        fullest = max((sum(masses[i : i + WINDOW]) for i in range(len(masses))), default=0)
+        threshold = min(SURGE, SHARE * fullest)
+    keep = set()
+    for a, b in runs(masses, threshold):
+        if not marked:
+            while a < b and edge(found[a]) and len(found[a].text) < SHARE * fullest:
+                a += 1
+            while b > a and edge(found[b - 1]) and len(found[b - 1].text) < SHARE * fullest:
+                b -= 1
+        # lines of links inside a run belong to it; stripped, doubtful and outer ones do not
+        keep.update(i for i in range(a, b) if found[i].kind == CLEAN and (found[i].main or not marked))
+    doubtful = [len(x.text) - x.linked if x.kind == MAYBE and (x.main or not marked) else 0 for x in found]
+    for a, b in runs(doubtful, DOUBT):
+        keep.update(i for i in range(a, b) if doubtful[i])
+    return sorted(keep)
+
+
 def main_text(page: str | None) -> str:
     """The blocks of the main text, joined by an empty line; empty where a page has none."""
     if not page:
         return ""
     found = list(lines(page))
-    marked = any(x.main and not x.boilerplate for x in found)
-    lengths = [0 if x.boilerplate or marked and not x.main else len(x.text) for x in found]
-    kept: list[str] = []
-    for a, b in runs(lengths):
-        own = [found[i] for i in range(a, b) if lengths[i]]
-        if not marked and sum(x.linked for x in own) > LINKS * sum(len(x.text) for x in own):
-            continue
-        kept += [x.text for x in own]
-    return "\n\n".join(kept)
+    return "\n\n".join(found[i].text for i in kept_lines(found))
 
 
 def extract(pages: DataFrame) -> DataFrame:
-    """page_id, url, text, n_chars of every page; a null or empty html gives empty text."""
+    """page_id, url, text, n_chars of every page; a null or empty html gives empty text.
+
+    Repeated rows give repeated results, an empty table an empty one; other columns are ignored.
+    Pages are read whole, one at a time, whatever their length.
+    """
     schema = "page_id long, url string, text string, n_chars long"
 
     def run(batches):
