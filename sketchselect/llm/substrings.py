@@ -9,13 +9,17 @@ without shuffling a row for each position:
    hash buckets of a bounded size, and each bucket sends its set of minimisers, packed.
    Minimisers that only one document has are dropped there: no window of them can repeat.
 2. For the others the buckets send the bytes of the runs, each different string once with
-   its smallest doc_id, to the place of the minimiser. There the windows are put in suffix
-   order, truncated at ``length``. Neighbours that agree in ``length`` bytes form a class;
-   within it the previous and next smaller documents in suffix order exist exactly where a
-   document is above the least of the class, so that least is each window's earliest match.
-3. Matches earlier than the bucket's own go back to it, and windows of later documents are cut out.
-
-Buckets see the text three times; the plan shuffles it once and reuses that exchange.
+   its smallest doc_id, to the place of the minimiser. There the suffixes of these strings are put
+   in order and get their longest previous factors: the nearest suffixes before and behind in
+   that order which belong to a smaller document (previous and next smaller positions) are
+   the earlier texts that agree with it longest, and the larger of the two common prefixes is its
+   factor. A factor of ``length`` bytes or more is a later copy.
+3. Which windows have such a factor goes back to the bucket, and they are cut out. Copies within a
+   bucket's own string are later where their document is not the smallest that holds it.
+
+Buckets see the text three times; the plan shuffles it once and reuses that exchange. Rows
+between buckets and places are one for each pair that has anything to say, so buckets and
+places grow with the table up to ``BUCKET_BYTES`` to keep these rows few and full.
 """
 
 from __future__ import annotations
@@ -31,8 +35,10 @@ from pyspark.sql import functions as F
 from sketchselect.llm.common import text_or_empty
 
 GRAM = 16
-#: Text of a bucket, and of a piece of it that is looked at in one step, in bytes.
-BUCKET_BYTES = 2 << 20
+#: Text of a bucket, least and most, places for each bucket, and bytes of a piece of a bucket
+#: that is looked at in one step.
+LEAST_BYTES, BUCKET_BYTES = 2 << 20, 16 << 20
+PLACES = 3
 PIECE = 2 << 20
 #: Multipliers of the hash; odd numbers with well-spread bits.
 MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xD6E8FEB86659FD93))
@@ -182,35 +188,69 @@ def run_strings(docs: list[bytes], ids: np.ndarray, wanted: np.ndarray, length:
     return (list(index), np.array(hashes, np.uint64), np.array(least, np.int64)), np.array(where, np.int64).reshape(-1, 4)
 
 
-def earliest(strings: list[bytes], ids: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """The least id among the strings with each window, for all windows, and where strings begin."""
-    sizes = np.fromiter(map(len, strings), np.int64, len(strings))
-    data = np.frombuffer(b"".join(strings) + bytes(8), np.uint8)
+def smaller_before(values: np.ndarray, common: np.ndarray, least: int) -> np.ndarray:
+    """Common prefix of each suffix with the nearest one before it whose value is smaller; 0 under ``least``.
+
+    ``common[r]`` is the common prefix of the suffixes of ranks r - 1 and r. All suffixes look at once:
+    one that meets no smaller value jumps to where the suffix that it met has got to, since none
+    between them is smaller either, and keeps the least common prefix on its way.
+    """
+    at, low = np.arange(len(values)) - 1, common.copy()
+    low[:1] = 0
+    live = np.flatnonzero(low >= least)
+    low[low < least] = 0
+    while len(live):
+        live = live[values[at[live]] >= values[live]]
+        met = at[live]
+        low[live] = np.minimum(low[live], low[met])
+        at[live] = at[met]
+        live = live[low[live] > 0]
+    return low
+
+
+def factors(data: np.ndarray, sizes: np.ndarray, ids: np.ndarray, length: int, reach: int) -> tuple[np.ndarray, np.ndarray]:
+    """Longest previous factors at the windows of strings that lie one after the other in ``data``.
+
+    For every start with ``length`` bytes left in its string: how many bytes from it, up to
+    ``reach`` and the string's end, also begin a suffix of a string with a smaller id; 0 where
+    under ``length``. A longer repeat goes on in the factors of the next starts.
+    Also returned: where the windows of each string begin.
+    """
     start = np.cumsum(sizes) - sizes
     count = sizes - length + 1
     first = np.cumsum(count) - count
-    at = np.arange(count.sum()) + np.repeat(start - first, count)
-    owner = np.repeat(ids, count)
-    best = owner.copy()
-    # a window whose hash is alone has no equal; the others are put in suffix order
-    words = eights(data)
-    hashed = np.zeros(len(at), np.uint64)
+    every = np.repeat(start - first, count) + np.arange(count.sum())
+    out = np.zeros(len(every), np.int32)
+    # a window whose hash is alone has no equal; the suffixes of the others are put in order
+    padded = np.concatenate([data, np.zeros(reach + 8, np.uint8)])
+    words = eights(padded)
+    hashed = np.zeros(len(every), np.uint64)
     for shift in [*range(0, length - 8, 8), length - 8]:
-        hashed = (hashed ^ words[at + shift]) * MIX[0]
+        hashed = (hashed ^ words[every + shift]) * MIX[0]
         hashed ^= hashed >> np.uint64(31)
     order = np.argsort(hashed)
     hashed = hashed[order]
     same = hashed[1:] == hashed[:-1]
-    live = order[np.r_[False, same] | np.r_[same, False]]
-    if len(live):
-        views = np.ndarray((len(data) - length + 1,), f"S{length}", data.tobytes(), strides=(1,))
-        suffixes = views[at[live]]
-        order = np.argsort(suffixes)
-        live, suffixes = live[order], suffixes[order]
-        begin = np.flatnonzero(np.r_[True, suffixes[1:] != suffixes[:-1]])
-        low = np.minimum.reduceat(owner[live], begin)
-        best[live] = np.repeat(low, np.diff(np.r_[begin, len(live)]))
-    return best, first
+    live = np.sort(order[np.r_[False, same] | np.r_[same, False]]) if len(order) else order
+    if not len(live):
+        return out, first
+    string = np.searchsorted(first, live, side="right") - 1
+    left = np.minimum(sizes[string] + start[string] - every[live], reach)
+    suffixes = np.lib.stride_tricks.sliding_window_view(padded, reach)[every[live]]
+    for n in np.unique(left[left < reach]):
+        suffixes[left == n, n:] = 0
+    order = np.argsort(suffixes.view(f"S{reach}").ravel())
+    live, left, owner, suffixes = live[order], left[order], ids[string[order]], suffixes[order]
+    common = np.zeros(len(live), np.int32)
+    for at in range(1, len(live), 1 << 16):
+        z = min(at + (1 << 16), len(live))
+        differ = suffixes[at:z] != suffixes[at - 1 : z - 1]
+        common[at:z] = np.where(differ.any(1), differ.argmax(1), reach)
+    common[1:] = np.minimum(common[1:], np.minimum(left[1:], left[:-1]))
+    before = smaller_before(owner, common, length)
+    behind = smaller_before(owner[::-1], np.r_[np.int32(0), common[:0:-1]], length)[::-1]
+    out[live] = np.maximum(before, behind)
+    return out, first
 
 
 def spans_of(owner: np.ndarray, start: np.ndarray, length: int) -> list[tuple[int, list[tuple[int, int]]]]:
@@ -227,18 +267,24 @@ def spans_of(owner: np.ndarray, start: np.ndarray, length: int) -> list[tuple[in
     return out
 
 
-def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int | None = None) -> DataFrame:
     """doc_id, n_bytes, spans (array of start, end), kept (binary) for every row of ``docs``.
 
     Texts are UTF-8 bytes, null is empty. Rows with one doc_id are never earlier than each
-    other; a null doc_id is later than all others. An empty table gives an empty result.
+    other; a null doc_id is later than all others. An empty table gives an empty result. Buckets
+    are dealt by id and text, so rows that repeat an id or lack one spread as others do.
     """
     if length < GRAM + 8:
         raise ValueError(f"length must be at least {GRAM + 8}")
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    places = max(1, -(-total // bucket_bytes))
+    if bucket_bytes is None:
+        bucket_bytes = min(BUCKET_BYTES, max(LEAST_BYTES, total // (4 * docs.sparkSession.sparkContext.defaultParallelism)))
+    buckets = max(1, -(-total // bucket_bytes))
+    places = buckets * PLACES
+    # a run of windows with one minimiser is no longer than this, unless its pieces repeat
+    reach = 2 * length - GRAM
     text = docs.select(
-        F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(places)).alias("bucket"), "doc_id", text_or_empty().cast("binary").alias("data")
+        F.pmod(F.xxhash64("doc_id", "text", F.lit(3)), F.lit(buckets)).alias("bucket"), "doc_id", text_or_empty().cast("binary").alias("data")
     ).repartition("bucket")
 
     def send_minimisers(batches):
@@ -308,32 +354,32 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
 
     def resolve(batches):
         for _, parts in grouped(batches):
-            strings, ids, sources = [], [], []
+            raw, sizes, ids, sources = [], [], [], []
             for p in parts:
-                for b, which, least, sizes, data in zip(*(p.column(i).to_pylist() for i in range(1, 6)), strict=True):
-                    raw = zstandard.ZstdDecompressor().decompress(data)
-                    ends = np.cumsum(unpack(sizes)).tolist()
-                    strings += [raw[a:z] for a, z in zip([0, *ends[:-1]], ends, strict=True)]
+                for b, which, least, size, data in zip(*(p.column(i).to_pylist() for i in range(1, 6)), strict=True):
+                    raw.append(zstandard.ZstdDecompressor().decompress(data))
+                    sizes.append(unpack(size))
                     ids.append(unpack(least))
                     sources.append((b, unpack(which)))
-            least = np.concatenate(ids)
-            found, first = earliest(strings, least, length)
-            count = np.diff(np.r_[first, len(found)])
-            # only strings with a window that is earlier elsewhere have anything to tell
-            told = np.logical_or.reduceat(found < np.repeat(least, count), first)
+            lengths = np.concatenate(sizes)
+            found, first = factors(np.frombuffer(b"".join(raw), np.uint8), lengths, np.concatenate(ids), length, reach)
+            count = lengths - length + 1
+            late = found >= length
+            # only strings with a later copy in them have anything to tell
+            told = np.logical_or.reduceat(late, first)
             rows, at = [], 0
             for b, which in sources:
                 own = np.flatnonzero(told[at : at + len(which)])
-                every = np.repeat(told[at : at + len(which)], count[at : at + len(which)])
-                start = first[at]
                 if len(own):
-                    rows.append((b, pack(which[own]), pack(count[at + own]), pack(found[start : start + len(every)][every])))
+                    every = np.repeat(told[at : at + len(which)], count[at : at + len(which)])
+                    bits = np.packbits(late[first[at] : first[at] + len(every)][every])
+                    rows.append((b, pack(which[own]), pack(count[at + own]), zstandard.ZstdCompressor(level=1).compress(bits.tobytes())))
                 at += len(which)
             if not rows:
                 continue
             yield pa.RecordBatch.from_arrays(
                 [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 3), strict=True)],
-                names=["bucket", "which", "sizes", "least"],
+                names=["bucket", "which", "sizes", "late"],
             )
 
     cut_shape = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), ("kept", pa.binary())])
@@ -345,21 +391,21 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
         gone: dict[int, list] = {}
         if right.num_rows:
             (strings, _, first_id), where = run_strings(docs_, ids, wanted_of(right), length)
-            begin, parts, at = np.full(len(strings), -1, np.int64), [np.empty(0, np.int64)], 0
-            for which, sizes, least in zip(*(right.column(c).to_pylist() for c in ("which", "sizes", "least")), strict=True):
+            begin, parts, at = np.full(len(strings), -1, np.int64), [np.empty(0, np.uint8)], 0
+            for which, sizes, late in zip(*(right.column(c).to_pylist() for c in ("which", "sizes", "late")), strict=True):
                 if which is not None:
                     sizes = unpack(sizes)
                     begin[unpack(which)] = at + np.cumsum(sizes) - sizes
-                    parts.append(unpack(least))
+                    bits = np.frombuffer(zstandard.ZstdDecompressor().decompress(late), np.uint8)
+                    parts.append(np.unpackbits(bits, count=int(sizes.sum())))
                     at += len(parts[-1])
             string, owner, offset, count = where.T
             step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
             owner = np.repeat(owner, count)
             string = np.repeat(string, count)
-            best = first_id[string]
-            known = begin[string] >= 0
-            best[known] = np.concatenate(parts)[begin[string[known]] + step[known]]
-            later = best < ids[owner]
+            later = first_id[string] < ids[owner]
+            known = np.flatnonzero(begin[string] >= 0)
+            later[known] |= np.concatenate(parts)[begin[string[known]] + step[known]] > 0
             gone = dict(spans_of(owner[later], (np.repeat(offset, count) + step)[later], length))
         kept = []
         for i, doc in enumerate(docs_):
@@ -383,10 +429,10 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int = BUCKET
     sent = text.groupBy("bucket").cogroup(shared.groupBy("bucket")).applyInArrow(
         send_strings, "place long, bucket long, which binary, ids binary, sizes binary, data binary"
     )
-    found = sent.repartition("place").sortWithinPartitions("place").mapInArrow(resolve, "bucket long, which binary, sizes binary, least binary")
+    found = sent.repartition("place").sortWithinPartitions("place").mapInArrow(resolve, "bucket long, which binary, sizes binary, late binary")
     nothing = F.lit(None).cast("binary")
     back = found.withColumn("wanted", nothing).unionByName(
-        shared.select("bucket", nothing.alias("which"), nothing.alias("sizes"), nothing.alias("least"), "wanted")
+        shared.select("bucket", nothing.alias("which"), nothing.alias("sizes"), nothing.alias("late"), "wanted")
     )
     return text.groupBy("bucket").cogroup(back.groupBy("bucket")).applyInArrow(
         cut, "doc_id long, n_bytes long, spans array<struct<start: long, end: long>>, kept binary"
