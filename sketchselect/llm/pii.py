@@ -63,16 +63,44 @@ def quoted(text: str) -> str:
     return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
+def let(value: str, name: str, body: str) -> str:
+    """SQL: ``body`` with ``name`` bound to a value that is computed once."""
+    return f"transform(array({value}), {name} -> {body})[0]"
+
+
+def scanned(values: str, joined: str) -> str:
+    """SQL: running folds of an array by an associative operation of x (later) and y (earlier).
+
+    Each pass joins every entry with the one 2 ** t places before it, so n entries take n log n
+    steps: folding with an accumulated array copies that array for every entry.
+    """
+    return f"""aggregate(sequence(0, 30), {values}, (v, t) -> if(shiftleft(1, t) >= size(v), v,
+        transform(v, (x, i) -> if(i < shiftleft(1, t), x, {let("v[i - shiftleft(1, t)]", "y", joined)}))))"""
+
+
 def located(pattern: str, needs: str) -> str:
     """SQL: the matches of a pattern in ``text`` as (start, end, said, before)."""
     p, n = quoted(pattern), quoted(needs)
-    return f"""CASE WHEN NOT (text RLIKE {n}) THEN cast(array() AS array<{SPAN}>) ELSE aggregate(
-        filter(zip_with(regexp_extract_all(text, {p}, 0), split(text, {p}, -1), (a, b) -> struct(a AS m, b AS p)), x -> x.m IS NOT NULL),
-        struct(0 AS at, cast(array() AS array<{SPAN}>) AS found),
-        (acc, x) -> struct(
-            acc.at + length(x.p) + length(x.m) AS at,
-            array_append(acc.found, struct(acc.at + length(x.p) AS start, acc.at + length(x.p) + length(x.m) AS end, x.m AS said, right(x.p, {BEFORE}) AS before)) AS found),
-        acc -> acc.found) END"""
+    ends = scanned("transform(found, f -> length(f.p) + length(f.m))", "x + y")
+    spans = f"transform(found, (f, i) -> struct(ends[i] - length(f.m) AS start, ends[i] AS end, f.m AS said, right(f.p, {BEFORE}) AS before))"
+    found = f"filter(zip_with(regexp_extract_all(text, {p}, 0), split(text, {p}, -1), (a, b) -> struct(a AS m, b AS p)), x -> x.m IS NOT NULL)"
+    return f"""CASE WHEN NOT (text RLIKE {n}) THEN cast(array() AS array<{SPAN}>) ELSE {let(found, "found", let(ends, "ends", spans))} END"""
+
+
+def apart(good: str, loose: str) -> str:
+    """SQL: the spans of ``loose`` that touch none of ``good``, in order of start.
+
+    Both are merged by start; a loose span is clear if no good one before it ends after its
+    start and none behind it starts before its end.
+    """
+    merged = f"""array_sort(concat(
+        transform({good}, x -> struct(x.start AS start, 0 AS loose, x.end AS end, x AS span)),
+        transform({loose}, x -> struct(x.start AS start, 1 AS loose, x.end AS end, x AS span))),
+        (a, b) -> CASE WHEN a.start < b.start THEN -1 WHEN a.start > b.start THEN 1 ELSE a.loose - b.loose END)"""
+    last = scanned("transform(every, e -> if(e.loose = 0, e.end, 0))", "greatest(x, y)")
+    first = f"reverse({scanned('reverse(transform(every, e -> if(e.loose = 0, e.start, 2147483647)))', 'least(x, y)')})"
+    clear = "filter(transform(every, (e, i) -> if(e.loose = 1 AND last[i] <= e.start AND first[i] >= e.end, e.span, null)), x -> x IS NOT NULL)"
+    return f"if(size({loose}) = 0 OR size({good}) = 0, {loose}, {let(merged, 'every', let(last, 'last', let(first, 'first', clear)))})"
 
 
 def luhn(digits: str) -> str:
@@ -135,8 +163,8 @@ def candidates(docs: DataFrame) -> DataFrame:
         good = f"filter(_{kind}, x -> {valid(kind)})"
         parts.append(f"transform({good}, x -> {votes(kind, True)})")
         if kind in LOOSE:
-            apart = f"filter(_{kind}_loose, x -> NOT exists({good}, y -> y.start < x.end AND x.start < y.end))"
-            parts.append(f"transform({apart}, x -> {votes(kind, False)})")
+            clear = let(good, "good", apart("good", f"_{kind}_loose"))
+            parts.append(f"transform({clear}, x -> {votes(kind, False)})")
     failed = f"filter(_card, x -> length({DIGITS}) BETWEEN 12 AND 19 AND NOT ({valid('card')}))"
     parts.append(f"transform({failed}, x -> {votes('card', False)})")
     return out.select("doc_id", F.expr(f"array_sort(concat({', '.join(parts)}))").alias("spans"))
