@@ -3,10 +3,10 @@
 Every benchmark item has the SimHash of its weighted word shingles (weight: how often a
 shingle occurs). A document is read in windows of each item's number of words. Window
 fingerprints come from running sums of shingle bits, so overlapping windows cost no
-rehashing. Item fingerprints lie in a multi-index: the 64 bits are cut into ``radius + 1``
-blocks, one table per block; any fingerprint within the radius of an item agrees with it in
-at least one block, so looking up all blocks finds every item within the radius. Short
-windows of the similarity asked may lie further apart, so items that share enough shingles
+rehashing. Item fingerprints lie in a multi-index: the 64 bits are cut into ``BLOCKS`` blocks,
+one table per block; any fingerprint within the radius of an item is within radius // BLOCKS
+bits of it in at least one block, so looking up each block with all such flips finds every
+item within the radius. Short windows of the similarity asked may lie further apart, so items that share enough shingles
 with a window are candidates too, by the lists of items of each shingle. All candidates are
 verified by the exact weighted similarity of shingles, sum of smaller weights / sum of
 larger weights. A document of fewer words than an item is one window, itself.
@@ -19,14 +19,15 @@ similarity s needs 2 s n / (1 + s) common ones.
 from __future__ import annotations
 
 import math
+import uuid
 from bisect import bisect_right
-from collections import Counter, defaultdict
+from collections import defaultdict
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from sketchselect.llm import shingles
 
@@ -34,8 +35,12 @@ SIZE = 5
 SIMILARITY = 0.8
 #: Differing bits within which the multi-index guarantees to find an item.
 RADIUS = 16
+#: Tables of the multi-index.
+BLOCKS = 6
 #: Benchmark bytes that go to the executors at a time; a larger benchmark goes in blocks.
-BLOCK_BYTES = 64 << 20
+BLOCK_BYTES = 16 << 20
+#: Windows that are looked up at a time.
+STEP = 1024
 
 
 def window_codes(found: np.ndarray, starts: np.ndarray, n: int) -> Iterator[tuple[int, int]]:
@@ -48,12 +53,39 @@ def window_codes(found: np.ndarray, starts: np.ndarray, n: int) -> Iterator[tupl
         yield from zip(own.tolist(), np.packbits(over, axis=1).view(">u8").ravel().tolist(), strict=True)
 
 
+class Block:
+    """One table of the multi-index: the items of one length by the value of some of their bits."""
+
+    def __init__(self, codes: np.ndarray, members: np.ndarray, shift: int, width: int, reach: int):
+        self.shift, self.mask, self.reach = np.uint64(shift), np.uint64((1 << width) - 1), reach
+        own = codes[members] >> self.shift & self.mask
+        order = np.argsort(own, kind="stable")
+        self.members, (self.values, first) = members[order], np.unique(own[order], return_index=True)
+        self.ends = np.r_[first, len(own)]
+        flips = [sum(1 << b for b in bits) for n in range(reach + 1) for bits in combinations(range(width), n)]
+        self.flips = np.array(flips, np.uint64)
+
+    def near(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(index of a code, item) for all items whose value here is within ``reach`` bits of the code's."""
+        own = codes >> self.shift & self.mask
+        if len(self.values) <= len(self.flips):  # fewer values than flips: they are tried instead
+            at, slot = np.nonzero(np.bitwise_count(own[:, None] ^ self.values[None, :]) <= self.reach)
+        else:
+            probes = own[:, None] ^ self.flips[None, :]
+            slot = np.minimum(np.searchsorted(self.values, probes), len(self.values) - 1)
+            at, flip = np.nonzero(self.values[slot] == probes)
+            slot = slot[at, flip]
+        count = self.ends[slot + 1] - self.ends[slot]
+        step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        return np.repeat(at, count), self.members[np.repeat(self.ends[slot], count) + step]
+
+
 class Index:
-    """The items of one block of the benchmark, ready for lookups."""
+    """The items of one block of the benchmark, ready for lookups; arrays only, of bounded size."""
 
     def __init__(self, items: list[tuple[int, str]], size: int, similarity: float, radius: int):
         self.size, self.similarity, self.radius = size, similarity, radius
-        self.ids, self.lengths, self.weights, codes = [], [], [], []
+        self.ids, self.lengths, self.keys, self.counts, codes = [], [], [], [], []
         for item, text in items:
             words = shingles.words(text)
             found = shingles.hashes(words, size)
@@ -61,39 +93,42 @@ class Index:
                 continue  # an item without words matches nothing
             self.ids.append(item)
             self.lengths.append(len(words))
-            self.weights.append(Counter(found.tolist()))
+            keys, counts = np.unique(found, return_counts=True)
+            self.keys.append(keys)
+            self.counts.append(counts)
             codes.append(shingles.simhash(found))
         self.codes = np.array(codes, np.uint64)
-        self.known = np.unique(np.array([h for w in self.weights for h in w], np.uint64))
-        self.keys = [np.array(sorted(w), np.uint64) for w in self.weights]
-        held = np.searchsorted(self.known, np.concatenate([*self.keys, np.empty(0, np.uint64)]))
+        every = np.concatenate([*self.keys, np.empty(0, np.uint64)])
+        self.known = np.unique(every)
+        held = np.searchsorted(self.known, every)
         owner = np.repeat(np.arange(len(self.keys)), [len(k) for k in self.keys])
         # items of shingle k of known: owners[ends[k] : ends[k + 1]]
         self.owners = owner[np.argsort(held, kind="stable")]
         self.ends = np.r_[0, np.cumsum(np.bincount(held, minlength=len(self.known)))]
-        edges = [64 * i // (radius + 1) for i in range(radius + 2)]
-        self.cuts = [(a, (1 << (z - a)) - 1) for a, z in zip(edges, edges[1:], strict=False)]
-        self.of_length: dict[int, list[dict[int, list[int]]]] = {}
         by = defaultdict(list)
         for i, n in enumerate(self.lengths):
             by[n].append(i)
-        for n, members in by.items():
-            tables = []
-            for shift, mask in self.cuts:
-                table = defaultdict(list)
-                for i in members:
-                    table[int(codes[i]) >> shift & mask].append(i)
-                tables.append(dict(table))
-            self.of_length[n] = tables
-        self.sorted_lengths = sorted(by)
         self.items_of = {n: np.array(members) for n, members in by.items()}
+        self.sorted_lengths = sorted(by)
+        edges = [64 * i // BLOCKS for i in range(BLOCKS + 1)]
+        self.of_length = {
+            n: [Block(self.codes, members, a, z - a, radius // BLOCKS) for a, z in zip(edges, edges[1:], strict=False)] for n, members in self.items_of.items()
+        }
+
+    def within(self, length: int, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(index of a code, item of this many words) for all items within the radius, by every block."""
+        found = [block.near(codes) for block in self.of_length[length]]
+        at, item = (np.concatenate(x) for x in zip(*found, strict=True))
+        pairs = np.unique(at * len(self.ids) + item)
+        at, item = pairs // len(self.ids), pairs % len(self.ids)
+        good = np.bitwise_count(codes[at] ^ self.codes[item]) <= self.radius
+        return at[good], item[good]
 
-    def within(self, length: int, code: int) -> set[int]:
-        """Items of this many words within the radius, by lookups in every block."""
-        near = set()
-        for (shift, mask), table in zip(self.cuts, self.of_length[length], strict=True):
-            near.update(table.get(code >> shift & mask, ()))
-        return {i for i in near if (code ^ int(self.codes[i])).bit_count() <= self.radius}
+    def common(self, keys: np.ndarray, counts: np.ndarray, item: int) -> int:
+        """Sum of the smaller weights of a window's shingles (distinct, sorted) and an item's."""
+        at = np.minimum(np.searchsorted(self.keys[item], keys), len(self.keys[item]) - 1)
+        same = self.keys[item][at] == keys
+        return int(np.minimum(counts[same], self.counts[item][at[same]]).sum())
 
     def sharing(self, found: np.ndarray, least: int) -> np.ndarray:
         """Items of which at least this many of the given shingles, repeats included, are known."""
@@ -121,11 +156,11 @@ class Index:
         if not lengths or self.similarity * (lengths[0] - self.size + 1) > m + 1e-9:
             return
         found = shingles.hashes(words, self.size)
-        own = Counter(found.tolist())
+        keys, counts = np.unique(found, return_counts=True)
         for i in self.sharing(found, math.ceil(self.similarity * m)).tolist():
             n = self.lengths[i] - self.size + 1
             if n > m and self.similarity * n <= m + 1e-9:
-                common = sum((own & self.weights[i]).values())
+                common = self.common(keys, counts, i)
                 if common / (n + m - common) >= self.similarity:
                     yield i, common / (n + m - common)
 
@@ -153,16 +188,19 @@ class Index:
             if not len(starts):
                 continue
             near = defaultdict(set)
-            for start, code in window_codes(found, starts, n):
-                near[start] |= self.within(length, code)
+            coded = list(window_codes(found, starts, n))
+            for at in range(0, len(coded), STEP):
+                part = coded[at : at + STEP]
+                for j, i in zip(*self.within(length, np.array([c for _, c in part], np.uint64)), strict=True):
+                    near[part[j][0]].add(int(i))
             for start, i in self.windows_sharing(found, starts, n, length, need):
                 near[start].add(i)
             for start in starts.tolist():
                 if not near[start]:
                     continue
-                own = Counter(found[start : start + n].tolist())
+                keys, counts = np.unique(found[start : start + n], return_counts=True)
                 for i in near[start]:
-                    common = sum((own & self.weights[i]).values())
+                    common = self.common(keys, counts, i)
                     similar = common / (2 * n - common)
                     if similar >= self.similarity and similar > best.get(i, (0.0, 0))[0]:
                         best[i] = (similar, start)
@@ -174,15 +212,33 @@ def item_blocks(benchmark: DataFrame, block_bytes: int):
     """The benchmark's distinct items in blocks of bounded size, one block in memory at a time."""
     block, size = [], 0
     for row in benchmark.select("item_id", "text").filter("text is not null").distinct().orderBy("item_id", "text").toLocalIterator():
-        if block and size + len(row["text"]) > block_bytes:
+        own = len(row["text"].encode())
+        if block and size + own > block_bytes:
             yield block
             block, size = [], 0
         block.append((row["item_id"], row["text"]))
-        size += len(row["text"])
+        size += own
     if block:
         yield block
 
 
+#: The index that this worker built last, by the name of its block.
+_built: dict[str, Index] = {}
+
+
+def index_of(name: str, sent, size: int, similarity: float, radius: int) -> Index:
+    """The index of a broadcast block, built once per worker process."""
+    if name not in _built:
+        _built.clear()
+        _built[name] = Index(sent.value, size, similarity, radius)
+    return _built[name]
+
+
+def sent_blocks(benchmark: DataFrame, block_bytes: int):
+    for block in item_blocks(benchmark, block_bytes):
+        yield uuid.uuid4().hex, benchmark.sparkSession.sparkContext.broadcast(block)
+
+
 def leaks(
     docs: DataFrame,
     benchmark: DataFrame,
@@ -195,17 +251,16 @@ def leaks(
 
     doc_id, item_id, first_word, n_words, similarity (of the best window, the first on ties).
     Null and blank texts on either side match nothing; an item of fewer words than a shingle
-    is one shingle; repeated rows give repeated results. Each block of the benchmark is matched
-    against all documents.
+    is one shingle; repeated rows give repeated results; doc_id may be null or repeat. An empty table
+    on either side gives an empty result. Each block of the benchmark is matched against all documents.
     """
     schema = "doc_id long, item_id long, first_word long, n_words long, similarity double"
     shape = pa.schema([("doc_id", pa.int64()), ("item_id", pa.int64()), ("first_word", pa.int64()), ("n_words", pa.int64()), ("similarity", pa.float64())])
-    spark, out = docs.sparkSession, None
-    for block in item_blocks(benchmark, block_bytes):
-        sent = spark.sparkContext.broadcast(block)
+    out = None
+    for name, sent in sent_blocks(benchmark, block_bytes):
 
-        def run(batches, sent=sent):
-            index = Index(sent.value, size, similarity, radius)
+        def run(batches, name=name, sent=sent):
+            index = index_of(name, sent, size, similarity, radius)
             for batch in batches:
                 rows = [
                     (doc, *hit)
@@ -217,10 +272,31 @@ def leaks(
 
         found = docs.select("doc_id", "text").mapInArrow(run, schema)
         out = found if out is None else out.unionByName(found)
-    return spark.createDataFrame([], schema) if out is None else out
+    return docs.sparkSession.createDataFrame([], schema) if out is None else out
+
 
+def decontaminated(
+    docs: DataFrame,
+    benchmark: DataFrame,
+    size: int = SIZE,
+    similarity: float = SIMILARITY,
+    radius: int = RADIUS,
+    block_bytes: int = BLOCK_BYTES,
+) -> DataFrame:
+    """The documents, all columns, without those that hold a window of a benchmark item.
+
+    Every row is judged by its own text, where it lies: nothing is shuffled, and rows that share a
+    doc_id or have none stay or go each on its own. Null and blank texts stay; so do all rows
+    where the benchmark is empty. Of repeated rows all stay or all go.
+    """
+    at = docs.columns.index("text")
+    for name, sent in sent_blocks(benchmark, block_bytes):
+
+        def run(batches, name=name, sent=sent):
+            index = index_of(name, sent, size, similarity, radius)
+            for batch in batches:
+                clean = pa.array([not index.search(text) for text in batch.column(at).to_pylist()], pa.bool_())
+                yield batch.filter(clean)
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, **kwargs) -> DataFrame:
-    """The documents, all columns, without those that hold a window of a benchmark item."""
-    hit = leaks(docs, benchmark, **kwargs).select(F.col("doc_id").alias("_hit")).distinct()
-    return docs.join(hit, docs["doc_id"] == hit["_hit"], "left_anti")
+        docs = docs.mapInArrow(run, docs.schema)
+    return docs
