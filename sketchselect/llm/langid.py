@@ -19,10 +19,12 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Bounds of the fit: bytes of dictionary for a language, texts read for it, languages.
+#: Bounds of the fit: bytes of dictionary for a language and for all of them, texts sampled for a
+#: language, passages taken from a text, evenly over all of it.
 DICTIONARY_BYTES = 1 << 16
+ALL_BYTES = 1 << 26
 SAMPLE_TEXTS = 400
-MAX_LANGUAGES = 512
+PASSAGES = 4
 #: Bytes of a text that are encoded at a time.
 WINDOW_BYTES = 1 << 14
 LETTER = re.compile(r"[^\W\d_]")
@@ -38,24 +40,36 @@ def held_out(doc_id: str = "doc_id") -> Column:
     return F.crc32(F.col(doc_id).cast("string")) % 3 == 1
 
 
+def passages(chars: int) -> Column:
+    """At most ``chars`` characters of the text: all of it, or passages at even steps from its start to its end."""
+    part = max(1, chars // PASSAGES)
+    spread = F.concat_ws(" ", *[F.expr(f"substr(text, 1 + int((length(text) - {part}) * {i}L / {PASSAGES - 1}), {part})") for i in range(PASSAGES)])
+    return F.when(F.length("text") <= chars, F.col("text")).otherwise(spread)
+
+
 def learn(docs: DataFrame, texts: int = SAMPLE_TEXTS, size: int = DICTIONARY_BYTES) -> dict[str, bytes]:
     """Dictionaries by language, the most frequent language first, from a bounded, hash-ordered sample of the labelled texts.
 
-    Needs columns doc_id, text, lang. Rows with null text or lang teach nothing.
+    Needs columns doc_id, text, lang. Rows with null text or lang teach nothing; repeated rows teach
+    once. A language is learned from about ``texts`` to 2 ``texts`` rows, drawn over the whole
+    table by a hash of id and text, and each gives passages of its whole length. With very many languages
+    the dictionaries shrink, so that all of them stay within ``ALL_BYTES``.
     """
     known = docs.filter(~held_out() & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    counts = {r["lang"]: r["count"] for r in known.groupBy("lang").count().limit(MAX_LANGUAGES + 1).collect()}
-    if len(counts) > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages; raise the bound")
+    counts = {r["lang"]: r["count"] for r in known.groupBy("lang").count().collect()}
     if not counts:
         return {}
-    draw = F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000))
-    rule = F.lit(False)
-    for lang, n in counts.items():
-        rule = rule | ((F.col("lang") == lang) & (draw < int(min(1_000_000, 1_000_000 * 2 * texts / n + 1))))
+    size = max(64, min(size, ALL_BYTES // len(counts)))
+    texts = max(1, min(texts, size // 64))
+    span = 1 << 40
+    rates = docs.sparkSession.createDataFrame([(lang, int(min(span, span * 2 * texts / n + 1))) for lang, n in counts.items()], "_lang string, _rate long")
+    drawn = known.select("lang", "doc_id", "text", F.pmod(F.xxhash64("doc_id", "text", F.lit(7)), F.lit(span)).alias("draw"))
     picked = (
-        known.filter(rule)
-        .select("lang", "doc_id", F.substring("text", 1, 4 * size // texts).alias("text"))
+        drawn.join(F.broadcast(rates), F.col("lang") == F.col("_lang"))
+        .filter("draw < _rate")
+        .groupBy("lang", "draw")
+        .agg(F.min(F.struct("doc_id", passages(max(PASSAGES, 4 * size // texts)).alias("text"))).alias("row"))
+        .select("lang", "row.doc_id", "row.text")
         .collect()
     )
     by: dict[str, list] = {}
@@ -97,14 +111,15 @@ def predict(
     """``keep`` columns of ``docs`` plus the predicted language and its score, from the text alone.
 
     ``und`` with score 0 where the text is null or has no letter, or nothing was learned.
-    Dictionaries are bounded (``DICTIONARY_BYTES`` each), so they travel with the task.
+    Dictionaries are bounded (``ALL_BYTES``) and broadcast.
     """
+    sent = docs.sparkSession.sparkContext.broadcast(dictionaries)
     schema = docs.select(*keep).withColumns({names[0]: F.lit(""), names[1]: F.lit(0.0)}).schema
     read = list(dict.fromkeys([*keep, "text"]))
     at = read.index("text")
 
     def run(batches):
-        score = scorer(dictionaries)
+        score = scorer(sent.value)
         for batch in batches:
             found = [score(t.as_py()) for t in batch.column(at)]
             columns = [batch.column(read.index(k)) for k in keep]
@@ -117,6 +132,11 @@ def predict(
 
 
 def identify(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, lang_pred, score for every document."""
+    """doc_id, held_out, lang_pred, score for every document, repeated rows included.
+
+    Null texts, texts without a letter and tables that teach nothing give ``und`` with score 0; of
+    equally small encodings the language with more learned documents wins. Rows without doc_id are
+    never learned from and have a null ``held_out``.
+    """
     out = predict(docs, learn(docs), ["doc_id"])
     return out.select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
