@@ -2,9 +2,10 @@ r"""Chat formatting in budgeted windows.
 
 Turns of a conversation are joined into windows of at most ``budget`` tokens. Running sums
 of turn tokens choose turn-aligned spans: a window takes new turns while they fit; a turn
-longer than the budget makes a window of its own. Every window after the first starts with
-the conversation's system turn and repeats up to ``history`` of the turns before it, in
-the room that remains; assistant text is a target of the loss only where it is new.
+longer than the budget makes a window of its own, the only kind that exceeds it. Every window
+after the first starts with the conversation's system turn, if that and the first new turn fit, and
+repeats up to ``history`` of the turns before it in the room that remains; assistant text is a
+target of the loss only where it is new.
 
 Template: a turn is ``<|role|>`` newline text ``<|end|>`` newline, the role and text with
 control strings escaped: a backslash doubles, and every control string, overlapping ones too,
@@ -90,7 +91,7 @@ def windows(turns: Iterable[tuple[str, str]], budget: int = 512, history: int =
             head, used = [], turn.tokens
             if not first:
                 room = budget - turn.tokens
-                if system is not None:
+                if system is not None and system.tokens <= room:
                     head.append(system)
                     room -= system.tokens
                 back = []
@@ -100,7 +101,7 @@ def windows(turns: Iterable[tuple[str, str]], budget: int = 512, history: int =
                     back.append(old)
                     room -= old.tokens
                 head += reversed(back)
-                used = budget - room
+                used = max(turn.tokens, budget - room)
         else:
             used += turn.tokens
         new.append(turn)
