@@ -10,7 +10,7 @@ from sketchselect.tables import release, shared_dir, written
 #: A word of a text: a run without space, tab, newline, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
 
-__all__ = ["WORD", "load", "release", "shared_dir", "text_or_empty", "written"]
+__all__ = ["WORD", "free_names", "load", "release", "shared_dir", "text_or_empty", "written"]
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -19,3 +19,15 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 def text_or_empty(column: str = "text"):
     return F.coalesce(F.col(column), F.lit(""))
+
+
+def free_names(df: DataFrame, *wanted: str) -> list[str]:
+    """Names like those wanted that no column of ``df`` has, in any case."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in wanted:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out

@@ -15,7 +15,7 @@ import heapq
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sketchselect.llm.common import text_or_empty, written
+from sketchselect.llm.common import free_names, text_or_empty, written
 
 
 def lpt(units: list[tuple[int, object]], shards: int) -> dict:
@@ -39,25 +39,23 @@ def assign_shards(rows: DataFrame, key: str, size: str, shards: int = 40, bins:
     units = shards * bins
     total = rows.agg(F.sum(size)).first()[0] or 0
     limit = max(1, total // units)
+    summed, bin_, own, shared, name = free_names(rows, "_summed", "_bin", "_own", "_shared", "_name")
     bin_of = F.pmod(F.xxhash64(F.col(key)), F.lit(units)).cast("int")
-    groups = rows.groupBy(key).agg(F.sum(size).alias("_size"))
-    large = [(int(r["_size"]), r[key]) for r in groups.filter(F.col("_size") > limit).collect()]
-    small = [
-        (int(r["_size"]), int(r["_bin"]))
-        for r in groups.filter(F.col("_size") <= limit).groupBy(bin_of.alias("_bin")).agg(F.sum("_size").alias("_size")).collect()
-    ]
+    groups = rows.groupBy(F.col(key).alias(name)).agg(F.sum(size).alias(summed))
+    large = [(int(r[1]), r[0]) for r in groups.filter(F.col(summed) > limit).collect()]
+    binned = groups.filter(F.col(summed) <= limit).groupBy(F.pmod(F.xxhash64(name), F.lit(units)).cast("int").alias(bin_)).agg(F.sum(summed).alias(summed))
+    small = [(int(r[1]), int(r[0])) for r in binned.collect()]
     assert len(large) <= units and len(small) <= units
     placed = lpt([(s, (0, k)) for s, k in large] + [(s, (1, b)) for s, b in small], shards)
     kind = rows.schema[key].dataType.simpleString()
-    alone = spark.createDataFrame([(k, placed[0, k]) for _, k in large], f"{key} {kind}, _own int")
-    binned = spark.createDataFrame([(b, placed[1, b]) for _, b in small], "_bin int, _shared int")
+    alone = spark.createDataFrame([(k, placed[0, k]) for _, k in large], f"{name} {kind}, {own} int")
+    together = spark.createDataFrame([(b, placed[1, b]) for _, b in small], f"{bin_} int, {shared} int")
     # both sides are at most shards * bins rows, by the arithmetic above
     return (
-        rows.withColumn("_bin", bin_of)
-        .join(F.broadcast(alone), key, "left")
-        .join(F.broadcast(binned), "_bin", "left")
-        .withColumn("shard", F.coalesce("_own", "_shared"))
-        .drop("_own", "_shared", "_bin")
+        rows.withColumn(bin_, bin_of)
+        .join(F.broadcast(alone), F.col(key) == F.col(name), "left")
+        .join(F.broadcast(together), bin_, "left")
+        .select(*rows.columns, F.coalesce(own, shared).alias("shard"))
     )
 
 
@@ -69,19 +67,20 @@ def number_slots(rows: DataFrame, order: list[str], rows_per_cell: int = 1024) -
     """
     n = rows.groupBy("shard").count().agg(F.max("count")).first()[0] or 0
     cells = max(1, -(-n // rows_per_cell))
-    rows = rows.withColumn("_cell", F.pmod(F.xxhash64(*order), F.lit(cells)).cast("int"))
+    cell, count, start, at = free_names(rows, "_cell", "_count", "_start", "_at")
+    kept = rows.columns
+    rows = rows.withColumn(cell, F.pmod(F.xxhash64(*order), F.lit(cells)).cast("int"))
     starts = (
-        rows.groupBy("shard", "_cell")
-        .agg(F.count("*").alias("_n"))
-        .withColumn("_start", F.sum("_n").over(Window.partitionBy("shard").orderBy("_cell")) - F.col("_n"))
-        .drop("_n")
+        rows.groupBy("shard", cell)
+        .agg(F.count("*").alias(count))
+        .withColumn(start, F.sum(count).over(Window.partitionBy("shard").orderBy(cell)) - F.col(count))
+        .drop(count)
     )
-    within = Window.partitionBy("shard", "_cell").orderBy(*order)
+    within = Window.partitionBy("shard", cell).orderBy(*order)
     return (
-        rows.withColumn("_at", F.row_number().over(within) - 1)
-        .join(starts, ["shard", "_cell"])
-        .withColumn("slot", F.col("_start") + F.col("_at"))
-        .drop("_cell", "_at", "_start")
+        rows.withColumn(at, F.row_number().over(within) - 1)
+        .join(starts, ["shard", cell])
+        .select(*kept, (F.col(start) + F.col(at)).alias("slot"))
     )
 
 
@@ -115,10 +114,13 @@ def shard_documents(docs: DataFrame, shards: int = 40) -> DataFrame:
 
 
 def sharded(docs: DataFrame, shards: int = 40) -> DataFrame:
-    """The documents, all columns, with shard and slot (any columns of these names are replaced)."""
+    """The documents, all columns, with shard and slot (any columns of these names are replaced).
+
+    Rows of equal text, null as empty, share a shard; repeated rows are separate rows.
+    """
     text = text_or_empty()
-    rows = docs.drop("shard", "slot").withColumns(
-        {"_bytes": (F.octet_length(text) + 16).cast("long"), "_crc": F.crc32(text), "_key": F.sha2(text, 256)}
-    )
-    placed = assign_shards(rows, "_key", "_bytes", shards)
-    return number_slots(placed, ["doc_id", "_crc", "_bytes"]).drop("_bytes", "_crc", "_key")
+    docs = docs.drop("shard", "slot")
+    size, crc, key = free_names(docs, "_size", "_crc", "_key")
+    rows = docs.withColumns({size: (F.octet_length(text) + 16).cast("long"), crc: F.crc32(text), key: F.sha2(text, 256)})
+    placed = assign_shards(rows, key, size, shards)
+    return number_slots(placed, ["doc_id", crc, size]).select(*docs.columns, "shard", "slot")
