@@ -116,7 +116,11 @@ def test_multi_index_finds_all_within_radius():
         for b in rng.sample(range(64), rng.randint(0, 16)):
             code ^= 1 << b
         want = {i for i in range(60) if (int(index.codes[i]) ^ code).bit_count() <= 16}
-        assert index.within(20, code) == want
+        assert set(index.within(20, np.array([code], np.uint64))[1].tolist()) == want
+    many = decontaminate.Index([(i, prose(rng, 9)) for i in range(1500)], 5, 0.8, 16)
+    codes = many.codes[:40] ^ np.array([sum(1 << b for b in rng.sample(range(64), 14)) for _ in range(40)], np.uint64)
+    got = set(zip(*(x.tolist() for x in many.within(9, codes)), strict=True))
+    assert got == {(j, i) for j, c in enumerate(codes) for i, d in enumerate(many.codes) if int(c ^ d).bit_count() <= 16}
 
 
 # ---- op2 and the near-duplicate stage
@@ -239,6 +243,26 @@ def test_substrings_match_brute_force(spark, texts, monkeypatch):
         assert got == want
 
 
+def test_longest_previous_factors():
+    """The array itself, against all pairs of suffixes."""
+    rng = random.Random(14)
+    for _ in range(30):
+        strings = ["".join(rng.choices("ab", k=rng.randint(8, 40))) for _ in range(rng.randint(1, 9))] + ["ab" * 20]
+        ids = [rng.randrange(5) for _ in strings]
+        data = np.frombuffer("".join(strings).encode(), np.uint8)
+        got, first = substrings.factors(data, np.array([len(x) for x in strings]), np.array(ids), 8, 20)
+        for own, s, at in zip(ids, strings, first.tolist(), strict=True):
+            for i in range(len(s) - 7):
+                best = 0
+                for other, t in zip(ids, strings, strict=True):
+                    for j in range(len(t)):
+                        n = 0
+                        while other < own and n < 20 and i + n < len(s) and j + n < len(t) and s[i + n] == t[j + n]:
+                            n += 1
+                        best = max(best, n)
+                assert got[at + i] == (best if best >= 8 else 0)
+
+
 def test_spans_are_maximal(spark):
     rng = random.Random(3)
     a, b = prose(rng, 30), prose(rng, 40)
