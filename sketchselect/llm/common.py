@@ -10,7 +10,7 @@ from sketchselect.tables import release, shared_dir, written
 #: A word of a text: a run without space, tab, newline, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
 
-__all__ = ["WORD", "free_names", "load", "release", "shared_dir", "text_or_empty", "written"]
+__all__ = ["WORD", "free_names", "let", "load", "release", "shared_dir", "text_or_empty", "written"]
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -31,3 +31,8 @@ def free_names(df: DataFrame, *wanted: str) -> list[str]:
         taken.add(name.lower())
         out.append(name)
     return out
+
+
+def let(value: str, name: str, body: str) -> str:
+    """SQL: ``body`` with ``name`` bound to a value that is computed once."""
+    return f"transform(array({value}), {name} -> {body})[0]"

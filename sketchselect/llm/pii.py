@@ -22,7 +22,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sketchselect.llm.common import text_or_empty, written
+from sketchselect.llm.common import let, text_or_empty, written
 
 #: Kinds in the order of results.
 KINDS = ("email", "ip", "card", "phone")
@@ -63,11 +63,6 @@ def quoted(text: str) -> str:
     return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def let(value: str, name: str, body: str) -> str:
-    """SQL: ``body`` with ``name`` bound to a value that is computed once."""
-    return f"transform(array({value}), {name} -> {body})[0]"
-
-
 def scanned(values: str, joined: str) -> str:
     """SQL: running folds of an array by an associative operation of x (later) and y (earlier).
 

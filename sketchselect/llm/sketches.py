@@ -1,20 +1,24 @@
 """Document fingerprints as invertible Bloom lookup sketches.
 
-A text is cut into paragraphs and these into clauses: at line breaks, and at white space
-after a character of ``CUT``. The cuts depend on nothing but the characters beside them, so
-an edit changes only the clauses that it touches. Each clause is hashed, and a clause that
-repeats is hashed with its occurrence, so digests form a set.
+A text is cut into paragraphs and these into clauses: at line breaks, at white space after a
+character of ``CUT``, and after full-width stops. Clauses longer than ``LONG`` characters are cut
+further after the words whose hash ends in three zero bits. All cuts depend on nothing but the characters
+beside them, so an edit changes only the pieces that it touches. A piece's digest is the hash of it
+and of how often it occurs, so digests form a set.
 
 Every digest lies in one cell of each of three subtables. A cell keeps how many digests it
 holds and the exclusive or of the digests and of their check hashes. Subtracting
 the sketches of two texts cell by cell leaves only the digests in which they differ, and
 peeling recovers these: a cell with one digest whose check agrees names it, it is taken
-out of its other cells, and so on. When cells are left over, the next larger sketch is
-peeled (a smaller sketch is a larger one folded, so one pass makes both); when the largest fails too, the number of differing digests is estimated from
-the squares of its cell counts.
-
-Likeness of two sketches is shared / all digests, from the two set sizes and the number of
-differing digests. Everything is SQL expressions over columns of one row.
+out of its other cells, and so on. When cells are left over, sketches with subtables four times as
+large are peeled, until peeling ends; no difference is estimated (an estimate from cell
+counts only skips sizes that cannot hold the difference).
+
+A text's own fingerprint has subtables sized by its number of digests, so equal texts have equal
+fingerprints; a smaller sketch is a larger one folded. Comparison starts at the smaller of two
+fingerprints. Likeness is shared / all digests, from the two set sizes and the recovered
+digests. Cells are kept sparse, ordered by their place, and everything is SQL expressions over
+columns of one row whose work grows with the digests, times their logarithm.
 """
 
 from __future__ import annotations
@@ -22,86 +26,96 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sketchselect.llm.common import text_or_empty
+from sketchselect.llm.common import let, text_or_empty
 
-#: Characters after which white space ends a clause, with the ends of sentences.
+#: Characters after which white space ends a clause, with the ends of sentences, and those that end one themselves.
 CUT = ".!?;:,"
-#: Cells of each of the three subtables, by retry (powers of two), and peeling rounds.
-SIZES = (8, 32)
-ROUNDS = 16
+STOPS = "。！？；：，、"
+#: Characters of a clause from which it is cut by words, and of the longest word that is kept whole.
+LONG, WORD_CHARS = 160, 32
+#: Least cells of a subtable (a power of two), peeling rounds, sizes tried after the first.
+LEAST = 8
+ROUNDS = 24
+RETRIES = 8
 CHECK_SEED = 77
 #: Rows of a range of doc_id in the search for the next document, and ranges at most.
 RANGE_ROWS = 1024
 MAX_RANGES = 1 << 16
-CELL = "struct<n:int,keys:bigint,checks:int>"
+CELL = "struct<i:int,n:int,keys:bigint,checks:int>"
 
 
 def clause_hashes(text: str) -> Column:
-    return F.expr(f"transform(filter(split({text}, '(?<=[{CUT}])[ ]+|[\\\\n\\\\r]+'), x -> x <> ''), x -> xxhash64(x))")
+    ends = "filter(sequence(1, size(w)), i -> i = size(w) OR (xxhash64(w[i - 1]) & 7) = 0)"
+    cut = "transform(e, (z, k) -> xxhash64(slice(w, coalesce(get(e, k - 1), 0) + 1, z - coalesce(get(e, k - 1), 0))))"
+    words = let(f"regexp_extract_all(x, '[^ ]{{1,{WORD_CHARS}}}', 0)", "w", f"if(size(w) = 0, array(xxhash64(x)), {let(ends, 'e', cut)})")
+    clauses = f"filter(split({text}, '(?<=[{CUT}])[ ]+|[\\n\\r]+|(?<=[{STOPS}])'), x -> x <> '')"
+    return F.expr(f"flatten(transform({clauses}, x -> if(length(x) <= {LONG}, array(xxhash64(x)), {words})))")
+
+
+def starts(ordered: str, key: str) -> str:
+    """SQL: where runs of equal keys begin in an ordered array that is not empty."""
+    return f"filter(sequence(0, size({ordered}) - 1), i -> i = 0 OR {ordered}[i]{key} <> {ordered}[i - 1]{key})"
 
 
 def digests(hashes: str) -> Column:
-    """Distinct digests from clause hashes: the k-th further copy of h becomes hash(h, k)."""
-    return F.expr(f"""array_distinct(concat({hashes}, aggregate(
-        sort_array({hashes}),
-        struct(cast(null AS bigint) AS last, 0 AS n, cast(array() AS array<bigint>) AS again),
-        (acc, h) -> if(h <=> acc.last,
-            struct(h AS last, acc.n + 1 AS n, array_append(acc.again, xxhash64(h, acc.n + 1)) AS again),
-            struct(h AS last, 0 AS n, acc.again AS again)),
-        acc -> acc.again)))""")
-
-
-def layout(size: int) -> str:
-    """SQL literal: where digests lie, as masks and values of their bits.
-
-    Subtable j reads its place from the bits from 16 j on. Cells come in groups that share the
-    high bits of the place; each group has its first cell's index, its mask and value, and
-    those of its cells.
-    """
-    part = max(1, size // 4)
-    groups = []
-    for j in range(3):
-        for at in range(0, size, part):
-            cells = ", ".join(f"named_struct('m', {(size - 1) << 16 * j}L, 'v', {(at + c) << 16 * j}L)" for c in range(part))
-            mask = ((size - 1) & ~(part - 1)) << 16 * j
-            groups.append(f"named_struct('i', {j * size + at + 1}, 'm', {mask}L, 'v', {at << 16 * j}L, 'c', array({cells}))")
-    return f"array({', '.join(groups)})"
+    """Distinct digests from the hashes of pieces: each hash with the number of its occurrences."""
+    counted = "transform(b, (a, k) -> xxhash64(s[a], coalesce(get(b, k + 1), size(s)) - a))"
+    return F.expr(f"if(size({hashes}) = 0, {hashes}, {let(f'sort_array({hashes})', 's', let(starts('s', ''), 'b', counted))})")
 
 
-def sketch(found: str, size: int) -> str:
-    """SQL: cells (n, keys, checks) of an array of distinct digests.
+def merged(entries: str) -> str:
+    """SQL: entries of cells summed by place, in order of place, without those that cancel out."""
+    run = f"""aggregate(slice(s, a + 1, coalesce(get(b, k + 1), size(s)) - a), cast(struct(s[a].i AS i, 0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
+        (acc, c) -> struct(acc.i AS i, acc.n + c.n AS n, acc.keys ^ c.keys AS keys, acc.checks ^ c.checks AS checks))"""
+    cells = f"transform(b, (a, k) -> if(coalesce(get(b, k + 1), size(s)) = a + 1, s[a], {run}))"
+    summed = let("sort_array(entries)", "s", let(starts("s", ".i"), "b", f"filter({cells}, c -> c.n <> 0 OR c.keys <> 0 OR c.checks <> 0)"))
+    return let(entries, "entries", f"if(size(entries) = 0, entries, {summed})")
 
-    Digests are dealt to groups of cells first, then to the cells of each.
-    """
-    return f"""flatten(transform({layout(size)}, g -> transform(
-        array(filter({found}, h -> (h & g.m) = g.v)),
-        few -> transform(g.c, c -> aggregate(
-            filter(few, h -> (h & c.m) = c.v),
-            cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
-            (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0]))"""
+
+def places(digest: str, n: str, size: str) -> str:
+    """SQL: the three cells of a digest, counted n times; subtable j reads its place from the bits from 21 j on."""
+    cells = [
+        f"named_struct('i', int({j} * {size} + (shiftrightunsigned({digest}, {21 * j}) & ({size} - 1))), 'n', {n}, 'keys', {digest}, 'checks', hash({digest}, {CHECK_SEED}))"
+        for j in range(3)
+    ]
+    return f"array({', '.join(cells)})"
+
+
+def sketch(found: str, size: str) -> str:
+    """SQL: the cells that hold anything, of an array of distinct digests."""
+    return merged(f"flatten(transform({found}, h -> {places('h', '1', size)}))")
+
+
+def sketch_size(n: str) -> str:
+    """SQL: cells of a subtable of the fingerprint of n digests."""
+    return f"int(pow(2, ceil(log2(greatest({n}, {2 * LEAST}) / 2.0D))))"
+
+
+def folded(cells: str, large: str, small: str) -> str:
+    """SQL: the sketch with smaller subtables, from one with larger: places keep their low bits."""
+    return merged(f"transform({cells}, c -> struct(int(c.i div {large} * {small} + (c.i % {large} & ({small} - 1))) AS i, c.n AS n, c.keys AS keys, c.checks AS checks))")
 
 
 def difference(a: str, b: str) -> str:
-    return f"zip_with({a}, {b}, (x, y) -> struct(x.n - y.n AS n, x.keys ^ y.keys AS keys, x.checks ^ y.checks AS checks))"
+    return merged(f"concat({a}, transform({b}, c -> struct(c.i AS i, -c.n AS n, c.keys AS keys, c.checks AS checks)))")
 
 
-def peeled(cells: str, size: int) -> str:
-    """SQL: the number of digests that peeling recovers, null where cells are left over."""
-    pure = f"""array_distinct(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks))"""
-    part = max(1, size // 4)
-    taken = f"""flatten(transform({layout(size)}, g -> transform(
-        array(filter(one, p -> (p.keys & g.m) = g.v)),
-        few -> if(size(few) = 0, slice(acc.cells, g.i, {part}),
-            zip_with(slice(acc.cells, g.i, {part}), g.c, (c, q) -> aggregate(filter(few, p -> (p.keys & q.m) = q.v), c,
-                (left, p) -> struct(left.n - p.n AS n, left.keys ^ p.keys AS keys, left.checks ^ p.checks AS checks)))))[0]))"""
-    step = f"""if(acc.going, aggregate(array({pure}), acc, (acc, one) ->
-        struct({taken} AS cells, acc.took + size(one) AS took, size(one) > 0 AS going)), acc)"""
-    return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, 0 AS took, true AS going), (acc, i) -> {step},
-        acc -> if(forall(acc.cells, c -> c.n = 0 AND c.keys = 0), acc.took, null))"""
+def peeled(cells: str, size: str) -> str:
+    """SQL: (ours, theirs) digests that peeling recovers from a difference, null where cells are left over."""
+    pure = f"sort_array(transform(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks), c -> struct(c.keys AS digest, c.n AS n)))"
+    once = "filter(pure, (p, i) -> i = 0 OR p.digest <> pure[i - 1].digest)"
+    left = merged(f"concat(acc.cells, flatten(transform(one, p -> {places('p.digest', '-p.n', size)})))")
+    ours = "concat(acc.ours, transform(filter(one, p -> p.n = 1), p -> p.digest))"
+    theirs = "concat(acc.theirs, transform(filter(one, p -> p.n = -1), p -> p.digest))"
+    took = f"struct({left} AS cells, {ours} AS ours, {theirs} AS theirs, size(one) > 0 AS going)"
+    none = "cast(array() AS array<bigint>)"
+    return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, {none} AS ours, {none} AS theirs, true AS going),
+        (acc, r) -> if(acc.going AND size(acc.cells) > 0, {let(pure, 'pure', let(once, 'one', took))}, acc),
+        acc -> if(size(acc.cells) = 0, struct(acc.ours AS ours, acc.theirs AS theirs), null))"""
 
 
-def estimated(cells: str, size: int, a: str, b: str) -> str:
-    """SQL: differing digests from cell counts; a and b are the two set sizes.
+def estimated(cells: str, size: str, a: str, b: str) -> str:
+    """SQL: about how many digests differ, from cell counts; a and b are the two set sizes.
 
     Over a subtable of m cells the squares of the count differences sum, on average, to
     d (1 - 1/m) + (a - b)^2 / m for d differing digests.
@@ -111,40 +125,36 @@ def estimated(cells: str, size: int, a: str, b: str) -> str:
     return f"greatest(double(abs({a} - {b})), least(double({a} + {b}), {raw}))"
 
 
-def folded(cells: str, large: int, small: int) -> str:
-    """SQL: the sketch with smaller subtables, from one with larger: places keep their low bits."""
-
-    def added(parts: list[str]) -> str:
-        if len(parts) == 1:
-            return parts[0]
-        half = len(parts) // 2
-        return f"""zip_with({added(parts[:half])}, {added(parts[half:])},
-            (x, y) -> struct(x.n + y.n AS n, x.keys ^ y.keys AS keys, x.checks ^ y.checks AS checks))"""
+def compared(a: str, b: str) -> str:
+    """SQL: struct (ours, theirs, size) of the digests in which two sets differ, by peeling.
 
-    tables = [added([f"slice({cells}, {t * large + k * small + 1}, {small})" for k in range(large // small)]) for t in range(3)]
-    return f"concat({', '.join(tables)})"
+    Columns ``<a>`` hold the digests, ``<a>_cells`` the fingerprint, ``<a>_size`` the cells of its
+    subtables, and the same of b. The first size is that of the smaller fingerprint.
+    """
 
+    first = difference(
+        f"if({a}_size = m, {a}_cells, {folded(f'{a}_cells', f'{a}_size', 'm')})", f"if({b}_size = m, {b}_cells, {folded(f'{b}_cells', f'{b}_size', 'm')})"
+    )
+    guess = estimated("d", "m", f"size({a})", f"size({b})")
+    begin = f"greatest(m, int(pow(2, ceil(log2(greatest({guess}, 1D) / 1.6D)))))"
+    again = difference(sketch(a, "t.size"), sketch(b, "t.size"))
+    tried = let(f"if(t.size = m, d, {again})", "cells", peeled("cells", "t.size"))
+    loop = f"""aggregate(sequence(0, {RETRIES}), struct({begin} AS size, cast(null AS struct<ours:array<bigint>,theirs:array<bigint>>) AS found),
+        (t, r) -> if(t.found IS NOT NULL, t, {let(tried, 'found', 'struct(if(found IS NULL AND r < ' + str(RETRIES) + ', 4 * t.size, t.size) AS size, found AS found)')}),
+        t -> struct(coalesce(t.found.ours, array_except({a}, {b})) AS ours, coalesce(t.found.theirs, array_except({b}, {a})) AS theirs, t.size AS size))"""
+    return let(f"least({a}_size, {b}_size)", "m", let(first, "d", loop))
 
-def likeness(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
-    """Add column ``name``: likeness of two sketches.
 
-    Columns ``<a>_small``, ``<a>_large`` and the same of b hold the sketches, ``<a>_size`` and
-    ``<b>_size`` the set sizes. Two empty sets are alike (1).
-    """
-    small, large = SIZES
-    return (
-        frame.withColumn("_few", F.expr(peeled(difference(f"{a}_small", f"{b}_small"), small)))
-        .withColumn("_cells", F.expr(f"if(_few IS NULL, {difference(f'{a}_large', f'{b}_large')}, null)"))
-        .withColumn("_many", F.expr(f"if(_few IS NULL, {peeled('_cells', large)}, null)"))
-        .withColumn("_apart", F.expr(f"coalesce(double(_few), double(_many), {estimated('_cells', large, f'{a}_size', f'{b}_size')})"))
-        .withColumn(name, F.expr(f"if({a}_size + {b}_size = 0, 1D, ({a}_size + {b}_size - _apart) / ({a}_size + {b}_size + _apart))"))
-        .drop("_few", "_cells", "_many", "_apart")
-    )
+def likeness(a: str, b: str, parted: str) -> Column:
+    """Shared / all digests of two sets, from what peeling found; two empty sets are alike (1)."""
+    n, d = f"(size({a}) + size({b}))", f"(size({parted}.ours) + size({parted}.theirs))"
+    return F.expr(f"if({n} = 0, 1D, double({n} - {d}) / ({n} + {d}))")
 
 
-def printed(cells: str) -> Column:
-    """A sketch as text: count, digest and check sums of every cell in hexadecimal."""
-    return F.expr(f"array_join(transform({cells}, c -> if(c.n = 0, '-', concat_ws(':', lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks))))), ',')")
+def printed(cells: str, size: str) -> Column:
+    """A sketch as text: cells of a subtable, then place, count, digest and check sums of every cell in use, in hexadecimal."""
+    each = "concat_ws(':', lower(hex(c.i)), lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks)))"
+    return F.expr(f"concat_ws(',', lower(hex({size})), transform({cells}, c -> {each}))")
 
 
 def id_ranges(docs: DataFrame) -> list[int]:
@@ -192,14 +202,33 @@ def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
     return rows.select("*", *[F.lead(c).over(seen).alias(f"next_{c}") for c in columns]).filter("_copy = 0").drop("_copy", "_to")
 
 
+def sketched(rows: DataFrame, sets: list[str]) -> DataFrame:
+    """Add ``<set>_size`` and ``<set>_cells``, the fingerprint of each array of digests."""
+    rows = rows.withColumns({f"{c}_size": F.expr(sketch_size(f"size({c})")) for c in sets})
+    return rows.withColumns({f"{c}_cells": F.expr(sketch(c, f"{c}_size")) for c in sets})
+
+
+def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
+    """Rows with two texts in columns ``a`` and ``b``: add ``ours``, ``theirs`` and ``likeness``.
+
+    ``ours`` and ``theirs`` are the digests that only the first or only the second text has,
+    recovered from the difference of the two fingerprints. Null texts count as empty.
+    """
+    rows = pairs.withColumns({f"_{x}": clause_hashes(f"coalesce({x}, '')") for x in (a, b)})
+    rows = sketched(rows.withColumns({f"_{x}": digests(f"_{x}") for x in (a, b)}), [f"_{a}", f"_{b}"])
+    rows = rows.withColumn("_parted", F.expr(compared(f"_{a}", f"_{b}")))
+    return rows.select(*pairs.columns, "_parted.ours", "_parted.theirs", likeness(f"_{a}", f"_{b}", "_parted").alias("likeness"))
+
+
 def fingerprint(docs: DataFrame) -> DataFrame:
     """Sketches of every text and its edited text, and their likenesses.
 
     The edited text is the text with its last third (rounded down) replaced by the first as
-    many code points of the next document. Null texts count as empty.
+    many code points of the next document. Null texts count as empty. Also returned: how many digests
+    only the text or only the edited text has, and the cells of a subtable from which these were peeled.
+    Repeated rows are documents of their own, ordered by text where ids are equal or null; the only
+    document of a table is its own next. An empty table gives an empty result.
     """
-    small, large = SIZES
-    sets = ("own", "changed", "next_own")
     rows = (
         docs.select("doc_id", text_or_empty().alias("text"))
         .withColumn("hashes", clause_hashes("text"))
@@ -215,17 +244,18 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("hashes", clause_hashes("edited"))
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
-        .withColumns({f"{c}_large": F.expr(sketch(c, large)) for c in sets} | {f"{c}_size": F.size(c) for c in sets})
-        .drop(*sets)
-        .withColumns({f"{c}_small": F.expr(folded(f"{c}_large", large, small)) for c in sets})
     )
-    near = likeness(likeness(near, "own", "changed", "near_edited"), "own", "next_own", "near_next")
+    near = sketched(near, ["own", "changed", "next_own"])
+    near = near.withColumns({"_edited": F.expr(compared("own", "changed")), "_next": F.expr(compared("own", "next_own"))})
     return near.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
-        printed("own_small").alias("fingerprint"),
-        printed("changed_small").alias("edited_fingerprint"),
-        "near_edited",
-        "near_next",
+        printed("own_cells", "own_size").alias("fingerprint"),
+        printed("changed_cells", "changed_size").alias("edited_fingerprint"),
+        likeness("own", "changed", "_edited").alias("near_edited"),
+        likeness("own", "next_own", "_next").alias("near_next"),
+        F.size("_edited.ours").alias("edited_gone"),
+        F.size("_edited.theirs").alias("edited_new"),
+        F.col("_edited.size").alias("edited_cells"),
     )
