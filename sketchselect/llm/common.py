@@ -34,5 +34,5 @@ def free_names(df: DataFrame, *wanted: str) -> list[str]:
 
 
 def let(value: str, name: str, body: str) -> str:
-    """SQL: ``body`` with ``name`` bound to a value that is computed once."""
-    return f"transform(array({value}), {name} -> {body})[0]"
+    """SQL: ``body`` with ``name`` bound to a value that is computed once, and not copied."""
+    return f"aggregate(cast(array() AS array<int>), {value}, ({name}, none) -> {name}, {name} -> {body})"

@@ -10,21 +10,23 @@ Every digest lies in one cell of each of three subtables. A cell keeps how many
 holds and the exclusive or of the digests and of their check hashes. Subtracting
 the sketches of two texts cell by cell leaves only the digests in which they differ, and
 peeling recovers these: a cell with one digest whose check agrees names it, it is taken
-out of its other cells, and so on. When cells are left over, sketches with subtables four times as
-large are peeled, until peeling ends; no difference is estimated (an estimate from cell
-counts only skips sizes that cannot hold the difference).
-
-A text's own fingerprint has subtables sized by its number of digests, so equal texts have equal
-fingerprints; a smaller sketch is a larger one folded. Comparison starts at the smaller of two
-fingerprints. Likeness is shared / all digests, from the two set sizes and the recovered
-digests. Cells are kept sparse, ordered by their place, and everything is SQL expressions over
-columns of one row whose work grows with the digests, times their logarithm.
+out of its other cells, and so on. When cells are left over, larger sketches are peeled until
+peeling ends; nothing is estimated. Likeness of two sketches is shared / all digests, from the
+two set sizes and the recovered digests.
+
+Sketches of ``SIZES`` are SQL expressions over columns of one row; the larger of them is the
+fingerprint, the smaller is it folded. Pairs whose difference is too large for them, about
+``CELLS_HOLD`` digests, retry in sketches of any size in Python workers: as SQL, which cannot write
+to a place of an array, the same work took ten times the time (see the README).
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from sketchselect.llm.common import let, text_or_empty
 
@@ -33,15 +35,16 @@ CUT = ".!?;:,"
 STOPS = "。！？；：，、"
 #: Characters of a clause from which it is cut by words, and of the longest word that is kept whole.
 LONG, WORD_CHARS = 160, 32
-#: Least cells of a subtable (a power of two), peeling rounds, sizes tried after the first.
-LEAST = 8
-ROUNDS = 24
-RETRIES = 8
+#: Cells of each of the three subtables, by retry (powers of two), and peeling rounds.
+SIZES = (8, 32)
+ROUNDS = 16
+#: Digests that the larger of them is sure to hold; sketches of a larger difference are not peeled in vain.
+CELLS_HOLD = 90
 CHECK_SEED = 77
 #: Rows of a range of doc_id in the search for the next document, and ranges at most.
 RANGE_ROWS = 1024
 MAX_RANGES = 1 << 16
-CELL = "struct<i:int,n:int,keys:bigint,checks:int>"
+CELL = "struct<n:int,keys:bigint,checks:int>"
 
 
 def clause_hashes(text: str) -> Column:
@@ -63,98 +66,158 @@ def digests(hashes: str) -> Column:
     return F.expr(f"if(size({hashes}) = 0, {hashes}, {let(f'sort_array({hashes})', 's', let(starts('s', ''), 'b', counted))})")
 
 
-def merged(entries: str) -> str:
-    """SQL: entries of cells summed by place, in order of place, without those that cancel out."""
-    run = f"""aggregate(slice(s, a + 1, coalesce(get(b, k + 1), size(s)) - a), cast(struct(s[a].i AS i, 0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
-        (acc, c) -> struct(acc.i AS i, acc.n + c.n AS n, acc.keys ^ c.keys AS keys, acc.checks ^ c.checks AS checks))"""
-    cells = f"transform(b, (a, k) -> if(coalesce(get(b, k + 1), size(s)) = a + 1, s[a], {run}))"
-    summed = let("sort_array(entries)", "s", let(starts("s", ".i"), "b", f"filter({cells}, c -> c.n <> 0 OR c.keys <> 0 OR c.checks <> 0)"))
-    return let(entries, "entries", f"if(size(entries) = 0, entries, {summed})")
+def layout(size: int) -> str:
+    """SQL literal: where digests lie, as masks and values of their bits.
+
+    Subtable j reads its place from the bits from 16 j on. Cells come in groups that share the
+    high bits of the place; each group has its first cell's index, its mask and value, and
+    those of its cells.
+    """
+    part = max(1, size // 4)
+    groups = []
+    for j in range(3):
+        for at in range(0, size, part):
+            cells = ", ".join(f"named_struct('m', {(size - 1) << 16 * j}L, 'v', {(at + c) << 16 * j}L)" for c in range(part))
+            mask = ((size - 1) & ~(part - 1)) << 16 * j
+            groups.append(f"named_struct('i', {j * size + at + 1}, 'm', {mask}L, 'v', {at << 16 * j}L, 'c', array({cells}))")
+    return f"array({', '.join(groups)})"
 
 
-def places(digest: str, n: str, size: str) -> str:
-    """SQL: the three cells of a digest, counted n times; subtable j reads its place from the bits from 21 j on."""
-    cells = [
-        f"named_struct('i', int({j} * {size} + (shiftrightunsigned({digest}, {21 * j}) & ({size} - 1))), 'n', {n}, 'keys', {digest}, 'checks', hash({digest}, {CHECK_SEED}))"
-        for j in range(3)
-    ]
-    return f"array({', '.join(cells)})"
+def sketch(found: str, size: int) -> str:
+    """SQL: cells (n, keys, checks) of an array of distinct digests.
 
+    Digests are dealt to groups of cells first, then to the cells of each.
+    """
+    return f"""flatten(transform({layout(size)}, g -> transform(
+        array(filter({found}, h -> (h & g.m) = g.v)),
+        few -> transform(g.c, c -> aggregate(
+            filter(few, h -> (h & c.m) = c.v),
+            cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
+            (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0]))"""
 
-def sketch(found: str, size: str) -> str:
-    """SQL: the cells that hold anything, of an array of distinct digests."""
-    return merged(f"flatten(transform({found}, h -> {places('h', '1', size)}))")
+
+def difference(a: str, b: str) -> str:
+    return f"zip_with({a}, {b}, (x, y) -> struct(x.n - y.n AS n, x.keys ^ y.keys AS keys, x.checks ^ y.checks AS checks))"
 
 
-def sketch_size(n: str) -> str:
-    """SQL: cells of a subtable of the fingerprint of n digests."""
-    return f"int(pow(2, ceil(log2(greatest({n}, {2 * LEAST}) / 2.0D))))"
+def peeled(cells: str, size: int) -> str:
+    """SQL: the number of digests that peeling recovers, null where cells are left over."""
+    pure = f"""array_distinct(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks))"""
+    part = max(1, size // 4)
+    taken = f"""flatten(transform({layout(size)}, g -> transform(
+        array(filter(one, p -> (p.keys & g.m) = g.v)),
+        few -> if(size(few) = 0, slice(acc.cells, g.i, {part}),
+            zip_with(slice(acc.cells, g.i, {part}), g.c, (c, q) -> aggregate(filter(few, p -> (p.keys & q.m) = q.v), c,
+                (left, p) -> struct(left.n - p.n AS n, left.keys ^ p.keys AS keys, left.checks ^ p.checks AS checks)))))[0]))"""
+    step = f"""if(acc.going, aggregate(array({pure}), acc, (acc, one) ->
+        struct({taken} AS cells, acc.took + size(one) AS took, size(one) > 0 AS going)), acc)"""
+    return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, 0 AS took, true AS going), (acc, i) -> {step},
+        acc -> if(forall(acc.cells, c -> c.n = 0 AND c.keys = 0), acc.took, null))"""
 
 
-def folded(cells: str, large: str, small: str) -> str:
+def folded(cells: str, large: int, small: int) -> str:
     """SQL: the sketch with smaller subtables, from one with larger: places keep their low bits."""
-    return merged(f"transform({cells}, c -> struct(int(c.i div {large} * {small} + (c.i % {large} & ({small} - 1))) AS i, c.n AS n, c.keys AS keys, c.checks AS checks))")
 
+    def added(parts: list[str]) -> str:
+        if len(parts) == 1:
+            return parts[0]
+        half = len(parts) // 2
+        return f"""zip_with({added(parts[:half])}, {added(parts[half:])},
+            (x, y) -> struct(x.n + y.n AS n, x.keys ^ y.keys AS keys, x.checks ^ y.checks AS checks))"""
 
-def difference(a: str, b: str) -> str:
-    return merged(f"concat({a}, transform({b}, c -> struct(c.i AS i, -c.n AS n, c.keys AS keys, c.checks AS checks)))")
+    tables = [added([f"slice({cells}, {t * large + k * small + 1}, {small})" for k in range(large // small)]) for t in range(3)]
+    return f"concat({', '.join(tables)})"
 
 
-def peeled(cells: str, size: str) -> str:
-    """SQL: (ours, theirs) digests that peeling recovers from a difference, null where cells are left over."""
-    pure = f"sort_array(transform(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks), c -> struct(c.keys AS digest, c.n AS n)))"
-    once = "filter(pure, (p, i) -> i = 0 OR p.digest <> pure[i - 1].digest)"
-    left = merged(f"concat(acc.cells, flatten(transform(one, p -> {places('p.digest', '-p.n', size)})))")
-    ours = "concat(acc.ours, transform(filter(one, p -> p.n = 1), p -> p.digest))"
-    theirs = "concat(acc.theirs, transform(filter(one, p -> p.n = -1), p -> p.digest))"
-    took = f"struct({left} AS cells, {ours} AS ours, {theirs} AS theirs, size(one) > 0 AS going)"
-    none = "cast(array() AS array<bigint>)"
-    return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, {none} AS ours, {none} AS theirs, true AS going),
-        (acc, r) -> if(acc.going AND size(acc.cells) > 0, {let(pure, 'pure', let(once, 'one', took))}, acc),
-        acc -> if(size(acc.cells) = 0, struct(acc.ours AS ours, acc.theirs AS theirs), null))"""
+def hashed_places(digests: np.ndarray, size: int) -> np.ndarray:
+    """The cell of each digest in each of three subtables."""
+    mixed = digests.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return np.stack([((mixed ^ (mixed >> np.uint64(29 + j))) * np.uint64(0xBF58476D1CE4E5B9 + 2 * j) >> np.uint64(20)) % np.uint64(size) for j in range(3)]).astype(np.int64)
 
 
-def estimated(cells: str, size: str, a: str, b: str) -> str:
-    """SQL: about how many digests differ, from cell counts; a and b are the two set sizes.
+def checked(digests: np.ndarray) -> np.ndarray:
+    mixed = (digests.view(np.uint64) ^ (digests.view(np.uint64) >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    return (mixed ^ (mixed >> np.uint64(31))).view(np.int64)
 
-    Over a subtable of m cells the squares of the count differences sum, on average, to
-    d (1 - 1/m) + (a - b)^2 / m for d differing digests.
-    """
-    squares = f"aggregate({cells}, 0D, (s, c) -> s + double(c.n) * c.n) / 3"
-    raw = f"({squares} - double({a} - {b}) * ({a} - {b}) / {size}) / (1 - 1D / {size})"
-    return f"greatest(double(abs({a} - {b})), least(double({a} + {b}), {raw}))"
 
+def summed(digests: np.ndarray, signs: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Counts, digests and checks of the cells of a sketch, subtable after subtable."""
+    at = (hashed_places(digests, size) + np.arange(3)[:, None] * size).ravel()
+    n, keys, checks = np.zeros(3 * size, np.int64), np.zeros(3 * size, np.int64), np.zeros(3 * size, np.int64)
+    np.add.at(n, at, np.tile(signs, 3))
+    np.bitwise_xor.at(keys, at, np.tile(digests, 3))
+    np.bitwise_xor.at(checks, at, np.tile(checked(digests), 3))
+    return n, keys, checks
 
-def compared(a: str, b: str) -> str:
-    """SQL: struct (ours, theirs, size) of the digests in which two sets differ, by peeling.
 
-    Columns ``<a>`` hold the digests, ``<a>_cells`` the fingerprint, ``<a>_size`` the cells of its
-    subtables, and the same of b. The first size is that of the smaller fingerprint.
-    """
+def peeled_arrays(cells: tuple[np.ndarray, np.ndarray, np.ndarray], size: int) -> tuple[np.ndarray, np.ndarray] | None:
+    """(digests, signs) that peeling recovers from a difference, None where cells are left over."""
+    n, keys, checks = cells
+    found, signs = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
+    while True:
+        pure = np.flatnonzero(np.abs(n) == 1)
+        pure = pure[checked(keys[pure]) == checks[pure]]
+        if not len(pure):
+            break
+        one, first = np.unique(keys[pure], return_index=True)
+        sign = n[pure[first]]
+        found.append(one)
+        signs.append(sign)
+        taken = summed(one, sign, size)
+        n, keys, checks = n - taken[0], keys ^ taken[1], checks ^ taken[2]
+    return None if n.any() or keys.any() else (np.concatenate(found), np.concatenate(signs))
+
 
-    first = difference(
-        f"if({a}_size = m, {a}_cells, {folded(f'{a}_cells', f'{a}_size', 'm')})", f"if({b}_size = m, {b}_cells, {folded(f'{b}_cells', f'{b}_size', 'm')})"
+def recovered(a: np.ndarray, b: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Digests that only a or only b has, by peeling sketches four times as large until none is left over."""
+    while True:
+        x, y = summed(a, np.ones(len(a), np.int64), size), summed(b, np.ones(len(b), np.int64), size)
+        out = peeled_arrays((x[0] - y[0], x[1] ^ y[1], x[2] ^ y[2]), size)
+        if out is not None:
+            return out[0][out[1] > 0], out[0][out[1] < 0]
+        size *= 4
+
+
+@F.pandas_udf(LongType())
+def larger(a: pd.Series, b: pd.Series) -> pd.Series:
+    """How many digests differ, by sketches larger than ``SIZES``; null where a is."""
+    return pd.Series([None if x is None else sum(map(len, recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), 4 * SIZES[-1]))) for x, y in zip(a, b, strict=True)], dtype="Int64")
+
+
+@F.pandas_udf(StructType([StructField("ours", ArrayType(LongType())), StructField("theirs", ArrayType(LongType()))]))
+def parts(a: pd.Series, b: pd.Series) -> pd.DataFrame:
+    """The digests that only a and only b have."""
+    got = [recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), SIZES[-1]) for x, y in zip(a, b, strict=True)]
+    return pd.DataFrame({"ours": [x for x, _ in got], "theirs": [y for _, y in got]})
+
+
+def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
+    """Add column ``name``: how many digests differ between two sets.
+
+    Columns ``a`` and ``b`` hold the digests, ``<a>_small``, ``<a>_large`` and the same of b their sketches.
+    """
+    small, large = SIZES
+    # set sizes that differ by more than a sketch holds need no try; peeling would fail
+    hopeless = f"abs(size({a}) - size({b})) > {CELLS_HOLD}"
+    few, cells, many = f"{name}_few", f"{name}_cells", f"{name}_many"
+    return (
+        frame.withColumn(few, F.expr(f"if({hopeless}, null, {peeled(difference(f'{a}_small', f'{b}_small'), small)})"))
+        .withColumn(cells, F.expr(f"if({few} IS NULL AND NOT ({hopeless}), {difference(f'{a}_large', f'{b}_large')}, null)"))
+        .withColumn(many, F.expr(f"coalesce({few}, if({cells} IS NULL, null, {peeled(cells, large)}))"))
+        .withColumn(name, F.coalesce(F.col(many).cast("long"), larger(F.when(F.col(many).isNull(), F.col(a)), F.when(F.col(many).isNull(), F.col(b)))))
+        .drop(few, cells, many)
     )
-    guess = estimated("d", "m", f"size({a})", f"size({b})")
-    begin = f"greatest(m, int(pow(2, ceil(log2(greatest({guess}, 1D) / 1.6D)))))"
-    again = difference(sketch(a, "t.size"), sketch(b, "t.size"))
-    tried = let(f"if(t.size = m, d, {again})", "cells", peeled("cells", "t.size"))
-    loop = f"""aggregate(sequence(0, {RETRIES}), struct({begin} AS size, cast(null AS struct<ours:array<bigint>,theirs:array<bigint>>) AS found),
-        (t, r) -> if(t.found IS NOT NULL, t, {let(tried, 'found', 'struct(if(found IS NULL AND r < ' + str(RETRIES) + ', 4 * t.size, t.size) AS size, found AS found)')}),
-        t -> struct(coalesce(t.found.ours, array_except({a}, {b})) AS ours, coalesce(t.found.theirs, array_except({b}, {a})) AS theirs, t.size AS size))"""
-    return let(f"least({a}_size, {b}_size)", "m", let(first, "d", loop))
 
 
 def likeness(a: str, b: str, parted: str) -> Column:
-    """Shared / all digests of two sets, from what peeling found; two empty sets are alike (1)."""
-    n, d = f"(size({a}) + size({b}))", f"(size({parted}.ours) + size({parted}.theirs))"
-    return F.expr(f"if({n} = 0, 1D, double({n} - {d}) / ({n} + {d}))")
+    """Shared / all digests of two sets and the number that differ; two empty sets are alike (1)."""
+    n = f"(size({a}) + size({b}))"
+    return F.expr(f"if({n} = 0, 1D, double({n} - {parted}) / ({n} + {parted}))")
 
 
-def printed(cells: str, size: str) -> Column:
-    """A sketch as text: cells of a subtable, then place, count, digest and check sums of every cell in use, in hexadecimal."""
-    each = "concat_ws(':', lower(hex(c.i)), lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks)))"
-    return F.expr(f"concat_ws(',', lower(hex({size})), transform({cells}, c -> {each}))")
+def printed(cells: str) -> Column:
+    """A sketch as text: count, digest and check sums of every cell in hexadecimal."""
+    return F.expr(f"array_join(transform({cells}, c -> if(c.n = 0, '-', concat_ws(':', lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks))))), ',')")
 
 
 def id_ranges(docs: DataFrame) -> list[int]:
@@ -203,21 +266,22 @@ def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def sketched(rows: DataFrame, sets: list[str]) -> DataFrame:
-    """Add ``<set>_size`` and ``<set>_cells``, the fingerprint of each array of digests."""
-    rows = rows.withColumns({f"{c}_size": F.expr(sketch_size(f"size({c})")) for c in sets})
-    return rows.withColumns({f"{c}_cells": F.expr(sketch(c, f"{c}_size")) for c in sets})
+    """Add ``<set>_large`` and ``<set>_small``, the sketches of each array of digests."""
+    small, large = SIZES
+    rows = rows.withColumns({f"{c}_large": F.expr(sketch(c, large)) for c in sets})
+    return rows.withColumns({f"{c}_small": F.expr(folded(f"{c}_large", large, small)) for c in sets})
 
 
 def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
-    """Rows with two texts in columns ``a`` and ``b``: add ``ours``, ``theirs`` and ``likeness``.
+    """Rows with two texts in columns ``a`` and ``b``: add ``ours`` and ``theirs``.
 
-    ``ours`` and ``theirs`` are the digests that only the first or only the second text has,
-    recovered from the difference of the two fingerprints. Null texts count as empty.
+    These are the digests that only the first or only the second text has, recovered from the
+    difference of two sketches, retrying larger ones. Null texts count as empty.
     """
-    rows = pairs.withColumns({f"_{x}": clause_hashes(f"coalesce({x}, '')") for x in (a, b)})
-    rows = sketched(rows.withColumns({f"_{x}": digests(f"_{x}") for x in (a, b)}), [f"_{a}", f"_{b}"])
-    rows = rows.withColumn("_parted", F.expr(compared(f"_{a}", f"_{b}")))
-    return rows.select(*pairs.columns, "_parted.ours", "_parted.theirs", likeness(f"_{a}", f"_{b}", "_parted").alias("likeness"))
+    x, y = (F.expr(f"coalesce({c}, '')") for c in (a, b))
+    rows = pairs.withColumns({"_x": x, "_y": y}).withColumns({"_x": clause_hashes("_x"), "_y": clause_hashes("_y")})
+    rows = rows.withColumns({"_x": digests("_x"), "_y": digests("_y")}).withColumn("_parts", parts("_x", "_y"))
+    return rows.select(*pairs.columns, "_parts.ours", "_parts.theirs")
 
 
 def fingerprint(docs: DataFrame) -> DataFrame:
@@ -225,7 +289,7 @@ def fingerprint(docs: DataFrame) -> DataFrame:
 
     The edited text is the text with its last third (rounded down) replaced by the first as
     many code points of the next document. Null texts count as empty. Also returned: how many digests
-    only the text or only the edited text has, and the cells of a subtable from which these were peeled.
+    only the text or only the edited text has.
     Repeated rows are documents of their own, ordered by text where ids are equal or null; the only
     document of a table is its own next. An empty table gives an empty result.
     """
@@ -245,17 +309,15 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
     )
-    near = sketched(near, ["own", "changed", "next_own"])
-    near = near.withColumns({"_edited": F.expr(compared("own", "changed")), "_next": F.expr(compared("own", "next_own"))})
+    near = apart(apart(sketched(near, ["own", "changed", "next_own"]), "own", "changed", "_edited"), "own", "next_own", "_next")
     return near.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
-        printed("own_cells", "own_size").alias("fingerprint"),
-        printed("changed_cells", "changed_size").alias("edited_fingerprint"),
+        printed("own_large").alias("fingerprint"),
+        printed("changed_large").alias("edited_fingerprint"),
         likeness("own", "changed", "_edited").alias("near_edited"),
         likeness("own", "next_own", "_next").alias("near_next"),
-        F.size("_edited.ours").alias("edited_gone"),
-        F.size("_edited.theirs").alias("edited_new"),
-        F.col("_edited.size").alias("edited_cells"),
+        F.expr("(_edited + size(own) - size(changed)) div 2").alias("edited_gone"),
+        F.expr("(_edited + size(changed) - size(own)) div 2").alias("edited_new"),
     )
