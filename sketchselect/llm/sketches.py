@@ -26,7 +26,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType, StructField, StructType
+from pyspark.sql.types import LongType
 
 from sketchselect.llm.common import let, text_or_empty
 
@@ -184,13 +184,6 @@ def larger(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([None if x is None else sum(map(len, recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), 4 * SIZES[-1]))) for x, y in zip(a, b, strict=True)], dtype="Int64")
 
 
-@F.pandas_udf(StructType([StructField("ours", ArrayType(LongType())), StructField("theirs", ArrayType(LongType()))]))
-def parts(a: pd.Series, b: pd.Series) -> pd.DataFrame:
-    """The digests that only a and only b have."""
-    got = [recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), SIZES[-1]) for x, y in zip(a, b, strict=True)]
-    return pd.DataFrame({"ours": [x for x, _ in got], "theirs": [y for _, y in got]})
-
-
 def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
     """Add column ``name``: how many digests differ between two sets.
 
@@ -280,8 +273,15 @@ def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
     """
     x, y = (F.expr(f"coalesce({c}, '')") for c in (a, b))
     rows = pairs.withColumns({"_x": x, "_y": y}).withColumns({"_x": clause_hashes("_x"), "_y": clause_hashes("_y")})
-    rows = rows.withColumns({"_x": digests("_x"), "_y": digests("_y")}).withColumn("_parts", parts("_x", "_y"))
-    return rows.select(*pairs.columns, "_parts.ours", "_parts.theirs")
+    rows = rows.withColumns({"_x": digests("_x"), "_y": digests("_y")})
+
+    def run(batches):
+        for rows in batches:
+            got = [recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), SIZES[-1]) for x, y in zip(rows["_x"], rows["_y"], strict=True)]
+            yield rows.drop(columns=["_x", "_y"]).assign(ours=[x for x, _ in got], theirs=[y for _, y in got])
+
+    none = F.array().cast("array<bigint>")
+    return rows.mapInPandas(run, pairs.withColumns({"ours": none, "theirs": none}).schema)
 
 
 def fingerprint(docs: DataFrame) -> DataFrame:

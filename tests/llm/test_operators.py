@@ -379,9 +379,11 @@ def test_peeling_recovers_the_difference(spark):
         b = shared + [rng.getrandbits(63) for _ in range(rng.choice((0, 1, 9, 20)))]
         rows.append((i, a, b))
     frame = sketches.sketched(spark.createDataFrame(rows, "i int, a array<bigint>, b array<bigint>"), ["a", "b"])
-    for r in sketches.apart(frame, "a", "b", "d").withColumn("p", sketches.parts("a", "b")).collect():
+    for r in sketches.apart(frame, "a", "b", "d").collect():
         assert r["d"] == len(set(r["a"]) ^ set(r["b"]))
-        assert set(r["p"]["ours"]) == set(r["a"]) - set(r["b"]) and set(r["p"]["theirs"]) == set(r["b"]) - set(r["a"])
+    for _, a, b in rows:
+        ours, theirs = sketches.recovered(np.array(a, np.int64), np.array(b, np.int64), 8)
+        assert set(ours.tolist()) == set(a) - set(b) and set(theirs.tolist()) == set(b) - set(a)
     for size, room in ((8, 15), (32, 60)):
         cells = sketches.difference(sketches.sketch("a", size), sketches.sketch("b", size))
         out = frame.select("a", "b", F.expr(sketches.peeled(cells, size)).alias("d")).collect()
