@@ -7,6 +7,7 @@ held features, the ring of curvature pairs and the step number.
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import cached_property
 from typing import Literal
 
 import numpy as np
@@ -30,8 +31,13 @@ class CountSketch:
         if not len(ids):
             return np.empty(0)
         buckets, signs = np_places(ids, self.spec) if at is None else at
-        read = np.stack([signs[j] * self.cells[k, j, buckets[j]] for j in range(self.spec.rows)])
-        return np.median(read, 0) if self.spec.query == "median" else read.mean(0)
+        read = [signs[j] * self.cells[k, j, buckets[j]] for j in range(self.spec.rows)]
+        if self.spec.query != "median":
+            return np.mean(read, 0)
+        if len(read) == 3:  # the same number, without a sort
+            low, high = np.minimum(read[0], read[1]), np.maximum(read[0], read[1])
+            return np.maximum(low, np.minimum(high, read[2]))
+        return np.median(read, 0)
 
 
 class ExactStore:
@@ -131,6 +137,7 @@ class TrainSpec:
     step_source: Literal["queried", "direction"] = "queried"
     heap_refresh: Literal["end", "before_second_fetch"] = "end"
     guard: float = 1e-10
+    damping: float = 0.0
     first_scale: Literal["one", "inverse_norm"] = "one"
     l2: float = 0.0
     ridge: float = 1e-3
@@ -146,17 +153,66 @@ class TrainSpec:
 
 @dataclass
 class Batch:
-    """Rows of one minibatch: row offsets, ids and values of their entries, labels."""
+    """Rows of one minibatch: row offsets, ids and values of their entries, labels.
+
+    Rows in which every feature is active may come as a matrix (``of_matrix``). A minibatch that is
+    stepped on many times may carry ``products``, X'X and X'y over its sorted
+    features: gradients of the squared loss then need no pass over the rows.
+    """
 
     offsets: np.ndarray
     ids: np.ndarray
     values: np.ndarray
     labels: np.ndarray
+    products: tuple[np.ndarray, np.ndarray] | None = None
+    matrix: np.ndarray | None = None
 
     def __post_init__(self):
         if not np.isfinite(self.values).all() or not np.isfinite(self.labels).all():
             raise ValueError("values and labels must be finite")
-        self.rows = np.repeat(np.arange(len(self.labels)), np.diff(self.offsets))
+
+    @cached_property
+    def rows(self) -> np.ndarray:
+        """The row of each entry."""
+        return np.repeat(np.arange(len(self.labels)), np.diff(self.offsets))
+
+    @classmethod
+    def of_matrix(cls, matrix: np.ndarray, labels: np.ndarray, products: tuple[np.ndarray, np.ndarray] | None = None) -> Batch:
+        """Dense rows of the features 0, 1, 2, ..."""
+        n, p = matrix.shape
+        ids = np.arange(p, dtype=np.int64)
+        made = cls(np.arange(n + 1) * p, np.empty(0, np.int64), matrix, labels, products, matrix)
+        made.active = ids, np.empty(0, np.int64)
+        return made
+
+    def margins(self, w: np.ndarray) -> np.ndarray:
+        """Rows x classes, from weights of the active features x classes."""
+        if self.matrix is not None:
+            return self.matrix @ w
+        at, n = self.active[1], len(self.labels)
+        return np.stack([np.bincount(self.rows, self.values * w[at, k], n) for k in range(w.shape[1])], 1)
+
+    def moments(self, left: np.ndarray) -> np.ndarray:
+        """Active features x classes: sums of values times numbers of the rows."""
+        if self.matrix is not None:
+            return self.matrix.T @ left
+        ids, at = self.active
+        return np.stack([np.bincount(at, self.values * left[self.rows, k], len(ids)) for k in range(left.shape[1])], 1)
+
+    @cached_property
+    def active(self) -> tuple[np.ndarray, np.ndarray]:
+        """The active features, sorted, and the place among them of each entry."""
+        return np.unique(self.ids, return_inverse=True)
+
+    def inverse(self, ridge: float) -> np.ndarray:
+        """(X'X + ridge I)^-1, made once."""
+        if ridge not in self._inverses:
+            self._inverses[ridge] = np.linalg.inv(self.products[0] + ridge * np.eye(len(self.products[1])))
+        return self._inverses[ridge]
+
+    @cached_property
+    def _inverses(self) -> dict:
+        return {}
 
     @classmethod
     def of(cls, idx: list, val: list, labels) -> Batch:
@@ -287,6 +343,7 @@ class Trainer:
         self.t = 0
         self.log: list[tuple] = []
         self._quiet = 0
+        self._seen: tuple = (None, None)
 
     def state(self) -> dict:
         """The state as plain arrays, for storage; sketched methods only."""
@@ -324,24 +381,39 @@ class Trainer:
                 out[~held[k], k] = 0.0
         return out
 
-    def gradient(self, batch: Batch, at: np.ndarray, n_ids: int, w: np.ndarray):
+    def gradient(self, batch: Batch, w: np.ndarray):
         n = len(batch.labels)
-        margins = np.stack([np.bincount(batch.rows, batch.values * w[at, k], n) for k in range(self.k)], 1)
+        if batch.products is not None and self.train.loss == "squared":
+            square, moment = batch.products
+            used = np.flatnonzero(w[:, 0])
+            fitted = square[:, used] @ w[used, 0]
+            loss = 0.5 * float(w[used, 0] @ (fitted[used] - 2 * moment[used]) + batch.labels @ batch.labels) / n
+            g = (fitted - moment)[:, None]
+            return (g / n if self.train.grad_scale == "mean" else g) + self.train.l2 * w, loss, None
+        margins = batch.margins(w)
         left, loss = residuals(self.train.loss, margins, batch.labels)
-        g = np.stack([np.bincount(at, batch.values * left[batch.rows, k], n_ids) for k in range(self.k)], 1)
+        g = batch.moments(left)
         if self.train.grad_scale == "mean" and n:
             g /= n
         return g + self.train.l2 * w, loss, margins
 
-    def newton(self, batch: Batch, at: np.ndarray, n_ids: int, g: np.ndarray, margins: np.ndarray) -> np.ndarray:
+    def newton(self, batch: Batch, g: np.ndarray, margins: np.ndarray) -> np.ndarray:
         """(X' D X + ridge I)^-1 g by the rows' own small system."""
         n, ridge = len(batch.labels), self.train.ridge
+        if margins is None:
+            scale = n if self.train.grad_scale == "mean" else 1
+            return scale * batch.inverse(ridge * scale) @ g
         weight = curvature_weights(self.train.loss, margins)
         if self.train.grad_scale == "mean":
             weight = weight / n
-        x = np.zeros((n, n_ids))
-        np.add.at(x, (batch.rows, at), batch.values)
-        x *= np.sqrt(weight)[:, None]
+        ids, at = batch.active
+        n_ids = len(ids)
+        if batch.matrix is not None:
+            x = batch.matrix * np.sqrt(weight)[:, None]
+        else:
+            x = np.zeros((n, n_ids))
+            np.add.at(x, (batch.rows, at), batch.values)
+            x *= np.sqrt(weight)[:, None]
         if n < n_ids:
             inner = np.linalg.solve(ridge * np.eye(n) + x @ x.T, x @ g[:, 0])
             return ((g[:, 0] - x.T @ inner) / ridge)[:, None]
@@ -350,16 +422,18 @@ class Trainer:
     def step(self, batch: Batch) -> bool:
         """One minibatch; False when the stop rule says that training is over."""
         train, eta = self.train, self.train.schedule.at(self.t)
-        ids, at = np.unique(batch.ids, return_inverse=True)
+        ids = batch.active[0]
         if not len(ids):
             self.t += 1
             return not self._over()
-        places = self._places(ids)
+        if batch is not self._seen[0]:
+            self._seen = (batch, self._places(ids))
+        places = self._seen[1]
         held = [np.ones(len(ids), bool)] * self.k if self.full else [self.heaps[0 if self.shared else k].holds(self._slot(k, ids)[1]) for k in range(self.k)]
         w = self.fetch(ids, places, held)
-        g, loss, margins = self.gradient(batch, at, len(ids), w)
+        g, loss, margins = self.gradient(batch, w)
         if train.method == "newton":
-            z = self.newton(batch, at, len(ids), g, margins)
+            z = self.newton(batch, g, margins)
         else:
             z = np.stack([self.rings[k].product(ids, g[:, k]) for k in range(self.k)], 1)
             if train.first_scale == "inverse_norm" and self.rings[0].size:
@@ -375,10 +449,10 @@ class Trainer:
             held = held if self.full else [self.heaps[0 if self.shared else k].holds(self._slot(k, ids)[1]) for k in range(self.k)]
         if self.rings[0].size:
             after = self.fetch(ids, places, held)
-            g2, _, _ = self.gradient(batch, at, len(ids), after)
+            g2, _, _ = self.gradient(batch, after)
             moved = after - w if train.step_source == "queried" else -eta * z
             for k in range(self.k):
-                kept += self.rings[k].push(ids, moved[:, k], ids, g2[:, k] - g[:, k])
+                kept += self.rings[k].push(ids, moved[:, k], ids, g2[:, k] - g[:, k] + train.damping * moved[:, k])
         if train.heap_refresh == "end" and not self.dense:
             churn = self._refresh(ids, places)
         norm = float(np.linalg.norm(g))
@@ -414,14 +488,13 @@ class Trainer:
 
     def scores(self, batch: Batch, support: str = "topk") -> np.ndarray:
         """Margins (rows x classes) with the selected features only, or with all active ones."""
-        ids, at = np.unique(batch.ids, return_inverse=True)
-        n = len(batch.labels)
-        out = np.zeros((n, self.k))
+        ids = batch.active[0]
+        weights = np.zeros((len(ids), self.k))
         for k in range(self.k):
             slot, names = self._slot(k, ids)
             w = self.store.query(slot, names) if len(ids) else np.empty(0)
             if support == "topk":
                 top, values = self.selected(k)
                 w = np.where(np.isin(names, top), w, 0.0)
-            out[:, k] = np.bincount(batch.rows, batch.values * w[at], n) if len(ids) else 0.0
-        return out
+            weights[:, k] = w
+        return batch.margins(weights)
