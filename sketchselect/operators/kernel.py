@@ -190,14 +190,14 @@ class Batch:
         if self.matrix is not None:
             return self.matrix @ w
         at, n = self.active[1], len(self.labels)
-        return np.stack([np.bincount(self.rows, self.values * w[at, k], n) for k in range(w.shape[1])], 1)
+        return np.stack([np.bincount(self.rows, self.values * w[at, k], n) for k in range(w.shape[1])], 1).astype(np.float64)
 
     def moments(self, left: np.ndarray) -> np.ndarray:
         """Active features x classes: sums of values times numbers of the rows."""
         if self.matrix is not None:
             return self.matrix.T @ left
         ids, at = self.active
-        return np.stack([np.bincount(at, self.values * left[self.rows, k], len(ids)) for k in range(left.shape[1])], 1)
+        return np.stack([np.bincount(at, self.values * left[self.rows, k], len(ids)) for k in range(left.shape[1])], 1).astype(np.float64)
 
     @cached_property
     def active(self) -> tuple[np.ndarray, np.ndarray]:
@@ -289,7 +289,9 @@ class Ring:
         if not self.size or not len(s) or not len(r):
             return False
         common, i, j = np.intersect1d(s_ids, r_ids, assume_unique=True, return_indices=True)
-        if not float(s[i] @ r[j]) > self.guard * float(np.linalg.norm(s) * np.linalg.norm(r)):
+        curved = float(s[i] @ r[j])
+        size_s, size_r = float(np.linalg.norm(s)), float(np.linalg.norm(r))
+        if not 1e-100 < min(size_s, size_r) <= max(size_s, size_r) < 1e100 or not curved > self.guard * size_s * size_r:
             return False
         self.pairs = [*self.pairs, (s_ids, s, r_ids, r)][-self.size :]
         return True

@@ -34,12 +34,24 @@ def auc(scores: DataFrame, keys: list[str], score: str = "score", label: str = "
 
 
 def roc(scores: DataFrame, score: str = "score", label: str = "label") -> DataFrame:
-    """threshold, tpr, fpr at every distinct score, from the highest down."""
+    """threshold, tpr, fpr at every distinct score, from the highest down.
+
+    Running sums come in two levels, over and within ranges of the score.
+    """
     values = scores.groupBy(score).agg(F.sum(label).alias("pos"), F.sum(1 - F.col(label)).alias("neg"))
-    w = Window.orderBy(F.col(score).desc())
-    total = values.agg(F.sum("pos").alias("_p"), F.sum("neg").alias("_q"))
-    return values.join(F.broadcast(total)).select(
-        F.col(score).alias("threshold"), (F.sum("pos").over(w) / F.col("_p")).alias("tpr"), (F.sum("neg").over(w) / F.col("_q")).alias("fpr")
+    total = values.agg(F.sum("pos").alias("_p"), F.sum("neg").alias("_q"), F.min(score).alias("_lo"), F.max(score).alias("_hi"))
+    span = F.col("_hi") - F.col("_lo")
+    cut = F.when(span > 0, F.least(F.floor((F.col("_hi") - F.col(score)) / span * 1000), F.lit(999))).otherwise(0)
+    at = values.join(F.broadcast(total)).withColumn("_bin", cut.cast("int"))
+    over = Window.orderBy("_bin")  # at most 1000 ranges
+    starts = at.groupBy("_bin").agg(F.sum("pos").alias("_pos"), F.sum("neg").alias("_neg")).select(
+        "_bin", (F.sum("_pos").over(over) - F.col("_pos")).alias("_pos"), (F.sum("_neg").over(over) - F.col("_neg")).alias("_neg")
+    )
+    inside = Window.partitionBy("_bin").orderBy(F.col(score).desc())
+    return at.join(F.broadcast(starts), "_bin").select(
+        F.col(score).alias("threshold"),
+        ((F.col("_pos") + F.sum("pos").over(inside)) / F.col("_p")).alias("tpr"),
+        ((F.col("_neg") + F.sum("neg").over(inside)) / F.col("_q")).alias("fpr"),
     )
 
 

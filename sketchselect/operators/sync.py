@@ -17,7 +17,7 @@ from sketchselect.functions.hashing import SketchSpec, places
 from sketchselect.operators.kernel import Batch, CountSketch, TopKHeap, Trainer, TrainSpec, residuals
 from sketchselect.operators.trainer import Model, model_blocks
 from sketchselect.schema import BLOCKS
-from sketchselect.tables import written
+from sketchselect.tables import new_path, written
 
 
 def gram_direction(gram: np.ndarray) -> np.ndarray:
@@ -94,10 +94,14 @@ def fit_sync(examples: DataFrame, sketch: SketchSpec, train: TrainSpec) -> Model
     store, heap = CountSketch(sketch), TopKHeap(train.k)
     history: list[tuple[DataFrame, DataFrame]] = []
     log, t = [], 0
-    order = [r[0] for r in examples.select("batch_id").distinct().orderBy("batch_id").collect()]
+    # one folder per minibatch: a round reads its own rows and no others
+    path = new_path(spark, "batches")
+    examples.select("batch_id", "label", "idx", "val").write.partitionBy("batch_id").parquet(path)
+    batches = spark.read.schema("label double, idx array<bigint>, val array<double>, batch_id bigint").parquet(path)
+    order = [r[0] for r in batches.select("batch_id").distinct().orderBy("batch_id").collect()]
     for _ in range(train.stop.max_epochs):
         for number in order:
-            batch = examples.filter(F.col("batch_id") == number)
+            batch = batches.filter(F.col("batch_id") == number)
             ids, weights = heap.ids, store.query(0, heap.ids)
             g = written(gradient(batch, train, ids, weights), "gradient")
             table = basis(history, g)
@@ -121,6 +125,9 @@ def fit_sync(examples: DataFrame, sketch: SketchSpec, train: TrainSpec) -> Model
                     s_vec = spark.createDataFrame(moved, "feature_id long, value double")
                 else:
                     s_vec = z.select("feature_id", (F.col("z") * -eta).alias("value"))
+                if train.damping:
+                    pulled = s_vec.select("feature_id", (F.col("value") * train.damping).alias("value"))
+                    r_vec = written(r_vec.unionByName(pulled).groupBy("feature_id").agg(F.sum("value").alias("value")).filter("value <> 0"), "r")
                 both = s_vec.withColumnRenamed("value", "s").join(r_vec.withColumnRenamed("value", "r"), "feature_id").agg(F.sum(F.col("s") * F.col("r"))).first()[0] or 0.0
                 ns = s_vec.agg(F.sum(F.col("value") ** 2)).first()[0] or 0.0
                 nr = r_vec.agg(F.sum(F.col("value") ** 2)).first()[0] or 0.0

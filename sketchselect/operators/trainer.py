@@ -1,7 +1,7 @@
 """Training modes over DataFrames of packed examples.
 
 ``replay``  strictly sequential in one task, streaming minibatches: the reference semantics.
-``grid``    many independent replays, one per configuration, in parallel.
+``grid``    many independent replays; each task steps several configurations on the same minibatches.
 ``sharded`` every partition replays from common cells, cells are averaged after a round.
 ``sync``    one large minibatch per Spark job, vectors distributed (operators.sync).
 ``stream``  micro-batches with versioned state (streaming.training).
@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from sketchselect.functions.hashing import SketchSpec
+from sketchselect.operators import sketch as sk
 from sketchselect.operators.kernel import Batch, CountSketch, Schedule, StopRule, TopKHeap, Trainer, TrainSpec
 from sketchselect.schema import BLOCKS
 from sketchselect.tables import written
@@ -54,41 +55,48 @@ def rows_of(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple]:
         yield from zip(*(b.column(i).to_numpy(zero_copy_only=False) for i in range(len(b.schema))), strict=True)
 
 
-def replayed(batches: Iterable[pa.RecordBatch], make: Callable[[int], Trainer], supports: tuple[str, ...] = ()) -> Iterator[dict]:
-    """Blocks from rows (config, phase, epoch, batch_id, example_id, label, idx, val) in that order.
+def replayed(batches: Iterable[pa.RecordBatch], make: Callable[[int], dict[int, Trainer]], supports: tuple[str, ...] = ()) -> Iterator[dict]:
+    """Blocks from rows (lane, phase, epoch, batch_id, example_id, label, idx, val) in that order.
 
-    Phase 0 rows train, one minibatch per (epoch, batch_id); phase 1 rows are scored.
+    ``make`` gives the trainers of a lane by configuration; each steps on every minibatch, which is
+    laid out once for all of them. Phase 0 rows train, one minibatch per (epoch, batch_id); phase 1 rows
+    are scored. A trainer rests from its stop rule or its last epoch on.
     """
-    trainer, config, key, pending, going = None, None, None, [], True
+    trainers, lane, key, pending, going = {}, None, None, [], set()
 
     def flush():
-        nonlocal going, pending
+        nonlocal pending
         if not pending:
             return
         rows, pending = pending, []
         batch = Batch.of([r[6] for r in rows], [r[7] for r in rows], [r[5] for r in rows])
         if key[0] == 0:
-            if going:
-                going = trainer.step(batch)
+            for config in sorted(going):
+                trainer = trainers[config]
+                if key[1] >= trainer.train.stop.max_epochs or not trainer.step(batch):
+                    going.discard(config)
             return
-        for support in supports:
-            scores = trainer.scores(batch, support)
-            yield block(f"score_{support}", config, trainer.k, None, 0, [int(r[4]) for r in rows], np.column_stack([batch.labels, scores]).ravel().tolist())
+        for config, trainer in trainers.items():
+            for support in supports:
+                scores = trainer.scores(batch, support)
+                yield block(f"score_{support}", config, trainer.k, None, 0, [int(r[4]) for r in rows], np.column_stack([batch.labels, scores]).ravel().tolist())
+
+    def done():
+        yield from flush()
+        for config, trainer in trainers.items():
+            yield from model_blocks(trainer, config)
 
     for row in rows_of(batches):
-        if row[0] != config:
-            if trainer is not None:
-                yield from flush()
-                yield from model_blocks(trainer, config)
-            config, going, key = int(row[0]), True, None
-            trainer = make(config)
+        if row[0] != lane:
+            yield from done()
+            lane, key = int(row[0]), None
+            trainers = make(lane)
+            going = set(trainers)
         if (row[1], row[2], row[3]) != key or row[1] == 1 and len(pending) >= 512:
             yield from flush()
             key = (row[1], row[2], row[3])
         pending.append(row)
-    if trainer is not None:
-        yield from flush()
-        yield from model_blocks(trainer, config)
+    yield from done()
 
 
 def as_batches(blocks: Iterable[dict]) -> Iterator[pa.RecordBatch]:
@@ -106,7 +114,8 @@ def with_epochs(examples: DataFrame, epochs: int) -> DataFrame:
     return examples.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.lit(epochs - 1))))
 
 
-ORDER = ("config", "phase", "epoch", "batch_id", "example_id")
+ORDER = ("lane", "phase", "epoch", "batch_id", "example_id")
+FIELDS = ("label", "idx", "val")
 
 
 def run_configs(
@@ -117,29 +126,26 @@ def run_configs(
 ) -> DataFrame:
     """Blocks of one independent replay per configuration.
 
-    Every configuration sees the same minibatches in the same order. Each is one task; rows of
-    a minibatch are all that a task holds besides the state.
+    Every configuration sees the same minibatches in the same order. Configurations are dealt to at
+    most as many lanes as there are cores; a lane is one task, which reads the examples once and
+    holds the states of its configurations and the rows of a minibatch.
     """
+    names = list(configs)
+    lanes = min(len(names), examples.sparkSession.sparkContext.defaultParallelism)
     epochs = max(t.stop.max_epochs for _, t in configs.values())
-    ids = F.explode(F.array(*[F.lit(c).cast("long") for c in configs]))
-    fields = ("label", "idx", "val")
-    rows = with_epochs(examples, epochs).select(ids.alias("config"), F.lit(0).alias("phase"), "epoch", "batch_id", "example_id", *fields)
+    every = F.explode(F.array(*[F.lit(i).cast("long") for i in range(lanes)]))
+    rows = with_epochs(examples, epochs).select(every.alias("lane"), F.lit(0).alias("phase"), "epoch", "batch_id", "example_id", *FIELDS)
     if test is not None:
         rows = rows.unionByName(
-            test.select(ids.alias("config"), F.lit(1).alias("phase"), F.lit(0).alias("epoch"), F.lit(0).cast("long").alias("batch_id"), "example_id", *fields)
+            test.select(every.alias("lane"), F.lit(1).alias("phase"), F.lit(0).alias("epoch"), F.lit(0).cast("long").alias("batch_id"), "example_id", *FIELDS)
         )
-    limits = {c: t.stop.max_epochs for c, (_, t) in configs.items()}
-    if len(set(limits.values())) > 1:
-        allowed = F.create_map(*[F.lit(x) for c, n in limits.items() for x in (c, n)])
-        rows = rows.filter((F.col("phase") == 1) | (F.col("epoch") < F.element_at(allowed, F.col("config").cast("int"))))
-
     scored = supports if test is not None else ()
 
     def run(batches):
-        return as_batches(replayed(batches, lambda c: Trainer(*configs[c]), scored))
+        return as_batches(replayed(batches, lambda lane: {c: Trainer(*configs[c]) for c in names[lane::lanes]}, scored))
 
-    dealt = rows.repartition(1) if len(configs) == 1 else rows.repartitionByRange(len(configs), "config")
-    return dealt.sortWithinPartitions(*ORDER).select(*ORDER, *fields).mapInArrow(run, BLOCKS)
+    dealt = rows.repartition(1) if lanes == 1 else rows.repartitionByRange(lanes, "lane")
+    return dealt.sortWithinPartitions(*ORDER).select(*ORDER, *FIELDS).mapInArrow(run, BLOCKS)
 
 
 @dataclass
@@ -218,16 +224,18 @@ def fit_sharded(examples: DataFrame, sketch: SketchSpec, train: TrainSpec, shard
     """
     cells = heaps = None
     for _ in range(rounds):
-        start = (cells, heaps)
+        # the states of a round: every task holds one anyway, so it is broadcast, not pickled with each
+        sent = examples.sparkSession.sparkContext.broadcast((cells, heaps))
 
-        def run(batches, start=start):
+        def run(batches, sent=sent):
             def make(_):
-                return Trainer(sketch, train, None if start[0] is None else start[0].copy(), None if start[1] is None else [TopKHeap(h.k, h.ids, h.values) for h in start[1]])
+                cells, heaps = sent.value
+                return {0: Trainer(sketch, train, None if cells is None else cells.copy(), None if heaps is None else [TopKHeap(h.k, h.ids, h.values) for h in heaps])}
 
             return as_batches(replayed(batches, make))
 
         rows = with_epochs(examples, train.stop.max_epochs).select(
-            F.lit(0).cast("long").alias("config"), F.lit(0).alias("phase"), "epoch", "batch_id", "example_id", "label", "idx", "val"
+            F.lit(0).cast("long").alias("lane"), F.lit(0).alias("phase"), "epoch", "batch_id", "example_id", *FIELDS
         )
         dealt = rows.repartition(shards, F.pmod(F.col("batch_id"), F.lit(shards)).cast("int")) if shards > 1 else rows.repartition(1)
         local = written(dealt.sortWithinPartitions(*ORDER).mapInArrow(run, BLOCKS), "shards")
@@ -275,9 +283,21 @@ def predict(examples: DataFrame, model: Model, support: str = "all") -> DataFram
     """example_id, label, class, score (margin) of packed examples.
 
     ``topk`` joins entries with the selected features (broadcast: at most k per class); ``all``
-    reads every active feature from the cells, which travel with the tasks.
+    reads every active feature from the cells, which are broadcast up to ``BROADCAST_CELLS`` numbers
+    and joined with the entries beyond.
     """
     classes = model.train.classes
+    if support == "all" and model.train.layout == "per_class" and model.train.method in ("curvature", "gradient", "newton") and classes * model.sketch.cells > sk.BROADCAST_CELLS:
+        entry = examples.select("example_id", "label", F.explode_outer(F.arrays_zip("idx", "val")).alias("e")).select(
+            "example_id", "label", F.col("e.idx").alias("feature_id"), F.col("e.val").alias("value")
+        )
+        ids, out = entry.select("feature_id").filter("feature_id is not null").distinct(), None
+        for k in range(classes):
+            read = sk.query(model.cells_df().filter(F.col("class") == k).drop("class"), ids, model.sketch)
+            one = entry.join(read, "feature_id", "left").groupBy("example_id", "label").agg(F.coalesce(F.sum(F.col("value") * F.col("estimate")), F.lit(0.0)).alias("score"))
+            one = one.select("example_id", "label", F.lit(k).alias("class"), "score")
+            out = one if out is None else out.unionByName(one)
+        return out
     if support == "topk" and model.train.layout == "per_class":
         entry = examples.select("example_id", "label", F.explode_outer(F.arrays_zip("idx", "val")).alias("e")).select(
             "example_id", "label", F.col("e.idx").alias("feature_id"), F.col("e.val").alias("value"), F.explode(F.sequence(F.lit(0), F.lit(classes - 1))).alias("class")
@@ -286,11 +306,11 @@ def predict(examples: DataFrame, model: Model, support: str = "all") -> DataFram
         return entry.join(top, ["class", "feature_id"], "left").groupBy("example_id", "label", "class").agg(
             F.coalesce(F.sum(F.col("value") * F.col("estimate")), F.lit(0.0)).alias("score")
         )
-    cells, heaps = model.state()
+    sent = examples.sparkSession.sparkContext.broadcast(model.state())
     sketch, train = model.sketch, model.train
 
     def run(batches):
-        trainer = Trainer(sketch, train, cells, heaps)
+        trainer = Trainer(sketch, train, *sent.value)
         for rows in batches:
             got = [rows.column(i).to_numpy(zero_copy_only=False) for i in range(4)]
             scores = trainer.scores(Batch.of(list(got[2]), list(got[3]), got[1]), support)

@@ -61,8 +61,8 @@ def _char_ngrams(n):
 
 
 def kmer_counts(spark, sf_dir):
-    rows = load(spark, sf_dir, "documents").select("doc_id", F.substring("text", 1, 100).alias("cut"))
-    grams = rows.select("doc_id", F.explode(fe.kmers(F.col("cut"), 3, "a-e")).alias("kmer"))
+    rows = tasks.reads(load(spark, sf_dir, "documents"))
+    grams = rows.select("doc_id", F.explode(fe.kmers(F.col("read"), 3, "a-e")).alias("kmer"))
     return grams.groupBy("doc_id", "kmer").agg(F.count("*").alias("n"))
 
 
@@ -71,7 +71,7 @@ def kmer_code(spark, sf_dir):
 
 
 def onehot_star(spark, sf_dir):
-    rows = tasks.star(spark, sf_dir).filter("row_key % 10 = 1")
+    rows = tasks.star(spark, sf_dir)
     return rows.select("row_key", F.explode(fe.one_hot("p_brand", "c_mktsegment", "ship", "l_returnflag")).alias("c")).withColumn("feature_id", portable_id(F.col("c"))).drop("c")
 
 
@@ -153,7 +153,10 @@ def _grams_sql(n):
     return f"SELECT DISTINCT item_id, substr(text, i, {n}) AS gram FROM (SELECT item_id, text, unnest(range(1, length(text) - {n} + 2)) AS i FROM benchmark)"
 
 
-_KMERS = "SELECT doc_id, substr(cut, i, 3) AS kmer FROM (SELECT doc_id, substr(text, 1, 100) AS cut, unnest(range(1, length(substr(text, 1, 100)) - 1)) AS i FROM documents)"
+READS_SQL = "SELECT doc_id * 1000000 + r AS id, doc_id, lang, substr(text, CAST(r * 100 + 1 AS BIGINT), 100) AS cut FROM (SELECT doc_id, lang, text, unnest(range(0, (length(text) + 99) // 100)) AS r FROM documents) WHERE length(text) - r * 100 > 2"
+EVEN_SQL = f"""SELECT id, lang, cut FROM (SELECT *, count(*) OVER (PARTITION BY lang) AS n FROM ({READS_SQL})), (SELECT min(n) AS least FROM (SELECT count(*) AS n FROM ({READS_SQL}) GROUP BY lang))
+    WHERE CAST('0x' || substr(md5('kmers:' || id), 1, 13) AS BIGINT)::DOUBLE / 4503599627370496.0 < least / n"""
+_KMERS = f"SELECT doc_id, substr(cut, i, 3) AS kmer FROM (SELECT doc_id, cut, unnest(range(1, length(cut) - 1)) AS i FROM ({READS_SQL}))"
 _BATCH = "SELECT doc_id AS example_id, md5('0:' || doc_id) AS o FROM documents"
 
 ORACLES = {
@@ -173,7 +176,7 @@ ORACLES = {
     "char_ngrams_5": _grams_sql(5),
     "kmer_counts": f"SELECT doc_id, kmer, count(*) AS n FROM ({_KMERS}) WHERE regexp_matches(kmer, '^[a-e]+$') GROUP BY doc_id, kmer",
     "kmer_code": f"SELECT DISTINCT kmer, CAST((ascii(kmer[1]) - 97) * 25 + (ascii(kmer[2]) - 97) * 5 + ascii(kmer[3]) - 97 AS BIGINT) AS code FROM ({_KMERS}) WHERE regexp_matches(kmer, '^[a-e]+$')",
-    "onehot_star": f"SELECT row_key, {sql_id('c')} AS feature_id FROM (SELECT row_key, unnest(['p_brand=' || p_brand, 'c_mktsegment=' || c_mktsegment, 'ship=' || ship, 'l_returnflag=' || l_returnflag]) AS c FROM ({_STAR_SQL}) WHERE row_key % 10 = 1)",
+    "onehot_star": f"SELECT row_key, {sql_id('c')} AS feature_id FROM (SELECT row_key, unnest(['p_brand=' || p_brand, 'c_mktsegment=' || c_mktsegment, 'ship=' || ship, 'l_returnflag=' || l_returnflag]) AS c FROM ({_STAR_SQL}))",
     "event_onehot": "SELECT event_id, unnest(['user_id=' || user_id, 'k=' || json_extract_string(props, '$.k'), 'hour=' || hour(ts)]) AS category FROM events",
     "binned_numeric": "SELECT p_partkey, CASE WHEN p_retailprice < 900 THEN 0 WHEN p_retailprice >= 2000 THEN 11 ELSE CAST(floor((p_retailprice - 900) / (2000 - 900) * 10) AS BIGINT) + 1 END AS bin FROM part",
     "cross_features": f"SELECT p_brand || '&' || c_mktsegment AS pair, count(*) AS n FROM ({_STAR_SQL}) GROUP BY 1",
@@ -182,9 +185,7 @@ ORACLES = {
     "pack_rows": f"SELECT doc_id AS example_id, CAST(count(*) AS INTEGER) AS n, bit_xor({sql_id('word')}) AS mark FROM (SELECT DISTINCT doc_id, word FROM ({_WORDS})) GROUP BY doc_id",
     "train_split": f"SELECT doc_id, CASE WHEN {sql_id('text')} % 10 < 8 THEN 'train' ELSE 'test' END AS split FROM documents",
     "batch_numbers": f"SELECT example_id, CAST((row_number() OVER (ORDER BY o, example_id) - 1) // 20 AS BIGINT) AS batch_id FROM ({_BATCH})",
-    "balance_classes": """SELECT doc_id AS example_id, CAST(code AS INTEGER) AS code FROM (
-        SELECT doc_id, dense_rank() OVER (ORDER BY lang) - 1 AS code, row_number() OVER (PARTITION BY lang ORDER BY md5(doc_id::VARCHAR)) AS r FROM documents)
-        WHERE r <= (SELECT min(n) FROM (SELECT count(*) AS n FROM documents GROUP BY lang))""",
+    "balance_classes": f"SELECT id AS example_id, CAST(dense_rank() OVER (ORDER BY lang) - 1 AS INTEGER) AS code FROM ({EVEN_SQL})",
     "dedup_texts": "SELECT md5(text) AS digest, min(doc_id) AS doc_id FROM documents GROUP BY md5(text)",
     "decontaminate": "SELECT doc_id, item_id FROM documents d, benchmark b WHERE contains(d.text, b.text)",
     "unit_norm_rows": "SELECT vec_id AS example_id, 1.0::DOUBLE AS length FROM embeddings",

@@ -11,7 +11,8 @@ from sketchselect.functions.hashing import SketchSpec, portable_id, sql_id
 from sketchselect.operators import measures, sketch
 from sketchselect.operators.sync import gram_direction
 from sketchselect.plans import tasks
-from sketchselect.tables import load
+from sketchselect.plans.featurequeries import EVEN_SQL
+from sketchselect.tables import load, written
 
 #: The sketch of the SQL-checked queries: affine hashes, which any engine can compute.
 SPEC = SketchSpec(rows=5, buckets=64, seed=1, family="affine")
@@ -485,6 +486,7 @@ def _class_top(spark, sf_dir):
     """Words by difference of document frequency between English and the rest, two ways."""
     rows = load(spark, sf_dir, "documents").select((F.col("lang") == "en").alias("en"), F.explode(fe.word_set(F.col("text"))).alias("word"))
     exact = rows.groupBy("word").agg(F.sum(F.when(F.col("en"), 1.0).otherwise(-1.0)).alias("value")).withColumn("feature_id", portable_id(F.col("word")))
+    exact = written(exact, "words")  # read four times below
     spec = SPEC.with_(buckets=1024)
     cells = sketch.build(exact.select("feature_id", "value"), spec)
     first = sketch.top_k(exact.select("feature_id", F.col("value").alias("estimate")), 40).select("feature_id")
@@ -515,17 +517,18 @@ _SPEC2 = SPEC.with_(buckets=1024)
 _PLACED2 = " UNION ALL ".join(
     f"SELECT *, {j} AS row, {hs.sql_bucket('feature_id', j, _SPEC2)} AS bucket, {hs.sql_sign('feature_id', j, _SPEC2)} AS sign FROM e" for j in range(5)
 )
-_TOPS = rf"""WITH w AS (SELECT DISTINCT doc_id, lang, unnest(regexp_extract_all(lower(text), '\p{{L}}+')) AS word FROM documents),
-    e AS (SELECT word, {sql_id('word')} AS feature_id, sum(CASE WHEN lang = 'en' THEN 1.0 ELSE -1.0 END::DOUBLE) AS value FROM w GROUP BY word),
-    p AS ({_PLACED2}), c AS (SELECT row, bucket, sum(sign * value) AS cell FROM p GROUP BY row, bucket),
-    q AS (SELECT feature_id, median(sign * cell) AS estimate FROM p JOIN c USING (row, bucket) GROUP BY feature_id),
+_TOPS = rf"""WITH w AS MATERIALIZED (SELECT DISTINCT doc_id, lang, unnest(regexp_extract_all(lower(text), '\p{{L}}+')) AS word FROM documents),
+    n AS MATERIALIZED (SELECT word, sum(CASE WHEN lang = 'en' THEN 1.0 ELSE -1.0 END::DOUBLE) AS value FROM w GROUP BY word),
+    e AS MATERIALIZED (SELECT word, {sql_id('word')} AS feature_id, value FROM n),
+    p AS MATERIALIZED ({_PLACED2}), c AS MATERIALIZED (SELECT row, bucket, sum(sign * value) AS cell FROM p GROUP BY row, bucket),
+    q AS MATERIALIZED (SELECT feature_id, median(sign * cell) AS estimate FROM p JOIN c USING (row, bucket) GROUP BY feature_id),
     a AS (SELECT feature_id FROM e ORDER BY abs(value) DESC, feature_id LIMIT 40), b AS (SELECT feature_id FROM q ORDER BY abs(estimate) DESC, feature_id LIMIT 40)
     SELECT word FROM e WHERE feature_id IN (SELECT feature_id FROM a @ SELECT feature_id FROM b)"""
 
 
 def dataset_stats(spark, sf_dir):
     out = None
-    for name in ("words", "kmers", "roles", "toxic", "null_control"):
+    for name in ("words", "kmers", "roles", "toxic", "null_control", "clicks"):
         one = tasks.statistics(tasks.TASKS[name](spark, sf_dir), name)
         out = one if out is None else out.unionByName(one)
     return out
@@ -556,20 +559,22 @@ def _planted_sql() -> str:
         FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN part ON l_partkey = p_partkey)"""
 
 
+_CLICK_SQL = """SELECT l_orderkey * 10 + l_linenumber AS row_key, strftime(l_shipdate, '%Y-%m-%d') AS ship, *
+    FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN part ON l_partkey = p_partkey"""
+
+
 def _stats_sql() -> str:
     word = r"unnest(regexp_extract_all(lower(text), '\p{L}+')) AS f"
     parts = {
         "words": (f"SELECT DISTINCT doc_id AS id, {word} FROM documents", "SELECT doc_id AS id, lang = 'en' AS label FROM documents"),
-        "kmers": (
-            "SELECT DISTINCT doc_id AS id, substr(cut, i, 3) AS f FROM (SELECT doc_id, substr(text, 1, 100) AS cut, unnest(range(1, length(substr(text, 1, 100)) - 1)) AS i FROM documents)",
-            "SELECT doc_id AS id, lang AS label FROM (SELECT doc_id, lang, row_number() OVER (PARTITION BY lang ORDER BY md5(doc_id::VARCHAR)) AS r FROM documents) WHERE r <= (SELECT min(n) FROM (SELECT count(*) AS n FROM documents GROUP BY lang))",
-        ),
+        "kmers": (f"SELECT DISTINCT id, substr(cut, i, 3) AS f FROM (SELECT id, cut, unnest(range(1, length(cut) - 1)) AS i FROM ({EVEN_SQL}))", f"SELECT id, lang AS label FROM ({EVEN_SQL})"),
         "roles": (f"SELECT DISTINCT conv_id * 1000 + turn AS id, {word} FROM conversations", "SELECT conv_id * 1000 + turn AS id, role AS label FROM conversations"),
         "toxic": (f"SELECT DISTINCT doc_id AS id, {word} FROM documents", "SELECT doc_id AS id, toxic AS label FROM labels"),
         "null_control": (
             "SELECT event_id AS id, unnest(['user_id=' || user_id, 'k=' || json_extract_string(props, '$.k'), 'hour=' || hour(ts)]) AS f FROM events",
             "SELECT event_id AS id, event_type = 'click' AS label FROM events",
         ),
+        "clicks": (f"SELECT row_key AS id, unnest([{', '.join(repr(c + '=') + ' || ' + c for c in tasks.STAR)}]) AS f FROM ({_CLICK_SQL})", f"SELECT row_key AS id, label FROM ({_planted_sql()})"),
     }
     return " UNION ALL ".join(
         f"""SELECT '{name}' AS task, count(*) AS n, (SELECT count(DISTINCT f) FROM ({e}) WHERE id IN (SELECT id FROM ({l}))) AS features,

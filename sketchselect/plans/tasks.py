@@ -45,20 +45,37 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _text_task(rows, "page_id", F.col("body"), F.col("lang") == "en", fe.char_ngrams(F.col("body"), 5))
 
 
-def kmers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sequence-like task: 3-gram counts of 100 characters, four balanced languages."""
-    docs = load(spark, sf_dir, "documents").withColumn("cut", F.substring("text", 1, 100))
-    least = docs.groupBy("lang").count().agg(F.min("count").alias("least"))
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.md5(F.col("doc_id").cast("string"))))
-    level = F.dense_rank().over(Window.orderBy("lang"))
-    codes = docs.select("lang").distinct().withColumn("code", level - 1)
-    even = docs.withColumn("_rank", rank).join(F.broadcast(least)).filter("_rank <= least").join(F.broadcast(codes), "lang")
+#: Characters of a read of the sequence task.
+READ = 100
+
+
+def reads(docs: DataFrame, length: int = READ) -> DataFrame:
+    """Consecutive reads of whole texts: example_id, doc_id, lang, split (by text), read.
+
+    Reads of fewer than three characters hold no 3-gram and are left out.
+    """
+    cut = docs.select("doc_id", "lang", "text", fe.split_of(F.col("text")).alias("split")).select(
+        "doc_id", "lang", "split", F.posexplode(F.expr(f"transform(sequence(0, (length(text) - 1) div {length}), i -> substr(text, int(i) * {length} + 1, {length}))")).alias("at", "read")
+    )
+    return cut.filter(F.length("read") > 2).select((F.col("doc_id") * 1_000_000 + F.col("at")).alias("example_id"), "doc_id", "lang", "split", "read")
+
+
+def kmers(spark: SparkSession, sf_dir: str, length: int = READ) -> DataFrame:
+    """Sequence-like task: 3-gram counts of reads of whole texts, four languages in equal shares.
+
+    Reads are thinned by a draw per read to the size of the smallest class, so nothing is ranked.
+    """
+    every = reads(spread(load(spark, sf_dir, "documents")), length)
+    sizes = every.groupBy("lang").agg(F.count("*").alias("_n"))
+    level = F.dense_rank().over(Window.orderBy("lang"))  # one row per language
+    shares = sizes.join(F.broadcast(sizes.agg(F.min("_n").alias("_least")))).select("lang", (F.col("_least") / F.col("_n")).alias("_share"), (level - 1).alias("code"))
+    even = every.join(F.broadcast(shares), "lang").filter(fe.draw(F.lit("kmers"), F.col("example_id")) < F.col("_share"))
     # every position counts, so a k-mer's count is its value
-    last = F.length("cut") - 2
-    gram = F.when(last >= 1, F.transform(F.sequence(F.lit(1), last), lambda i: portable_id(F.substring("cut", i, F.lit(3)))))
-    rows = even.withColumn("_all", F.coalesce(gram, F.array().cast("array<long>"))).withColumn("idx", F.sort_array(F.array_distinct("_all")))
+    last = F.length("read") - 2
+    gram = F.transform(F.sequence(F.lit(1), last), lambda i: portable_id(F.substring("read", i, F.lit(3))))
+    rows = even.withColumn("_all", gram).withColumn("idx", F.sort_array(F.array_distinct("_all")))
     counted = F.transform("idx", lambda i: F.size(F.filter("_all", lambda x: x == i)).cast("double"))
-    return rows.select(F.col("doc_id").alias("example_id"), F.col("code").cast("double").alias("label"), "idx", fe.split_of(F.col("text")).alias("split"), counted.alias("val"))
+    return rows.select("example_id", F.col("code").cast("double").alias("label"), "idx", "split", counted.alias("val"))
 
 
 def roles(spark: SparkSession, sf_dir: str) -> DataFrame:

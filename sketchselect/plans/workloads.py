@@ -12,9 +12,9 @@ from sketchselect.functions import features as fe
 from sketchselect.functions.hashing import SketchSpec
 from sketchselect.operators import measures
 from sketchselect.operators.kernel import Schedule, StopRule, TrainSpec
-from sketchselect.operators.trainer import compare, decided, fit, predictions, run_configs
+from sketchselect.operators.trainer import compare, decided, fit, predict, predictions, run_configs
 from sketchselect.plans import tasks
-from sketchselect.tables import load, written
+from sketchselect.tables import load, spread, written
 
 #: Hash rows and history of the real-data runs; compression factors of the
 #: selected-features study and of the run-time table, by task.
@@ -27,6 +27,10 @@ DENSE = ("dense_sgd", "dense_qn")
 #: Step sizes found by ``search_eta``; shared by the methods of a task.
 ETA = {"words": 0.1, "grams": 0.01, "pages": 0.01, "kmers": 0.02, "roles": 0.02, "toxic": 0.05, "clicks": 0.1, "null_control": 0.05}
 BATCH = 64
+#: Least curvature of the pairs of second-order runs. The method assumes a Hessian bounded from below, which
+#: the logistic loss is not: without it, pairs from rows that are already classified well have almost no
+#: curvature, and their inverse throws the weights about.
+DAMPING = 10.0
 
 
 def prepared(spark: SparkSession, sf_dir: str, task: str, batch: int = BATCH) -> tuple[DataFrame, DataFrame, int]:
@@ -40,7 +44,8 @@ def prepared(spark: SparkSession, sf_dir: str, task: str, batch: int = BATCH) ->
 
 def spec_of(task: str, method: str, cf: float, p: int, k: int, eta: float | None = None, tau: int = HISTORY, epochs: int = 1, **kw) -> tuple[SketchSpec, TrainSpec]:
     loss, classes = tasks.LOSSES.get(task, ("logistic", 1))
-    # scale-free steps of the curvature method start from the gradient's own scale
+    if method in ("curvature", "dense_qn"):
+        kw.setdefault("damping", DAMPING)
     train = TrainSpec(
         loss=loss, method=method, k=k, schedule=Schedule(ETA.get(task, 0.05) if eta is None else eta), history=tau, classes=classes,
         stop=StopRule(epochs), **kw,
@@ -54,9 +59,9 @@ def evaluated(blocks: DataFrame, support: str) -> DataFrame:
     return measures.accuracy(rows, ["config"]).join(measures.auc(rows, ["config"]), "config", "left")
 
 
-def sweep(spark: SparkSession, sf_dir: str, task: str, grid: list[dict], support: str = "all") -> DataFrame:
+def sweep(spark: SparkSession, sf_dir: str, task: str, grid: list[dict], support: str = "all", batch: int = BATCH) -> DataFrame:
     """task, method, cf, k, eta, tau, accuracy, auc: one row per grid point, all in one job."""
-    train, test, p = prepared(spark, sf_dir, task)
+    train, test, p = prepared(spark, sf_dir, task, batch)
     configs, about = {}, []
     for i, g in enumerate(grid):
         full = {"method": "curvature", "cf": 10.0, "k": 100, "eta": ETA.get(task, 0.05), "tau": HISTORY, "epochs": 1} | g
@@ -70,7 +75,7 @@ def sweep(spark: SparkSession, sf_dir: str, task: str, grid: list[dict], support
 def compression_curve(spark: SparkSession, sf_dir: str, task: str, cfs=CURVE, k: int = 1000, epochs: int = 1) -> DataFrame:
     """Accuracy against the compression factor with all active features, every method."""
     grid = [{"method": m, "cf": cf, "k": k, "epochs": epochs} for m in (*SKETCHED, "hashed") for cf in cfs]
-    grid += [{"method": m, "cf": 1.0, "k": k, "epochs": epochs} for m in DENSE] if task not in ("kmers", "roles") else [{"method": "dense_sgd", "cf": 1.0, "k": k, "epochs": epochs}]
+    grid += [{"method": m, "cf": 1.0, "k": k, "epochs": epochs} for m in DENSE]
     return sweep(spark, sf_dir, task, grid)
 
 
@@ -84,8 +89,17 @@ def history_curve(spark: SparkSession, sf_dir: str, task: str = "words", taus=(0
     return sweep(spark, sf_dir, task, [{"tau": t, "k": 500} for t in taus])
 
 
-def search_eta(spark: SparkSession, sf_dir: str, task: str, etas=(0.001, 0.01, 0.1, 1.0), methods=SKETCHED) -> DataFrame:
-    return sweep(spark, sf_dir, task, [{"method": m, "eta": e, "k": 500} for m in methods for e in etas])
+def search_eta(spark: SparkSession, sf_dir: str, task: str, etas=(0.001, 0.01, 0.1, 1.0), methods=SKETCHED, batch: int = BATCH) -> DataFrame:
+    return sweep(spark, sf_dir, task, [{"method": m, "eta": e, "k": 500} for m in methods for e in etas], batch=batch)
+
+
+def search_batch(spark: SparkSession, sf_dir: str, task: str, batches=(16, 64, 256), **kw) -> DataFrame:
+    """The step-size search for several minibatch sizes."""
+    out = None
+    for b in batches:
+        one = search_eta(spark, sf_dir, task, batch=b, **kw).withColumn("batch", F.lit(b))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def searched(
@@ -106,6 +120,7 @@ def ablation(spark: SparkSession, sf_dir: str, task: str = "words") -> DataFrame
     kinds = {
         "default": {}, "step_direction": {"step_source": "direction"}, "refresh_early": {"heap_refresh": "before_second_fetch"},
         "mean_gradient": {"grad_scale": "mean"}, "all_support": {"support": "all"}, "inverse_norm": {"first_scale": "inverse_norm"},
+        "undamped": {"damping": 0.0}, "damped_by_1": {"damping": 1.0}, "damped_by_50": {"damping": 50.0},
     }
     train, test, p = prepared(spark, sf_dir, task)
     configs = {i: spec_of(task, "curvature", 10.0, p, 500, **kw) for i, kw in enumerate(kinds.values())}
@@ -132,7 +147,7 @@ def layouts(spark: SparkSession, sf_dir: str, task: str = "kmers", cf: float = 1
     return F.broadcast(table).join(measures.accuracy(decided(predictions(blocks, "all"), ["config"]), ["config"]), "config").drop("config")
 
 
-def runtime(spark: SparkSession, sf_dir: str, names=("words", "kmers", "clicks"), k: int = 500) -> DataFrame:
+def runtime(spark: SparkSession, sf_dir: str, names=("words", "grams", "kmers", "clicks"), k: int = 500) -> DataFrame:
     """Seconds and rows per second of both sketched methods at the run-time table's factors."""
     out = []
     for task in names:
@@ -167,10 +182,42 @@ def convergence(spark: SparkSession, sf_dir: str, cf: float = 1000.0) -> DataFra
     return out
 
 
+def scaled(spark: SparkSession, sf_dir: str, copies: int) -> DataFrame:
+    """Packed examples of a very large space: presence of 12-grams of replicated texts, ids salted per copy."""
+    docs = spread(load(spark, sf_dir, "documents")).select("doc_id", "lang", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("salt"), "text")
+    ids = F.sort_array(F.array_distinct(F.transform(fe.char_ngrams(F.col("text"), 12), lambda g: F.xxhash64(g, F.col("salt")).bitwiseAND((1 << 60) - 1))))
+    return docs.select(
+        (F.col("doc_id") * copies + F.col("salt")).alias("example_id"), (F.col("lang") == "en").cast("double").alias("label"), ids.alias("idx"), fe.split_of(F.col("text")).alias("split")
+    ).filter("idx is not null").withColumn("val", F.transform("idx", lambda _: F.lit(1.0)))
+
+
 def scaled_ids(spark: SparkSession, sf_dir: str, copies: int = 4) -> DataFrame:
-    """The large-space question: 12-grams of replicated texts, ids salted per copy; rows, ids and cells."""
-    docs = load(spark, sf_dir, "documents").select("doc_id", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("salt"), "text")
-    grams = docs.select(F.explode(F.transform(fe.char_ngrams(F.col("text"), 12), lambda g: F.xxhash64(g, F.col("salt")))).alias("id"))
-    return grams.agg(F.count("*").alias("entries"), F.approx_count_distinct("id").alias("features"))
+    """The large-space question: rows, entries and ids."""
+    rows = scaled(spark, sf_dir, copies).select(F.explode("idx").alias("id"))
+    return rows.agg(F.count("*").alias("entries"), F.approx_count_distinct("id").alias("features"))
+
+
+def scaled_model(spark: SparkSession, sf_dir: str, copies: int = 4, cells: int = 50_000, shards: int = 8, k: int = 1000) -> DataFrame:
+    """A model of that space in a sketch of ``cells``, trained in shards: features, compression, rows, test accuracy."""
+    rows = written(scaled(spark, sf_dir, copies), "scaled")
+    p = rows.select(F.explode("idx").alias("id")).agg(F.approx_count_distinct("id")).first()[0]
+    train = written(fe.number_batches(rows.filter("split = 'train'").drop("split"), BATCH), "train")
+    sketch = SketchSpec(HASHES, max(1, cells // HASHES), 7)
+    model = fit(train, sketch, TrainSpec(k=k, schedule=Schedule(0.01), history=HISTORY), "sharded", shards=shards)
+    scored = decided(predict(rows.filter("split = 'test'"), model, "all"), [])
+    return scored.agg(F.count("*").alias("test_rows"), F.avg((F.col("label") == F.col("prediction")).cast("double")).alias("accuracy")).select(
+        F.lit(p).alias("features"), F.lit(p / sketch.cells).alias("cf"), "test_rows", "accuracy"
+    )
 
 
+def library_ceiling(spark: SparkSession, sf_dir: str, task: str = "words", bits: int = 18) -> DataFrame:
+    """Test accuracy of the library's own logistic regression on hashed features: what batch training reaches."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import HashingTF
+
+    rows = written(tasks.TASKS[task](spark, sf_dir), f"task-{task}")
+    hashing = HashingTF(numFeatures=1 << bits, binary=True, inputCol="terms", outputCol="features")
+    vectors = hashing.transform(rows.select("label", "split", F.transform("idx", lambda i: i.cast("string")).alias("terms")))
+    model = LogisticRegression(maxIter=30, regParam=1e-4).fit(vectors.filter("split = 'train'"))
+    found = model.transform(vectors.filter("split = 'test'"))
+    return found.agg(F.count("*").alias("rows"), F.avg((F.col("label") == F.col("prediction")).cast("double")).alias("accuracy")).select(F.lit(task).alias("task"), "rows", "accuracy")

@@ -262,3 +262,29 @@ def test_decaying_steps_converge_like_one_over_t():
         w_now = t.store.query(0, np.arange(5))
         gaps.append(0.5 * np.mean((x @ w_now - y) ** 2) - 0.5 * np.mean((x @ best - y) ** 2))
     assert np.mean(gaps[-50:]) < 0.3 * np.mean(gaps[40:90])
+
+
+def test_dense_rows_and_products_give_the_same_run():
+    """Entries, a matrix, and a matrix with its products: one trajectory, for each method."""
+    rng = np.random.default_rng(4)
+    x, w = rng.standard_normal((40, 12)), np.r_[1.0, -1.0, np.zeros(10)]
+    y = x @ w
+    entries = Batch(np.arange(41) * 12, np.tile(np.arange(12), 40), x.ravel(), y)
+    for method, eta in (("curvature", 0.05), ("gradient", 0.003), ("newton", 0.1)):
+        ends = []
+        for batch in (entries, Batch.of_matrix(x, y), Batch.of_matrix(x, y, (x.T @ x, x.T @ y))):
+            t = Trainer(SketchSpec(3, 16, 3), TrainSpec(loss="squared", method=method, k=4, schedule=Schedule(eta), first_scale="inverse_norm"))
+            for _ in range(6):
+                t.step(batch)
+            ends.append(t.store.cells)
+        assert np.allclose(ends[0], ends[1]) and np.allclose(ends[0], ends[2])
+
+
+def test_damping_bounds_the_inverse():
+    """Pairs of almost no curvature: undamped, the direction is that much longer than the gradient."""
+    ring, damped = Ring(5, 1e-10), Ring(5, 1e-10)
+    ids, s, r = np.arange(3), np.array([1.0, 0.5, 0.0]), np.array([1e-6, 1e-6, 0.0])
+    ring.push(ids, s, ids, r)
+    damped.push(ids, s, ids, r + 10 * s)
+    g = np.ones(3)
+    assert np.linalg.norm(ring.product(ids, g)) > 1e4 and np.linalg.norm(damped.product(ids, g)) < 1
