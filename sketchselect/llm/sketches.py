@@ -14,19 +14,17 @@ out of its other cells, and so on. When cells are left over, larger sketches are
 peeling ends; nothing is estimated. Likeness of two sketches is shared / all digests, from the
 two set sizes and the recovered digests.
 
-Sketches of ``SIZES`` are SQL expressions over columns of one row; the larger of them is the
-fingerprint, the smaller is it folded. Pairs whose difference is too large for them, about
-``CELLS_HOLD`` digests, retry in sketches of any size in Python workers: as SQL, which cannot write
-to a place of an array, the same work took ten times the time (see the README).
+Sketches of ``SIZES`` are dense arrays of cells; the larger of them is the fingerprint, the
+smaller is it folded. Differences that they cannot hold retry in sketches of any size, kept sparse
+and ordered by place, whose work grows with the digests and not with the cells: there subtables
+have four cells for every digest of the difference, about, so that few rounds empty them. Everything
+is SQL expressions over columns of one row.
 """
 
 from __future__ import annotations
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql.types import LongType
 
 from sketchselect.llm.common import let, text_or_empty
 
@@ -38,8 +36,10 @@ LONG, WORD_CHARS = 160, 32
 #: Cells of each of the three subtables, by retry (powers of two), and peeling rounds.
 SIZES = (8, 32)
 ROUNDS = 16
-#: Digests that the larger of them is sure to hold; sketches of a larger difference are not peeled in vain.
+#: Digests that the larger of them may hold; it is not peeled in vain where set sizes differ by more.
 CELLS_HOLD = 90
+#: Larger sizes tried, each four times the one before.
+RETRIES = 8
 CHECK_SEED = 77
 #: Rows of a range of doc_id in the search for the next document, and ranges at most.
 RANGE_ROWS = 1024
@@ -129,59 +129,61 @@ def folded(cells: str, large: int, small: int) -> str:
     return f"concat({', '.join(tables)})"
 
 
-def hashed_places(digests: np.ndarray, size: int) -> np.ndarray:
-    """The cell of each digest in each of three subtables."""
-    mixed = digests.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-    return np.stack([((mixed ^ (mixed >> np.uint64(29 + j))) * np.uint64(0xBF58476D1CE4E5B9 + 2 * j) >> np.uint64(20)) % np.uint64(size) for j in range(3)]).astype(np.int64)
+def merged(entries: str) -> str:
+    """SQL: entries (place i, n, keys, checks) summed by place, in order of place, without those that cancel out."""
+    run = """aggregate(slice(s, a + 1, coalesce(get(b, k + 1), size(s)) - a), struct(s[a].i AS i, 0 AS n, 0L AS keys, 0 AS checks),
+        (acc, c) -> struct(acc.i AS i, acc.n + c.n AS n, acc.keys ^ c.keys AS keys, acc.checks ^ c.checks AS checks))"""
+    cells = f"transform(b, (a, k) -> if(coalesce(get(b, k + 1), size(s)) = a + 1, s[a], {run}))"
+    summed = let("sort_array(entries)", "s", let(starts("s", ".i"), "b", f"filter({cells}, c -> c.n <> 0 OR c.keys <> 0 OR c.checks <> 0)"))
+    return let(entries, "entries", f"if(size(entries) = 0, entries, {summed})")
 
 
-def checked(digests: np.ndarray) -> np.ndarray:
-    mixed = (digests.view(np.uint64) ^ (digests.view(np.uint64) >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
-    return (mixed ^ (mixed >> np.uint64(31))).view(np.int64)
+def places(digest: str, n: str, size: str) -> str:
+    """SQL: the three entries of a digest, counted n times; subtable j reads its place from the bits from 21 j on."""
+    cells = [
+        f"named_struct('i', int({j} * {size} + (shiftrightunsigned({digest}, {21 * j}) & ({size} - 1))), 'n', {n}, 'keys', {digest}, 'checks', hash({digest}, {CHECK_SEED}))"
+        for j in range(3)
+    ]
+    return f"array({', '.join(cells)})"
 
 
-def summed(digests: np.ndarray, signs: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Counts, digests and checks of the cells of a sketch, subtable after subtable."""
-    at = (hashed_places(digests, size) + np.arange(3)[:, None] * size).ravel()
-    n, keys, checks = np.zeros(3 * size, np.int64), np.zeros(3 * size, np.int64), np.zeros(3 * size, np.int64)
-    np.add.at(n, at, np.tile(signs, 3))
-    np.bitwise_xor.at(keys, at, np.tile(digests, 3))
-    np.bitwise_xor.at(checks, at, np.tile(checked(digests), 3))
-    return n, keys, checks
+def peeled_wide(cells: str, size: str) -> str:
+    """SQL: (ours, theirs) digests that peeling recovers from sparse cells, null where cells are left over."""
+    pure = f"sort_array(transform(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks), c -> struct(c.keys AS digest, c.n AS n)))"
+    once = "filter(pure, (p, i) -> i = 0 OR p.digest <> pure[i - 1].digest)"
+    left = merged(f"concat(acc.cells, flatten(transform(one, p -> {places('p.digest', '-p.n', size)})))")
+    ours = "concat(acc.ours, transform(filter(one, p -> p.n = 1), p -> p.digest))"
+    theirs = "concat(acc.theirs, transform(filter(one, p -> p.n = -1), p -> p.digest))"
+    took = f"struct({left} AS cells, {ours} AS ours, {theirs} AS theirs, size(one) > 0 AS going)"
+    none = "cast(array() AS array<bigint>)"
+    return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, {none} AS ours, {none} AS theirs, true AS going),
+        (acc, r) -> if(acc.going AND size(acc.cells) > 0, {let(pure, 'pure', let(once, 'one', took))}, acc),
+        acc -> if(size(acc.cells) = 0, struct(acc.ours AS ours, acc.theirs AS theirs), null))"""
 
 
-def peeled_arrays(cells: tuple[np.ndarray, np.ndarray, np.ndarray], size: int) -> tuple[np.ndarray, np.ndarray] | None:
-    """(digests, signs) that peeling recovers from a difference, None where cells are left over."""
-    n, keys, checks = cells
-    found, signs = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-    while True:
-        pure = np.flatnonzero(np.abs(n) == 1)
-        pure = pure[checked(keys[pure]) == checks[pure]]
-        if not len(pure):
-            break
-        one, first = np.unique(keys[pure], return_index=True)
-        sign = n[pure[first]]
-        found.append(one)
-        signs.append(sign)
-        taken = summed(one, sign, size)
-        n, keys, checks = n - taken[0], keys ^ taken[1], checks ^ taken[2]
-    return None if n.any() or keys.any() else (np.concatenate(found), np.concatenate(signs))
+def wide(a: str, b: str, guess: str) -> str:
+    """SQL: (ours, theirs) digests of two sets by sparse sketches, the first sized for a guess, until peeling ends.
 
+    Digests alike in the bits of every place of the largest size, if there are any, are told apart by themselves.
+    """
+    first = f"int(pow(2, ceil(log2(4 * greatest({guess}, {SIZES[-1]}.0D)))))"
+    both = f"concat(flatten(transform({a}, h -> {places('h', '1', 't.size')})), flatten(transform({b}, h -> {places('h', '-1', 't.size')})))"
+    tried = let(merged(both), "cells", peeled_wide("cells", "t.size"))
+    again = let(tried, "found", f"struct(if(found IS NULL AND r < {RETRIES}, 4 * t.size, t.size) AS size, found AS found)")
+    return f"""aggregate(sequence(1, {RETRIES}), struct({first} AS size, cast(null AS struct<ours:array<bigint>,theirs:array<bigint>>) AS found),
+        (t, r) -> if(t.found IS NOT NULL, t, {again}),
+        t -> struct(coalesce(t.found.ours, array_except({a}, {b})) AS ours, coalesce(t.found.theirs, array_except({b}, {a})) AS theirs))"""
 
-def recovered(a: np.ndarray, b: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Digests that only a or only b has, by peeling sketches four times as large until none is left over."""
-    while True:
-        x, y = summed(a, np.ones(len(a), np.int64), size), summed(b, np.ones(len(b), np.int64), size)
-        out = peeled_arrays((x[0] - y[0], x[1] ^ y[1], x[2] ^ y[2]), size)
-        if out is not None:
-            return out[0][out[1] > 0], out[0][out[1] < 0]
-        size *= 4
 
+def estimated(cells: str, size: int, a: str, b: str) -> str:
+    """SQL: about how many digests differ, from cell counts; a and b are the two set sizes.
 
-@F.pandas_udf(LongType())
-def larger(a: pd.Series, b: pd.Series) -> pd.Series:
-    """How many digests differ, by sketches larger than ``SIZES``; null where a is."""
-    return pd.Series([None if x is None else sum(map(len, recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), 4 * SIZES[-1]))) for x, y in zip(a, b, strict=True)], dtype="Int64")
+    Over a subtable of m cells the squares of the count differences sum, on average, to
+    d (1 - 1/m) + (a - b)^2 / m for d differing digests. It only chooses the size of a retry.
+    """
+    squares = f"aggregate({cells}, 0D, (s, c) -> s + double(c.n) * c.n) / 3"
+    raw = f"({squares} - double({a} - {b}) * ({a} - {b}) / {size}) / (1 - 1D / {size})"
+    return f"greatest(double(abs({a} - {b})), least(double({a} + {b}), {raw}))"
 
 
 def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
@@ -193,11 +195,13 @@ def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
     # set sizes that differ by more than a sketch holds need no try; peeling would fail
     hopeless = f"abs(size({a}) - size({b})) > {CELLS_HOLD}"
     few, cells, many = f"{name}_few", f"{name}_cells", f"{name}_many"
+    guess = estimated(difference(f"{a}_large", f"{b}_large"), large, f"size({a})", f"size({b})")
+    rest = let(wide(a, b, guess), "found", "size(found.ours) + size(found.theirs)")
     return (
         frame.withColumn(few, F.expr(f"if({hopeless}, null, {peeled(difference(f'{a}_small', f'{b}_small'), small)})"))
         .withColumn(cells, F.expr(f"if({few} IS NULL AND NOT ({hopeless}), {difference(f'{a}_large', f'{b}_large')}, null)"))
         .withColumn(many, F.expr(f"coalesce({few}, if({cells} IS NULL, null, {peeled(cells, large)}))"))
-        .withColumn(name, F.coalesce(F.col(many).cast("long"), larger(F.when(F.col(many).isNull(), F.col(a)), F.when(F.col(many).isNull(), F.col(b)))))
+        .withColumn(name, F.expr(f"cast(coalesce({many}, {rest}) AS long)"))
         .drop(few, cells, many)
     )
 
@@ -274,14 +278,9 @@ def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
     x, y = (F.expr(f"coalesce({c}, '')") for c in (a, b))
     rows = pairs.withColumns({"_x": x, "_y": y}).withColumns({"_x": clause_hashes("_x"), "_y": clause_hashes("_y")})
     rows = rows.withColumns({"_x": digests("_x"), "_y": digests("_y")})
-
-    def run(batches):
-        for rows in batches:
-            got = [recovered(np.asarray(x, np.int64), np.asarray(y, np.int64), SIZES[-1]) for x, y in zip(rows["_x"], rows["_y"], strict=True)]
-            yield rows.drop(columns=["_x", "_y"]).assign(ours=[x for x, _ in got], theirs=[y for _, y in got])
-
-    none = F.array().cast("array<bigint>")
-    return rows.mapInPandas(run, pairs.withColumns({"ours": none, "theirs": none}).schema)
+    guess = "double(abs(size(_x) - size(_y)))"
+    rows = rows.withColumn("_parts", F.expr(wide("_x", "_y", guess)))
+    return rows.select(*pairs.columns, "_parts.ours", "_parts.theirs")
 
 
 def fingerprint(docs: DataFrame) -> DataFrame:

@@ -379,11 +379,12 @@ def test_peeling_recovers_the_difference(spark):
         b = shared + [rng.getrandbits(63) for _ in range(rng.choice((0, 1, 9, 20)))]
         rows.append((i, a, b))
     frame = sketches.sketched(spark.createDataFrame(rows, "i int, a array<bigint>, b array<bigint>"), ["a", "b"])
-    for r in sketches.apart(frame, "a", "b", "d").collect():
+    wide = F.expr(sketches.wide("a", "b", "1.0D"))
+    tight = F.expr(sketches.peeled_wide(sketches.merged(f"flatten(transform(a, h -> {sketches.places('h', '1', '8')}))"), "8"))
+    for r in sketches.apart(frame, "a", "b", "d").withColumns({"w": wide, "t": tight}).collect():
         assert r["d"] == len(set(r["a"]) ^ set(r["b"]))
-    for _, a, b in rows:
-        ours, theirs = sketches.recovered(np.array(a, np.int64), np.array(b, np.int64), 8)
-        assert set(ours.tolist()) == set(a) - set(b) and set(theirs.tolist()) == set(b) - set(a)
+        assert set(r["w"]["ours"]) == set(r["a"]) - set(r["b"]) and set(r["w"]["theirs"]) == set(r["b"]) - set(r["a"])
+        assert r["t"] is None if len(r["a"]) > 30 else r["t"] is None or set(r["t"]["ours"]) == set(r["a"])
     for size, room in ((8, 15), (32, 60)):
         cells = sketches.difference(sketches.sketch("a", size), sketches.sketch("b", size))
         out = frame.select("a", "b", F.expr(sketches.peeled(cells, size)).alias("d")).collect()
