@@ -1,7 +1,7 @@
 """Document fingerprints as invertible Bloom lookup sketches.
 
-A text is cut into paragraphs and these into clauses: at line breaks, at white space after a
-character of ``CUT``, and after full-width stops. Clauses longer than ``LONG`` characters are cut
+A text is cut into paragraphs and these into sentences or parts of them: at line breaks, at white space after a
+character of ``CUT``, and after full-width stops. Those longer than ``LONG`` characters are cut
 further after the words whose hash ends in three zero bits. All cuts depend on nothing but the characters
 beside them, so an edit changes only the pieces that it touches. A piece's digest is the hash of it
 and of how often it occurs, so digests form a set.
@@ -14,10 +14,11 @@ out of its other cells, and so on. When cells are left over, larger sketches are
 peeling ends; nothing is estimated. Likeness of two sketches is shared / all digests, from the
 two set sizes and the recovered digests.
 
-Sketches of ``SIZES`` are dense arrays of cells; the larger of them is the fingerprint, the
-smaller is it folded. Differences that they cannot hold retry in sketches of any size, kept sparse
+Sketches of ``SIZES`` are dense arrays of cells; the larger of them is the fingerprint, and the
+difference of two is folded to the smaller size. An estimate from the cell counts passes over sizes that
+cannot hold the difference. What these do not hold retries in sketches of any size, kept sparse
 and ordered by place, whose work grows with the digests and not with the cells: there subtables
-have four cells for every digest of the difference, about, so that few rounds empty them. Everything
+have ``ROOM`` cells for every digest of the difference, about, so that few rounds empty them. Everything
 is SQL expressions over columns of one row.
 """
 
@@ -28,17 +29,18 @@ from pyspark.sql import functions as F
 
 from sketchselect.llm.common import let, text_or_empty
 
-#: Characters after which white space ends a clause, with the ends of sentences, and those that end one themselves.
-CUT = ".!?;:,"
-STOPS = "。！？；：，、"
-#: Characters of a clause from which it is cut by words, and of the longest word that is kept whole.
-LONG, WORD_CHARS = 160, 32
+#: Characters after which white space ends a piece, and those that end one themselves.
+CUT = ".!?;:"
+STOPS = "。！？；："
+#: Characters of a piece from which it is cut by words, and of the longest word that is kept whole.
+LONG, WORD_CHARS = 100, 32
 #: Cells of each of the three subtables, by retry (powers of two), and peeling rounds.
 SIZES = (8, 32)
 ROUNDS = 16
-#: Digests that the larger of them may hold; it is not peeled in vain where set sizes differ by more.
-CELLS_HOLD = 90
-#: Larger sizes tried, each four times the one before.
+#: Digests that the sketches of ``SIZES`` may hold; larger differences are not peeled there in vain.
+HOLD = (17, 80)
+#: Cells of a larger subtable for each digest of the difference, and larger sizes tried, each four times the one before.
+ROOM = 16
 RETRIES = 8
 CHECK_SEED = 77
 #: Rows of a range of doc_id in the search for the next document, and ranges at most.
@@ -149,15 +151,22 @@ def places(digest: str, n: str, size: str) -> str:
 
 def peeled_wide(cells: str, size: str) -> str:
     """SQL: (ours, theirs) digests that peeling recovers from sparse cells, null where cells are left over."""
-    pure = f"sort_array(transform(filter(acc.cells, c -> abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks), c -> struct(c.keys AS digest, c.n AS n)))"
-    once = "filter(pure, (p, i) -> i = 0 OR p.digest <> pure[i - 1].digest)"
-    left = merged(f"concat(acc.cells, flatten(transform(one, p -> {places('p.digest', '-p.n', size)})))")
-    ours = "concat(acc.ours, transform(filter(one, p -> p.n = 1), p -> p.digest))"
-    theirs = "concat(acc.theirs, transform(filter(one, p -> p.n = -1), p -> p.digest))"
-    took = f"struct({left} AS cells, {ours} AS ours, {theirs} AS theirs, size(one) > 0 AS going)"
+    good = f"abs(c.n) = 1 AND hash(c.keys, {CHECK_SEED}) = c.checks"
+    pure = f"sort_array(transform(filter(acc.cells, c -> {good}), c -> struct(c.keys AS digest, c.n AS n, c.i AS i)))"
+    # a digest that is alone in all three of its cells takes them with it; the others are taken out of theirs
+    rest = "flatten(transform(filter(b, (a, k) -> coalesce(get(b, k + 1), size(pure)) - a < 3), a -> "
+    rest += f"{places('pure[a].digest', '-pure[a].n', size)}))"
+    held = "flatten(transform(b, (a, k) -> if(coalesce(get(b, k + 1), size(pure)) - a = 3, slice(pure, 1, 0), slice(pure, a + 1, coalesce(get(b, k + 1), size(pure)) - a))))"
+    kept = f"transform({held}, p -> named_struct('i', p.i, 'n', p.n, 'keys', p.digest, 'checks', hash(p.digest, {CHECK_SEED})))"
+    left = merged(f"concat(filter(acc.cells, c -> NOT ({good})), {kept}, {rest})")
+    ours = "concat(acc.ours, transform(filter(b, a -> pure[a].n = 1), a -> pure[a].digest))"
+    theirs = "concat(acc.theirs, transform(filter(b, a -> pure[a].n = -1), a -> pure[a].digest))"
+    took = f"struct({left} AS cells, {ours} AS ours, {theirs} AS theirs, true AS going)"
+    stuck = "struct(acc.cells AS cells, acc.ours AS ours, acc.theirs AS theirs, false AS going)"
     none = "cast(array() AS array<bigint>)"
+    round_ = let(pure, "pure", f"if(size(pure) = 0, {stuck}, {let(starts('pure', '.digest'), 'b', took)})")
     return f"""aggregate(sequence(1, {ROUNDS}), struct({cells} AS cells, {none} AS ours, {none} AS theirs, true AS going),
-        (acc, r) -> if(acc.going AND size(acc.cells) > 0, {let(pure, 'pure', let(once, 'one', took))}, acc),
+        (acc, r) -> if(acc.going AND size(acc.cells) > 0, {round_}, acc),
         acc -> if(size(acc.cells) = 0, struct(acc.ours AS ours, acc.theirs AS theirs), null))"""
 
 
@@ -166,7 +175,7 @@ def wide(a: str, b: str, guess: str) -> str:
 
     Digests alike in the bits of every place of the largest size, if there are any, are told apart by themselves.
     """
-    first = f"int(pow(2, ceil(log2(4 * greatest({guess}, {SIZES[-1]}.0D)))))"
+    first = f"int(pow(2, ceil(log2({ROOM} * greatest({guess}, {SIZES[-1]}.0D)))))"
     both = f"concat(flatten(transform({a}, h -> {places('h', '1', 't.size')})), flatten(transform({b}, h -> {places('h', '-1', 't.size')})))"
     tried = let(merged(both), "cells", peeled_wide("cells", "t.size"))
     again = let(tried, "found", f"struct(if(found IS NULL AND r < {RETRIES}, 4 * t.size, t.size) AS size, found AS found)")
@@ -189,20 +198,19 @@ def estimated(cells: str, size: int, a: str, b: str) -> str:
 def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
     """Add column ``name``: how many digests differ between two sets.
 
-    Columns ``a`` and ``b`` hold the digests, ``<a>_small``, ``<a>_large`` and the same of b their sketches.
+    Columns ``a`` and ``b`` hold the digests, ``<a>_large`` and ``<b>_large`` their fingerprints.
     """
     small, large = SIZES
-    # set sizes that differ by more than a sketch holds need no try; peeling would fail
-    hopeless = f"abs(size({a}) - size({b})) > {CELLS_HOLD}"
-    few, cells, many = f"{name}_few", f"{name}_cells", f"{name}_many"
-    guess = estimated(difference(f"{a}_large", f"{b}_large"), large, f"size({a})", f"size({b})")
+    cells, guess, some = f"{name}_cells", f"{name}_guess", f"{name}_some"
+    few = f"if({guess} > {HOLD[0]}, null, {peeled(folded(cells, large, small), small)})"
+    many = f"if({guess} > {HOLD[1]}, null, {peeled(cells, large)})"
     rest = let(wide(a, b, guess), "found", "size(found.ours) + size(found.theirs)")
     return (
-        frame.withColumn(few, F.expr(f"if({hopeless}, null, {peeled(difference(f'{a}_small', f'{b}_small'), small)})"))
-        .withColumn(cells, F.expr(f"if({few} IS NULL AND NOT ({hopeless}), {difference(f'{a}_large', f'{b}_large')}, null)"))
-        .withColumn(many, F.expr(f"coalesce({few}, if({cells} IS NULL, null, {peeled(cells, large)}))"))
-        .withColumn(name, F.expr(f"cast(coalesce({many}, {rest}) AS long)"))
-        .drop(few, cells, many)
+        frame.withColumn(cells, F.expr(difference(f"{a}_large", f"{b}_large")))
+        .withColumn(guess, F.expr(estimated(cells, large, f"size({a})", f"size({b})")))
+        .withColumn(some, F.expr(f"coalesce({few}, {many})"))
+        .withColumn(name, F.expr(f"cast(coalesce({some}, {rest}) AS long)"))
+        .drop(cells, guess, some)
     )
 
 
@@ -263,10 +271,8 @@ def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def sketched(rows: DataFrame, sets: list[str]) -> DataFrame:
-    """Add ``<set>_large`` and ``<set>_small``, the sketches of each array of digests."""
-    small, large = SIZES
-    rows = rows.withColumns({f"{c}_large": F.expr(sketch(c, large)) for c in sets})
-    return rows.withColumns({f"{c}_small": F.expr(folded(f"{c}_large", large, small)) for c in sets})
+    """Add ``<set>_large``, the fingerprint of each array of digests."""
+    return rows.withColumns({f"{c}_large": F.expr(sketch(c, SIZES[-1])) for c in sets})
 
 
 def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
