@@ -91,7 +91,7 @@ QUERIES["library_ceiling"] = workloads.library_ceiling
 QUERIES["scaled_ids"] = lambda spark, sf_dir: workloads.scaled_ids(spark, sf_dir, 2)
 QUERIES["scaled_model"] = lambda spark, sf_dir: workloads.scaled_model(spark, sf_dir, 2)
 # The simulations do not depend on the tables. All sizes and steps, but 4 and 2 of the 200 trials that
-# the functions run by default, which take the better part of an hour on 8 cores (see the README).
+# the functions run by default (see the README for their time).
 QUERIES["simulation_recovery"] = lambda spark, sf_dir: simulation.recovery_curve(spark, 4)
 QUERIES["simulation_steps"] = lambda spark, sf_dir: simulation.step_curve(spark, 2)
 
