@@ -247,9 +247,12 @@ def range_of(ends: list[int]) -> Column:
         s -> int(s.lo))""")
 
 
-def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
+def with_next(docs: DataFrame, columns: list[str], derived: dict[str, Column] | None = None) -> DataFrame:
     """Add ``next_<column>``: of the next row by descending doc_id; after the last, the first.
 
+    Columns ``derived`` are added too, with their ``next_<column>``. They are made where the rows lie in
+    order, so that none is moved and each is made once for both rows that need it.
+
     Rows lie in ranges of doc_id and are ordered within them. The first row of a range is
     also the successor of the last row of the range above, so that row is dealt to both, and
     the first of all also to the lowest range. Equal ids are ordered by text; null ids are last.
@@ -267,12 +270,20 @@ def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
     )
     rows = dealt.select(*docs.columns, F.posexplode("_to").alias("_copy", "_to"))
     seen = Window.partitionBy("_to").orderBy("_copy", F.col("doc_id").desc_nulls_last(), *[c for c in columns if c == "text"])
-    return rows.select("*", *[F.lead(c).over(seen).alias(f"next_{c}") for c in columns]).filter("_copy = 0").drop("_copy", "_to")
+    followed = rows.select("*", *[F.lead(c).over(seen).alias(f"next_{c}") for c in columns])
+    if derived:
+        followed = followed.withColumns(derived).select("*", *[F.lead(c).over(seen).alias(f"next_{c}") for c in derived])
+    return followed.filter("_copy = 0").drop("_copy", "_to")
+
+
+def sketch_columns(sets: list[str]) -> dict[str, Column]:
+    """Columns ``<set>_large``, the fingerprints of arrays of digests."""
+    return {f"{c}_large": F.expr(sketch(c, SIZES[-1])) for c in sets}
 
 
 def sketched(rows: DataFrame, sets: list[str]) -> DataFrame:
     """Add ``<set>_large``, the fingerprint of each array of digests."""
-    return rows.withColumns({f"{c}_large": F.expr(sketch(c, SIZES[-1])) for c in sets})
+    return rows.withColumns(sketch_columns(sets))
 
 
 def parted(pairs: DataFrame, a: str, b: str) -> DataFrame:
@@ -305,7 +316,7 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .drop("hashes")
     )
     near = (
-        with_next(rows, ["text", "own"])
+        with_next(rows, ["text", "own"], sketch_columns(["own"]))
         .withColumn("n_chars", F.length("text").cast("long"))
         .withColumn("edited", F.concat(F.expr("substr(text, 1, length(text) - length(text) div 3)"), F.expr("substr(next_text, 1, length(text) div 3)")))
         .drop("text", "next_text")
@@ -314,7 +325,7 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
     )
-    near = apart(apart(sketched(near, ["own", "changed", "next_own"]), "own", "changed", "_edited"), "own", "next_own", "_next")
+    near = apart(apart(sketched(near, ["changed"]), "own", "changed", "_edited"), "own", "next_own", "_next")
     return near.select(
         "doc_id",
         "n_chars",
