@@ -12,8 +12,9 @@ verified by the exact weighted similarity of shingles, sum of smaller weights /
 larger weights. A document of fewer words than an item is one window, itself.
 
 A window that shares no shingle with an item has similarity 0, so only windows that hold
-enough shingles of the benchmark for the similarity asked are hashed: for n shingles each,
-similarity s needs 2 s n / (1 + s) common ones.
+enough shingles of items of their length for the similarity asked are hashed: for n shingles each,
+similarity s needs 2 s n / (1 + s) common ones. Shingles that hold a word, or two words in a
+row, that no item holds are unknown without being hashed.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ import uuid
 from bisect import bisect_right
 from collections import defaultdict
 from collections.abc import Iterator
-from itertools import combinations
+from itertools import combinations, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +42,8 @@ BLOCKS = 6
 BLOCK_BYTES = 16 << 20
 #: Windows that are looked up at a time.
 STEP = 1024
+#: Distinct words of a block of the benchmark up to which its words rule out shingles before they are hashed.
+VOCABULARY = 500_000
 
 
 def window_codes(found: np.ndarray, starts: np.ndarray, n: int) -> Iterator[tuple[int, int]]:
@@ -86,6 +89,8 @@ class Index:
     def __init__(self, items: list[tuple[int, str]], size: int, similarity: float, radius: int):
         self.size, self.similarity, self.radius = size, similarity, radius
         self.ids, self.lengths, self.keys, self.counts, codes = [], [], [], [], []
+        self.vocabulary: dict[bytes, int] = {}
+        pairs = [np.empty(0, np.int64)]
         for item, text in items:
             words = shingles.words(text)
             found = shingles.hashes(words, size)
@@ -97,6 +102,11 @@ class Index:
             self.keys.append(keys)
             self.counts.append(counts)
             codes.append(shingles.simhash(found))
+            own = np.array([self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words], np.int64)
+            pairs.append(own[:-1] << 32 | own[1:])
+        self.pairs = np.unique(np.concatenate(pairs))
+        if len(self.vocabulary) > VOCABULARY:
+            self.vocabulary = {}
         self.codes = np.array(codes, np.uint64)
         every = np.concatenate([*self.keys, np.empty(0, np.uint64)])
         self.known = np.unique(every)
@@ -110,6 +120,12 @@ class Index:
             by[n].append(i)
         self.items_of = {n: np.array(members) for n, members in by.items()}
         self.sorted_lengths = sorted(by)
+        # lengths of the items of shingle k of known: spans[span_ends[k] : span_ends[k + 1]]
+        place = np.searchsorted(self.sorted_lengths, np.array(self.lengths, np.int64))
+        width = max(1, len(self.sorted_lengths))
+        both = np.unique(held * width + place[owner]) if len(owner) else np.empty(0, np.int64)
+        self.spans = both % width
+        self.span_ends = np.r_[0, np.cumsum(np.bincount(both // width, minlength=len(self.known)))]
         edges = [64 * i // BLOCKS for i in range(BLOCKS + 1)]
         self.of_length = {
             n: [Block(self.codes, members, a, z - a, radius // BLOCKS) for a, z in zip(edges, edges[1:], strict=False)] for n, members in self.items_of.items()
@@ -130,6 +146,28 @@ class Index:
         same = self.keys[item][at] == keys
         return int(np.minimum(counts[same], self.counts[item][at[same]]).sum())
 
+    def known_in(self, words: list[bytes], size: int) -> tuple[np.ndarray, np.ndarray]:
+        """(position, index in ``known``) of the shingles of a text that the benchmark holds."""
+        n = len(words) - size + 1
+        if not self.vocabulary or n < 2 or size < 2:
+            found = shingles.hashes(words, size)
+            may = np.arange(len(found))
+        else:
+            own = np.fromiter(map(self.vocabulary.get, words, repeat(-1)), np.int64, len(words))
+            near = np.flatnonzero((own[:-1] >= 0) & (own[1:] >= 0))
+            pair = own[near] << 32 | own[near + 1]
+            at = np.minimum(np.searchsorted(self.pairs, pair), len(self.pairs) - 1)
+            good = near[self.pairs[at] == pair] if len(self.pairs) else near[:0]
+            # a shingle needs size - 1 known pairs in a row
+            may = good[: max(0, len(good) - size + 2)]
+            may = may[good[size - 2 :][: len(may)] - may == size - 2]
+            found = np.array([shingles.digest(words[i : i + size]) for i in may.tolist()], np.uint64)
+        if not len(found):
+            return may[:0], np.empty(0, np.int64)
+        at = np.minimum(np.searchsorted(self.known, found), len(self.known) - 1)
+        same = self.known[at] == found
+        return may[same], at[same]
+
     def sharing(self, found: np.ndarray, least: int) -> np.ndarray:
         """Items of which at least this many of the given shingles, repeats included, are known."""
         at = np.minimum(np.searchsorted(self.known, found), len(self.known) - 1)
@@ -155,7 +193,7 @@ class Index:
         lengths = self.sorted_lengths[bisect_right(self.sorted_lengths, len(words)) :]
         if not lengths or self.similarity * (lengths[0] - self.size + 1) > m + 1e-9:
             return
-        found = shingles.hashes(words, self.size)
+        found = self.known[self.known_in(words, self.size)[1]]  # others are in no item
         keys, counts = np.unique(found, return_counts=True)
         for i in self.sharing(found, math.ceil(self.similarity * m)).tolist():
             n = self.lengths[i] - self.size + 1
@@ -170,23 +208,30 @@ class Index:
         if not words or not len(self.ids):
             return []
         best: dict[int, tuple[float, int]] = {}
-        by_size: dict[int, tuple] = {}
-        for length in self.of_length:
+        places: dict[int, tuple] = {}
+        every: dict[int, np.ndarray] = {}
+        for which, length in enumerate(self.sorted_lengths):
             if length > len(words):
-                continue
+                break
             size = min(self.size, length)
-            if size not in by_size:
-                found = shingles.hashes(words, size)
-                at = np.minimum(np.searchsorted(self.known, found), len(self.known) - 1)
-                by_size[size] = found, np.r_[0, np.cumsum(self.known[at] == found)]
-            found, shared = by_size[size]
-            if not shared[-1]:
-                continue
+            if size not in places:
+                position, k = self.known_in(words, size)
+                count = self.span_ends[k + 1] - self.span_ends[k]
+                step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+                places[size] = np.repeat(position, count), self.spans[np.repeat(self.span_ends[k], count) + step]
+            position, span = places[size]
             n = length - size + 1
             need = math.ceil(2 * self.similarity * n / (1 + self.similarity) - 1e-9)
-            starts = np.flatnonzero(shared[n:] - shared[:-n] >= need)
+            shared = position[span == which] if len(position) >= need else position[:0]
+            if len(shared) < need:
+                continue
+            counts = np.bincount(shared + 1, minlength=len(words) - size + 2).cumsum()
+            starts = np.flatnonzero(counts[n:] - counts[:-n] >= need)
             if not len(starts):
                 continue
+            if size not in every:
+                every[size] = shingles.hashes(words, size)
+            found = every[size]
             near = defaultdict(set)
             coded = list(window_codes(found, starts, n))
             for at in range(0, len(coded), STEP):

@@ -33,6 +33,11 @@ def hashes(found: list[bytes], size: int) -> np.ndarray:
     return np.array([digest(whole[a:b], SEED) for a, b in zip(starts, stops, strict=True)], np.uint64)
 
 
+def digest(found: list[bytes]) -> int:
+    """The hash of one shingle."""
+    return xxhash.xxh64_intdigest(b" ".join(found), SEED)
+
+
 def bits(found: np.ndarray) -> np.ndarray:
     """One row per hash, one column per bit, the highest first."""
     return np.unpackbits(found.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
