@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sketchselect.llm import shingles
-from sketchselect.llm.common import written
+from sketchselect.llm.common import batches_of, written
 from sketchselect.llm.components import components
 from sketchselect.llm.hamming import links
 
@@ -50,6 +50,9 @@ def fingerprint_components(docs: DataFrame, size: int = 3, radius: int = 2) -> D
 BANDS, PICKS = 24, 4
 #: Ids up to this many are broadcast; more are joined by a shuffle.
 BROADCAST_IDS = 500_000
+#: Rows of a batch that goes to a Python worker: whole texts, or pairs of shingle sets, which a batch holds
+#: several times, in the worker and outside the heap of the JVM.
+BATCH_ROWS = 1000
 
 
 def _multipliers() -> tuple[np.ndarray, np.ndarray]:
@@ -221,6 +224,11 @@ def drop_near_duplicates(
     without words form one. Repeated rows of one doc_id and text become one; rows without
     doc_id always stay.
     """
+    with batches_of(docs.sparkSession, BATCH_ROWS):
+        return _dropped(docs, size, similarity, radius, scope)
+
+
+def _dropped(docs: DataFrame, size: int, similarity: float, radius: int, scope: str) -> DataFrame:
     marks = written(signatures(docs.filter("doc_id is not null"), size), "marks", scope)
     unique = written(
         marks.groupBy("digest").agg(F.min(F.struct("doc_id", "code", "bands")).alias("first")).select("first.*"), "unique", scope
