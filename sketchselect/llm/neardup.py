@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -53,6 +55,8 @@ BROADCAST_IDS = 500_000
 #: Rows of a batch that goes to a Python worker: whole texts, or pairs of shingle sets, which a batch holds
 #: several times, in the worker and outside the heap of the JVM.
 BATCH_ROWS = 1000
+#: Ratio of the sizes at the two ends of a size class of shingle sets.
+SIZE_STEP = 1.05
 
 
 def _multipliers() -> tuple[np.ndarray, np.ndarray]:
@@ -162,6 +166,10 @@ def apart_pairs(members: DataFrame, sets: DataFrame, similarity: float, scope: s
     min(nx - px, ny - py), of which the similarity s asks s (nx + ny) / (1 + s). So only the
     first (1 - s) nx shingles of the larger set and (1 - s) / (1 + s) ny of the smaller can be
     first, and the other pairs are ruled out. Shared wording of a family is frequent and comes late.
+
+    The same bound says, from n and p of one set alone, how large the other may be. Entries meet by
+    shingle and size class of the larger set, the smaller set being dealt to all classes that its bound
+    allows: sets that lie deep in their prefixes only meet sets of nearly their own size.
     """
     held = members.join(sets, "doc_id").select("doc_id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("shingle"))
     # a shingle that one member holds is shared by none, but comes first
@@ -176,15 +184,30 @@ def apart_pairs(members: DataFrame, sets: DataFrame, similarity: float, scope: s
         .filter(f"n - p >= {least}")
     )
     entries = written(prefixes, "prefixes", scope)
-    # members of one component are never paired: shingles meet by pairs of components first
-    groups = entries.select("shingle", "component").distinct()
-    met = groups.join(groups.select("shingle", F.col("component").alias("other")), "shingle").filter("component <> other")
-    small = entries.filter(f"n - p >= {2 * similarity / (1 + similarity)} * n - 1e-9").select(
-        "shingle", F.col("component").alias("other"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("p").alias("pb")
+    part = similarity / (1 + similarity)
+
+    def size_class(n: str):
+        return F.floor(F.log(n) / math.log(SIZE_STEP)).cast("int")
+
+    # the largest size that the other set may have; a little more, for rounding
+    entries = entries.withColumn("most", F.expr(f"least((n - p) / {part} - n, n) + 1e-6")).withColumn("class", size_class("n"))
+    small = (
+        entries.filter(f"n - p >= {2 * part} * n - 1e-9")
+        .select("shingle", F.col("component").alias("other"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("p").alias("pb"))
+        .withColumn("most_b", F.expr(f"least((nb - pb) / {part} - nb, nb / {similarity}) + 1e-6"))
+        .withColumn("class", F.explode(F.sequence(size_class("nb"), size_class("most_b"))))
+    )
+    # members of one component are never paired: pairs of components meet first
+    groups = entries.groupBy("shingle", "class", "component").agg(F.min("n").alias("least_n"), F.max("most").alias("most_n"))
+    others = small.groupBy("shingle", "class", "other").agg(F.min("nb").alias("least_nb"), F.max("most_b").alias("most_nb"))
+    met = (
+        groups.join(others, ["shingle", "class"])
+        .filter("component <> other and least_nb <= most_n and least_n <= most_nb")
+        .select("shingle", "class", "component", "other")
     )
     fit = f"""n >= nb and nb >= {least}
-        and least(n - p, nb - pb) >= {similarity / (1 + similarity)} * (n + nb) - 1e-9"""
-    near = entries.join(met, ["shingle", "component"]).join(small, ["shingle", "other"]).filter(fit)
+        and least(n - p, nb - pb) >= {part} * (n + nb) - 1e-9"""
+    near = entries.join(met, ["shingle", "class", "component"]).join(small, ["shingle", "class", "other"]).filter(fit)
     return near.select(F.least("doc_id", "b").alias("a"), F.greatest("doc_id", "b").alias("b")).distinct()
 
 
