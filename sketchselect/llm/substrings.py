@@ -24,6 +24,7 @@ places grow with the table up to ``BUCKET_BYTES`` to keep these rows few and ful
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -40,6 +41,8 @@ GRAM = 16
 LEAST_BYTES, BUCKET_BYTES = 2 << 20, 16 << 20
 PLACES = 3
 PIECE = 2 << 20
+#: Windows that are hashed or put in order, and runs whose windows are looked up, in one step.
+WINDOWS, RUNS = 1 << 17, 1 << 14
 #: Multipliers of the hash; odd numbers with well-spread bits.
 MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xD6E8FEB86659FD93))
 LAST = np.iinfo(np.int64).max
@@ -174,7 +177,7 @@ def run_strings(docs: list[bytes], ids: np.ndarray, wanted: np.ndarray, length:
     Returns (strings, hash of each, least id of each), (string, document, offset, windows) of runs.
     """
     index: dict[bytes, int] = {}
-    hashes, least, where = [], [], []
+    hashes, least, where = [], [], array("q")
     wanted = np.sort(wanted)
     for data, low, owner, offset, first, count in window_runs(docs, length):
         hit = wanted[np.minimum(np.searchsorted(wanted, low), len(wanted) - 1)] == low
@@ -184,7 +187,7 @@ def run_strings(docs: list[bytes], ids: np.ndarray, wanted: np.ndarray, length:
             if i == len(hashes):
                 hashes.append(h)
                 least.append(ids[o])  # documents come in order of id
-            where.append((i, o, f, c))
+            where.extend((i, o, f, c))
     return (list(index), np.array(hashes, np.uint64), np.array(least, np.int64)), np.array(where, np.int64).reshape(-1, 4)
 
 
@@ -219,37 +222,43 @@ def factors(data: np.ndarray, sizes: np.ndarray, ids: np.ndarray, length: int, r
     start = np.cumsum(sizes) - sizes
     count = sizes - length + 1
     first = np.cumsum(count) - count
-    every = np.repeat(start - first, count) + np.arange(count.sum())
+    every = np.repeat(start - first, count)
+    every += np.arange(len(every))
     out = np.zeros(len(every), np.int32)
     # a window whose hash is alone has no equal; the suffixes of the others are put in order
     padded = np.concatenate([data, np.zeros(reach + 8, np.uint8)])
-    words = eights(padded)
+    words = np.ndarray((len(padded) - 7,), "<u8", padded.tobytes(), strides=(1,))
     hashed = np.zeros(len(every), np.uint64)
-    for shift in [*range(0, length - 8, 8), length - 8]:
-        hashed = (hashed ^ words[every + shift]) * MIX[0]
-        hashed ^= hashed >> np.uint64(31)
+    for at in range(0, len(every), WINDOWS):
+        part = hashed[at : at + WINDOWS]
+        for shift in [*range(0, length - 8, 8), length - 8]:
+            part ^= words[every[at : at + WINDOWS] + shift]
+            part *= MIX[0]
+            part ^= part >> np.uint64(31)
     order = np.argsort(hashed)
     hashed = hashed[order]
     same = hashed[1:] == hashed[:-1]
-    live = np.sort(order[np.r_[False, same] | np.r_[same, False]]) if len(order) else order
-    if not len(live):
-        return out, first
-    string = np.searchsorted(first, live, side="right") - 1
-    left = np.minimum(sizes[string] + start[string] - every[live], reach)
-    suffixes = np.lib.stride_tricks.sliding_window_view(padded, reach)[every[live]]
-    for n in np.unique(left[left < reach]):
-        suffixes[left == n, n:] = 0
-    order = np.argsort(suffixes.view(f"S{reach}").ravel())
-    live, left, owner, suffixes = live[order], left[order], ids[string[order]], suffixes[order]
-    common = np.zeros(len(live), np.int32)
-    for at in range(1, len(live), 1 << 16):
-        z = min(at + (1 << 16), len(live))
-        differ = suffixes[at:z] != suffixes[at - 1 : z - 1]
-        common[at:z] = np.where(differ.any(1), differ.argmax(1), reach)
-    common[1:] = np.minimum(common[1:], np.minimum(left[1:], left[:-1]))
-    before = smaller_before(owner, common, length)
-    behind = smaller_before(owner[::-1], np.r_[np.int32(0), common[:0:-1]], length)[::-1]
-    out[live] = np.maximum(before, behind)
+    del hashed, words
+    alike = np.r_[False, same] | np.r_[same, False] if len(order) else np.zeros(0, bool)
+    order, fresh = order[alike], np.flatnonzero(~np.r_[False, same][alike]) if len(order) else order
+    # only windows of one hash can agree over their length, so groups of hashes are ordered by themselves
+    edge = np.unique(np.r_[fresh[np.searchsorted(fresh, np.arange(0, len(order), WINDOWS), side="right") - 1], len(order)])
+    for a, z in zip(edge[:-1], edge[1:], strict=True):
+        live = np.sort(order[a:z])
+        string = np.searchsorted(first, live, side="right") - 1
+        left = np.minimum(sizes[string] + start[string] - every[live], reach)
+        suffixes = np.lib.stride_tricks.sliding_window_view(padded, reach)[every[live]]
+        for n in np.unique(left[left < reach]):
+            suffixes[left == n, n:] = 0
+        by = np.argsort(suffixes.view(f"S{reach}").ravel())
+        live, left, owner, suffixes = live[by], left[by], ids[string[by]], suffixes[by]
+        differ = suffixes[1:] != suffixes[:-1]
+        common = np.zeros(len(live), np.int32)
+        common[1:] = np.where(differ.any(1), differ.argmax(1), reach)
+        common[1:] = np.minimum(common[1:], np.minimum(left[1:], left[:-1]))
+        before = smaller_before(owner, common, length)
+        behind = smaller_before(owner[::-1], np.r_[np.int32(0), common[:0:-1]], length)[::-1]
+        out[live] = np.maximum(before, behind)
     return out, first
 
 
@@ -399,14 +408,19 @@ def remove_repeats(docs: DataFrame, length: int = 50, bucket_bytes: int | None =
                     bits = np.frombuffer(zstandard.ZstdDecompressor().decompress(late), np.uint8)
                     parts.append(np.unpackbits(bits, count=int(sizes.sum())))
                     at += len(parts[-1])
-            string, owner, offset, count = where.T
-            step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-            owner = np.repeat(owner, count)
-            string = np.repeat(string, count)
-            later = first_id[string] < ids[owner]
-            known = np.flatnonzero(begin[string] >= 0)
-            later[known] |= np.concatenate(parts)[begin[string[known]] + step[known]] > 0
-            gone = dict(spans_of(owner[later], (np.repeat(offset, count) + step)[later], length))
+            told = np.concatenate(parts)
+            owners, starts = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
+            for run in range(0, len(where), RUNS):
+                string, owner, offset, count = where[run : run + RUNS].T
+                step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+                owner = np.repeat(owner, count)
+                string = np.repeat(string, count)
+                later = first_id[string] < ids[owner]
+                known = np.flatnonzero(begin[string] >= 0)
+                later[known] |= told[begin[string[known]] + step[known]] > 0
+                owners.append(owner[later])
+                starts.append((np.repeat(offset, count) + step)[later])
+            gone = dict(spans_of(np.concatenate(owners), np.concatenate(starts), length))
         kept = []
         for i, doc in enumerate(docs_):
             at, out = 0, []
