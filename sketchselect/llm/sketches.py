@@ -88,14 +88,24 @@ def layout(size: int) -> str:
 def sketch(found: str, size: int) -> str:
     """SQL: cells (n, keys, checks) of an array of distinct digests.
 
-    Digests are dealt to groups of cells first, then to the cells of each.
+    Digests are dealt to groups of cells first, by the high bits of their place, then to the cells of
+    each by the low ones. Masks are literals and values plain array elements, which cost least for each digest.
     """
-    return f"""flatten(transform({layout(size)}, g -> transform(
-        array(filter({found}, h -> (h & g.m) = g.v)),
-        few -> transform(g.c, c -> aggregate(
-            filter(few, h -> (h & c.m) = c.v),
-            cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
-            (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0]))"""
+    part = max(1, size // 4)
+
+    def values(at: range, j: int) -> str:
+        return f"array({', '.join(f'{x << 16 * j}L' for x in at)})"
+
+    tables = [
+        f"""transform({values(range(0, size, part), j)}, g -> transform(
+            array(filter({found}, h -> (h & {((size - 1) & ~(part - 1)) << 16 * j}L) = g)),
+            few -> transform({values(range(part), j)}, c -> aggregate(
+                filter(few, h -> (h & {(part - 1) << 16 * j}L) = c),
+                cast(struct(0 AS n, 0L AS keys, 0 AS checks) AS {CELL}),
+                (acc, h) -> struct(acc.n + 1 AS n, acc.keys ^ h AS keys, acc.checks ^ hash(h, {CHECK_SEED}) AS checks))))[0])"""
+        for j in range(3)
+    ]
+    return f"flatten(concat({', '.join(tables)}))"
 
 
 def difference(a: str, b: str) -> str:
@@ -222,7 +232,7 @@ def likeness(a: str, b: str, parted: str) -> Column:
 
 def printed(cells: str) -> Column:
     """A sketch as text: count, digest and check sums of every cell in hexadecimal."""
-    return F.expr(f"array_join(transform({cells}, c -> if(c.n = 0, '-', concat_ws(':', lower(hex(c.n)), lower(hex(c.keys)), lower(hex(c.checks))))), ',')")
+    return F.expr(f"lower(array_join(transform({cells}, c -> if(c.n = 0, '-', concat_ws(':', hex(c.n), hex(c.keys), hex(c.checks)))), ','))")
 
 
 def id_ranges(docs: DataFrame) -> list[int]:
