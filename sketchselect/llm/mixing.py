@@ -6,15 +6,15 @@ closed form over the sorted ratios cap / weight).
 
 Schedule: slot t takes the point frac((t + 1/2) / golden ratio). The cumulative target
 shares cut [0, 1) into one interval per source; the interval that holds the point names the
-slot's source. The rank of a slot within its source is the index of the block it takes, so
-a source with n slots gives its first n blocks, and only the slots of a source are counted.
+slot's source. The rank of a slot within its source is the index of the block it takes. Ranks come
+in two levels (runs of slots, then slots within a run), so no task holds all slots of a source.
 
 Blocks: each source's documents, in a hash-shuffled order, form a token stream that repeats;
 block b is the b-th run of ``block`` tokens of it. Blocks do not grow with the corpus, and
 are smaller where a source's target is small: each source has a share of four blocks or
 more (or blocks of one token), which no two neighbouring points of the schedule span. Prefix
 sums come in two levels (hash buckets of a source, then rows within a bucket), so no task
-holds a whole source.
+holds a whole source. The block of every slot meets the documents that it cuts at cells of the stream.
 
 Everything is DataFrame expressions.
 """
@@ -33,6 +33,9 @@ GOLDEN, CIRCLE = 117669030460994, 190392490709135
 MIN_BLOCK = 16
 LEAST_BLOCKS = 4
 BUCKET_ROWS = 1024
+#: Slots of a run in which ranks are counted, and tokens of a cell at which blocks meet documents.
+RUN_SLOTS = 1 << 16
+CELL_TOKENS = 64
 #: Source tables up to this many rows are broadcast; larger ones are shuffled.
 BROADCAST_SOURCES = 10_000
 #: Documents that the mix takes, and intervals of sources, are broadcast up to this many, and shuffled beyond.
@@ -80,8 +83,8 @@ def block_size(least: float | None) -> int:
     return max(1, min(MIN_BLOCK, int((least or 0) // LEAST_BLOCKS)))
 
 
-def slot_counts(targets: DataFrame, total: int, block: int, sources: int) -> DataFrame:
-    """ordinal, blocks: how many slots of the mix, and so how many of its first blocks, a source gets."""
+def slot_sources(targets: DataFrame, total: int, block: int, sources: int) -> DataFrame:
+    """slot, ordinal, source_size: every slot of the mix with the source that its point names."""
     spark = targets.sparkSession
     slots = -(-total // block)
     grid = max(1, min(max(4096, sources), slots))
@@ -95,18 +98,47 @@ def slot_counts(targets: DataFrame, total: int, block: int, sources: int) -> Dat
             "ordinal",
             "_lo",
             "_hi",
+            "source_size",
             F.explode(
                 F.sequence(F.floor(F.col("_lo") * grid), F.floor(F.least(F.col("_hi"), F.lit(1.0)) * grid))
             ).alias("_grid"),
         )
     )
-    points = spark.range(slots).select(points_of(F.col("id")).alias("_point"))
+    points = spark.range(slots).select(F.col("id").alias("slot"), points_of(F.col("id")).alias("_point"))
     return (
         points.withColumn("_grid", F.floor(F.col("_point") * grid))
         .join(F.broadcast(spans) if sources <= BROADCAST_ROWS else spans, "_grid")
         .filter("_point >= _lo and _point < _hi")
-        .groupBy("ordinal")
-        .agg(F.count("*").alias("blocks"))
+        .select("slot", "ordinal", "source_size")
+    )
+
+
+def slot_counts(targets: DataFrame, total: int, block: int, sources: int) -> DataFrame:
+    """ordinal, blocks: how many slots of the mix a source gets."""
+    return slot_sources(targets, total, block, sources).groupBy("ordinal").agg(F.count("*").alias("blocks"))
+
+
+def slot_blocks(slots: DataFrame, block: int, cap: int) -> DataFrame:
+    """slot, ordinal, source_size, block, first, last: the block of a slot, as tokens of its source's repeating stream.
+
+    The block's index is the slot's rank within its source. Tokens from ``first`` up to before ``last``; the
+    stream ends after ``cap`` rounds, so a block there may be short or empty.
+    """
+    slots = slots.withColumn("_run", F.expr(f"slot div {RUN_SLOTS}"))
+    bases = (
+        slots.groupBy("ordinal", "_run")
+        .agg(F.count("*").alias("_n"))
+        .withColumn("_base", F.sum("_n").over(Window.partitionBy("ordinal").orderBy("_run")) - F.col("_n"))
+        .drop("_n")
+    )
+    rank = F.row_number().over(Window.partitionBy("ordinal", "_run").orderBy("slot")) - 1
+    return (
+        slots.withColumn("_rank", rank)
+        .join(bases, ["ordinal", "_run"])
+        .withColumn("block", F.col("_base") + F.col("_rank"))
+        .withColumn("first", F.least(F.col("block") * block, F.col("source_size") * cap))
+        .withColumn("last", F.least(F.col("block") * block + block, F.col("source_size") * cap))
+        .select("slot", "ordinal", "source_size", "block", "first", "last")
     )
 
 
@@ -137,20 +169,27 @@ def stream_positions(rows: DataFrame, seed: int = 42) -> DataFrame:
     )
 
 
-def document_tokens(placed: DataFrame, taken: DataFrame, block: int, cap: int) -> DataFrame:
-    """row_id, taken: what the first blocks of the repeating streams hold of each document.
+def document_tokens(placed: DataFrame, blocks: DataFrame) -> DataFrame:
+    """row_id, taken: what the blocks of the slots hold of each document; documents that they miss are left out.
 
-    ``taken`` (ordinal, blocks) says how many blocks of a source are needed. A stream repeats
-    ``cap`` times at most.
+    A block is no longer than its source, so it passes the end of a round once at most. Blocks and documents meet
+    at cells of ``CELL_TOKENS`` tokens of the stream; a block's tokens are parted by cell, so none is counted twice.
     """
-    need = F.least(F.col("blocks") * block, F.col("source_size") * cap)
-    rounds, rest = F.expr("_need div source_size"), F.expr("_need % source_size")
-    return (
-        placed.filter("size > 0")
-        .join(taken, "ordinal")
-        .withColumn("_need", need)
-        .select("row_id", (rounds * F.col("size") + F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("start")))).alias("taken"))
+    at, size = F.col("first") % F.col("source_size"), F.col("last") - F.col("first")
+    parts = F.expr(
+        f"""flatten(transform(filter(array(struct(_at AS a, least(_at + _size, source_size) AS z), struct(0L AS a, _at + _size - source_size AS z)), p -> p.z > p.a),
+            p -> transform(sequence(p.a div {CELL_TOKENS}, (p.z - 1) div {CELL_TOKENS}),
+                c -> struct(c AS cell, greatest(p.a, c * {CELL_TOKENS}) AS a, least(p.z, (c + 1) * {CELL_TOKENS}) AS z))))"""
+    )
+    cut = (
+        blocks.filter("last > first")
+        .select("ordinal", "source_size", at.alias("_at"), size.alias("_size"))
+        .select("ordinal", F.inline(parts))
     )
+    cells = F.expr(f"sequence(start div {CELL_TOKENS}, (start + size - 1) div {CELL_TOKENS})")
+    held = placed.filter("size > 0").select("ordinal", "row_id", "start", "size", F.explode(cells).alias("cell"))
+    common = F.least(F.col("z"), F.col("start") + F.col("size")) - F.greatest(F.col("a"), F.col("start"))
+    return held.join(cut, ["ordinal", "cell"]).withColumn("_common", common).filter("_common > 0").groupBy("row_id").agg(F.sum("_common").alias("taken"))
 
 
 def mix(docs: DataFrame, cap: int = 3) -> DataFrame:
@@ -173,8 +212,8 @@ def mix(docs: DataFrame, cap: int = 3) -> DataFrame:
     placed = written(
         stream_positions(sized.join(known, sized["source"].eqNullSafe(F.col("_source"))).drop("_source")), "placed"
     )
-    taken = written(slot_counts(targets, total, block, totals[1]), "slots")
-    got = document_tokens(placed, small(taken), block, cap)
+    slots = written(slot_sources(targets, total, block, totals[1]), "slots")
+    got = document_tokens(placed, slot_blocks(slots, block, cap))
     return placed.join(got, "row_id", "left").select(
         "doc_id",
         "size",

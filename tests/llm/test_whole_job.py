@@ -51,6 +51,35 @@ def test_a_corpus_of_long_texts_keeps_its_small_source(spark):
     assert got[7]["target"] == 12 and 8 <= got[7]["taken"] <= 12
 
 
+def test_every_slot_names_a_source_and_takes_its_next_block(spark, monkeypatch):
+    """The schedule slot by slot in Python: points, ranks, blocks of the repeating streams, and what they hold."""
+    monkeypatch.setattr(mixing, "RUN_SLOTS", 50)
+    rng = random.Random(5)
+    sizes = [(i, "abcd"[i % 4], rng.choice((0, 1, 3, 40, 90)) if i % 4 else rng.choice((1, 2))) for i in range(120)]
+    docs = spark.createDataFrame([(i, s, "w " * n) for i, s, n in sizes], "doc_id long, source string, text string")
+    sized = docs.select("doc_id", "source", F.regexp_count("text", F.lit(mixing.WORD)).cast("long").alias("size"), F.col("doc_id").alias("row_id"))
+    targets = mixing.source_targets(sized).cache()
+    known = sorted(targets.collect(), key=lambda r: r["ordinal"])
+    total, block = sum(r["source_size"] for r in known), mixing.block_size(min(r["target"] for r in known))
+    table = mixing.slot_blocks(mixing.slot_sources(targets, total, block, len(known)), block, 3)
+    got = {r["slot"]: (r["ordinal"], r["block"], r["first"], r["last"]) for r in table.collect()}
+    whole, ranks, tokens, ends = sum(r["target"] for r in known), Counter(), Counter(), []
+    for r in known:
+        ends.append((ends[-1] if ends else 0) + r["target"] / whole)
+    assert sorted(got) == list(range(-(-total // block)))
+    for slot in sorted(got):
+        point = ((2 * slot + 1) * mixing.GOLDEN // 2) % mixing.CIRCLE / mixing.CIRCLE
+        ordinal = next((i for i, e in enumerate(ends) if point < e), len(ends) - 1)
+        most = 3 * known[ordinal]["source_size"]
+        first, last = (min(most, (ranks[ordinal] + k) * block) for k in (0, 1))
+        assert got[slot] == (ordinal, ranks[ordinal], first, last)
+        ranks[ordinal] += 1
+        tokens.update((ordinal, x % known[ordinal]["source_size"]) for x in range(first, last))
+    placed = mixing.stream_positions(sized.join(targets, "source")).collect()
+    want = {r["row_id"]: sum(tokens[r["ordinal"], x] for x in range(r["start"], r["start"] + r["size"])) for r in placed}
+    assert {r["doc_id"]: r["taken"] for r in mixing.mix(docs).collect()} == want
+
+
 # ---- op1
 
 
