@@ -205,25 +205,91 @@ def estimated(cells: str, size: int, a: str, b: str) -> str:
     return f"greatest(double(abs({a} - {b})), least(double({a} + {b}), {raw}))"
 
 
-def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
-    """Add column ``name``: how many digests differ between two sets.
+def wide_count(frame: DataFrame, a: str, b: str, guess: str, some: str, name: str) -> DataFrame:
+    """Add column ``name``: ``some``, or where that is null how many digests ``wide`` recovers.
 
-    Columns ``a`` and ``b`` hold the digests, ``<a>_large`` and ``<b>_large`` their fingerprints.
+    The first round of the first size is made of sorted numbers (place, digest's index in both sets), which cost
+    far less than cells. A place that comes once is a cell with one digest, whose check is that digest's own. Two
+    equal digests alone at a place cancel out. All other cells are summed, the digests found are taken out of those,
+    and peeling goes on there.
     """
+    size, both, at, lone, rest, left, found, partly = (f"{name}_{c}" for c in ("size", "both", "at", "lone", "rest", "left", "found", "partly"))
+    index, other = "int(x & 4294967295L)", 4294967296
+
+    def placed(digest: str, i: str, j: int) -> str:
+        return f"(shiftleft({j}L * {size} + (shiftrightunsigned({digest}, {21 * j}) & ({size} - 1L)), 32) | {i})"
+
+    def apart_from(entries: str, k: int) -> str:
+        return f"coalesce((get({entries}, i + {k}) ^ x) >= {other}L, true)"
+
+    def digest_at(k: int) -> str:
+        return f"get({both}, int(get({rest}, i + {k}) & {other - 1}L))"
+
+    def cells(entries: str, ours: int) -> str:
+        return f"""transform({entries}, x -> named_struct('i', int(shiftright(x, 32)), 'n', if({index} < size({a}), {ours}, {-ours}),
+            'keys', get({both}, {index}), 'checks', hash(get({both}, {index}), {CHECK_SEED})))"""
+
+    cancel = f"""if({apart_from(rest, -1)}, {apart_from(rest, 2)} AND {digest_at(1)} = get({both}, {index}),
+        {apart_from(rest, 1)} AND {apart_from(rest, -2)} AND {digest_at(-1)} = get({both}, {index}))"""
+    gone = f"array_except(concat({', '.join(f'transform({partly}, q -> {placed(f"get({both}, q)", "q", j)})' for j in range(3))}), {lone})"
+    steps = {
+        size: f"if({some} IS NULL, coalesce(int(pow(2, ceil(log2({ROOM} * greatest({guess}, {SIZES[-1]}.0D))))), 0), 0)",
+        both: f"if({size} = 0, cast(array() AS array<bigint>), concat({a}, {b}))",
+        at: f"sort_array(concat({', '.join(f'transform({both}, (h, i) -> {placed("h", "i", j)})' for j in range(3))}))",
+        lone: f"filter({at}, (x, i) -> {apart_from(at, -1)} AND {apart_from(at, 1)})",
+        rest: f"array_except({at}, {lone})",
+        left: f"filter({rest}, (x, i) -> NOT ({cancel}))",
+        found: f"array_distinct(transform({lone}, x -> {index}))",
+        partly: f"array_intersect({found}, transform({left}, x -> {index}))",
+    }
+    for column, made in steps.items():
+        frame = frame.withColumn(column, F.expr(made))
+    going = let(merged(f"concat({cells(left, 1)}, {cells(gone, -1)})"), "cells", peeled_wide("cells", size))
+    more = let(going, "p", "if(p IS NULL, null, size(p.ours) + size(p.theirs))")
+    count = f"if(size({left}) = 0, size({found}), size({found}) + {more})"
+    again = let(wide(a, b, f"(4 * {guess})"), "found", "size(found.ours) + size(found.theirs)")
+    # through explode no filter on the result is pushed, which would copy all of this into itself many times
+    return frame.select("*", F.explode(F.array(F.expr(f"cast(coalesce({some}, {count}, {again}) AS long)"))).alias(name)).drop(*steps)
+
+
+def apart_small(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
+    """Add ``<name>_some``, how many digests differ as the fingerprints say, or null, and ``<name>_guess``."""
     small, large = SIZES
     cells, guess, some = f"{name}_cells", f"{name}_guess", f"{name}_some"
     few = f"if({guess} > {HOLD[0]}, null, {peeled(folded(cells, large, small), small)})"
     many = f"if({guess} > {HOLD[1]}, null, {peeled(cells, large)})"
-    rest = let(wide(a, b, guess), "found", "size(found.ours) + size(found.theirs)")
     return (
         frame.withColumn(cells, F.expr(difference(f"{a}_large", f"{b}_large")))
         .withColumn(guess, F.expr(estimated(cells, large, f"size({a})", f"size({b})")))
         .withColumn(some, F.expr(f"coalesce({few}, {many})"))
-        .withColumn(name, F.expr(f"cast(coalesce({some}, {rest}) AS long)"))
-        .drop(cells, guess, some)
+        .drop(cells)
     )
 
 
+def apart(frame: DataFrame, a: str, b: str, name: str) -> DataFrame:
+    """Add column ``name``: how many digests differ between two sets.
+
+    Columns ``a`` and ``b`` hold the digests, ``<a>_large`` and ``<b>_large`` their fingerprints.
+    """
+    guess, some = f"{name}_guess", f"{name}_some"
+    return wide_count(apart_small(frame, a, b, name), a, b, guess, some, name).drop(guess, some)
+
+
+def apart_each(frame: DataFrame, pairs: dict[str, tuple[str, str]], done: list[str | Column]) -> DataFrame:
+    """Columns ``done`` and, for each name of ``pairs``, how many digests differ between its two sets.
+
+    Sets ``a`` are columns of digests, and ``<a>_large`` their fingerprints. These are dropped before larger
+    sketches are made, since every step there carries its row along.
+    """
+    for name, (a, b) in pairs.items():
+        frame = apart_small(frame, a, b, name)
+    sets = list(dict.fromkeys(c for pair in pairs.values() for c in pair))
+    frame = frame.select(*done, *sets, *[f"{name}_{c}" for name in pairs for c in ("guess", "some")])
+    for name, (a, b) in pairs.items():
+        frame = wide_count(frame, a, b, f"{name}_guess", f"{name}_some", name).drop(f"{name}_guess", f"{name}_some")
+    return frame
+
+
 def likeness(a: str, b: str, parted: str) -> Column:
     """Shared / all digests of two sets and the number that differ; two empty sets are alike (1)."""
     n = f"(size({a}) + size({b}))"
@@ -335,13 +401,15 @@ def fingerprint(docs: DataFrame) -> DataFrame:
         .withColumn("changed", digests("hashes"))
         .drop("edited", "hashes")
     )
-    near = apart(apart(sketched(near, ["changed"]), "own", "changed", "_edited"), "own", "next_own", "_next")
+    prints = [printed("own_large").alias("fingerprint"), printed("changed_large").alias("edited_fingerprint")]
+    done = ["doc_id", "n_chars", "edited_sha256", *prints]
+    near = apart_each(sketched(near, ["changed"]), {"_edited": ("own", "changed"), "_next": ("own", "next_own")}, done)
     return near.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
-        printed("own_large").alias("fingerprint"),
-        printed("changed_large").alias("edited_fingerprint"),
+        "fingerprint",
+        "edited_fingerprint",
         likeness("own", "changed", "_edited").alias("near_edited"),
         likeness("own", "next_own", "_next").alias("near_next"),
         F.expr("(_edited + size(own) - size(changed)) div 2").alias("edited_gone"),

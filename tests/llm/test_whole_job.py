@@ -6,7 +6,7 @@ from collections import Counter
 
 from pyspark.sql import functions as F
 
-from sketchselect.llm import chat, decontaminate, html, langid, mixing, neardup, pii, sharding, shingles
+from sketchselect.llm import chat, decontaminate, html, langid, mixing, neardup, pii, sharding, shingles, sketches
 
 
 def vocabulary(rng, n):
@@ -228,3 +228,24 @@ def test_loose_spans_add_personal_data(spark):
     got = {r["doc_id"]: r["spans"] for r in pii.report(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
     hits = sum(got[i] == s for i, s in want.items())
     assert hits >= 0.95 * len(want)
+
+
+# ---- op6
+
+
+def test_first_round_of_larger_sketches_counts_what_differs(spark):
+    """Sets with many shared digests, and digests that meet others at one, two or all of their places."""
+    rng = random.Random(8)
+    rows = []
+    for i in range(60):
+        pool = [rng.getrandbits(64) - (1 << 63) for _ in range(rng.choice((0, 90, 400)))]
+        pool += [h ^ (1 << b) for h in pool[:40] for b in (5, 30, 62)]
+        # alike in all bits of the places of the first size, so only a larger one tells them apart
+        pool += [h ^ (1 << 20) for h in pool[:3]] if i % 3 == 0 else []
+        a, b = ([h for h in dict.fromkeys(pool) if rng.random() < share] for share in (0.7, rng.choice((0, 0.7))))
+        rows.append((i, a, b, len(set(a) ^ set(b))))
+    frame = spark.createDataFrame(rows, "i long, a array<bigint>, b array<bigint>, want long")
+    exact = frame.select("i", "want", F.expr("filter(a, x -> x IS NOT NULL)").alias("a"), F.expr("filter(b, x -> x IS NOT NULL)").alias("b"))
+    exact = exact.withColumns({"guess": F.expr("double(want)"), "some": F.lit(None).cast("long")})
+    got = sketches.wide_count(exact, "a", "b", "guess", "some", "got")
+    assert got.filter("got IS NULL OR got <> want").count() == 0
